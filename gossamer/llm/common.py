@@ -10,6 +10,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,7 +36,7 @@ def slices(batches: Iterable[pa.RecordBatch], column: str = "text", most: int =
                 yield batch
             continue
         values = batch.column(batch.schema.get_field_index(column))
-        sizes = np.asarray(pa.compute.fill_null(pa.compute.binary_length(values), 0).to_numpy(zero_copy_only=False))
+        sizes = np.asarray(pc.fill_null(pc.binary_length(values), 0).to_numpy(zero_copy_only=False))
         cell = np.cumsum(sizes, dtype=np.int64) // most
         cuts = [0, *(np.flatnonzero(np.diff(cell)) + 1).tolist(), n]
         for a, b in zip(cuts, cuts[1:], strict=False):

@@ -532,3 +532,12 @@ def test_template_language():
     for bad in ("{% for %}", "{{ a.__class__ }}", "{{ a(1) }}", "{% if x %}", "{{ a | nope }}", "{% import os %}", "{{ 1 + }}", "{{ 'a }}"):
         with pytest.raises(chat_template.TemplateError):
             chat_template.parse(bad)
+
+
+def test_slices_keep_every_row(monkeypatch):
+    import pyarrow as pa
+
+    monkeypatch.setattr(common, "SLICE_BYTES", 100)
+    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(50)), "text": [None if i % 7 == 0 else "x" * (i * 5) for i in range(50)]})
+    parts = list(common.slices([batch, batch.slice(0, 0)], most=100))
+    assert len(parts) > 20 and [i for p in parts for i in p.column(0).to_pylist()] == list(range(50))
