@@ -183,15 +183,15 @@ class MatrixBpe:
                     out[i] = ids.astype("<u4").tobytes()
         return out
 
-    def chunks(self, chunks: list[str]) -> list[bytes]:
-        """Ids of each chunk: its pre-tokens one by one, unseen ones together."""
-        cut = [self.pattern.findall(c) for c in chunks]
+    def chunks(self, chunks: list[str]) -> Iterator[tuple[str, bytes]]:
+        """Each chunk with its ids: its pre-tokens one by one, unseen ones together."""
+        cut = [self.pattern.findall(common.chunk_text(c)) for c in chunks]
         fresh = list({w for words in cut for w in words if w not in self.known})
-        if len(self.known) + len(fresh) > 300_000:
+        if len(self.known) + len(fresh) > 200_000:
             self.known.clear()
             fresh = list({w for words in cut for w in words})
         self.known.update(zip(fresh, self.words(fresh), strict=True))
-        return [b"".join(map(self.known.__getitem__, words)) for words in cut]
+        return zip(chunks, [b"".join(map(self.known.__getitem__, words)) for words in cut], strict=True)
 
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.tokens.__getitem__, np.frombuffer(ids, "<u4").tolist()))
@@ -208,7 +208,7 @@ class BpeCodec:
         for start in range(0, len(many), 1024):
             part = many[start : start + 1024]
             cut = {t: common.word_chunks(t) for t in set(part)}
-            self.cache.learn({c for chunks in cut.values() for c in chunks})
+            self.cache.learn(list(cut.values()))
             done = {t: self.cache.join(chunks) for t, chunks in cut.items()}
             for t in part:
                 yield done[t]
