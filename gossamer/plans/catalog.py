@@ -1,9 +1,409 @@
-"""All registered queries of the descent engine, with their SQL."""
+"""All registered queries of the descent engine, with SQL wherever SQL can express them."""
 
+from __future__ import annotations
 
-def queries() -> dict:
-    return {}
+from collections.abc import Callable
+
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from gossamer.config import DescentConfig
+from gossamer.functions import arrays as A
+from gossamer.operators import codebook, descent, draws, linear, metrics
+from gossamer.plans import experiments, oracle, surround
+from gossamer.sources import points as S
+from gossamer.streaming import stream
+
+CFG = DescentConfig()
+VARIANTS = {
+    "gossip_full": ({}, "first"), "gossip_silent": ({"comm": "silent"}, "first"), "gossip_nowindow": ({"window": False}, "first"), "gossip_two_buffers": ({"buffers": 2, "fanout": 2}, "first"), "gossip_partial": ({"block_frac": 0.5}, "first"),
+    "gossip_fanout2": ({"fanout": 2}, "first"), "gossip_delay2": ({"max_age": 2}, "first"), "gossip_torn": ({"race": "torn", "fanout": 3, "block_frac": 0.5}, "first"), "gossip_lossless": ({"race": "none", "fanout": 2}, "first"), "gossip_every": ({"comm_every": 3}, "first"), "gossip_average": ({}, "average"),
+    "gossip_persample": ({"b": 1, "steps": 24}, "first"), "gossip_sum": ({"reduce": "sum", "eps": 0.05}, "first"), "gossip_replace": ({"draw": "replace"}, "first"),
+    "oneshot_first": ({"comm": "silent", "b": 1, "steps": 40, "eps": 0.1}, "first"), "oneshot_average": ({"comm": "silent", "b": 1, "steps": 40, "eps": 0.1}, "average"), "minibatch_sgd": ({"comm": "silent", "workers": 1, "b": 16}, "first"), "online_sgd": ({"comm": "silent", "workers": 1, "b": 1, "steps": 60, "draw": "replace", "eps": 0.1}, "first"),
+}
+Query = Callable[[SparkSession, str], DataFrame]
+
+
+def _finished(states: DataFrame, final: str) -> DataFrame:
+    return descent.first(states) if final == "first" else descent.average(states).withColumn("value", F.round("value", 9))
+
+
+def _run(name: str) -> Query:
+    changes, final = VARIANTS[name]
+
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return _finished(descent.gossip_sgd(S.line4(spark, sf_dir), CFG.with_(**changes, final=final)).states, final)
+
+    return query
+
+
+def _scalars(points: DataFrame) -> DataFrame:
+    return points.select("sample_id", F.posexplode("x").alias("dim", "value"))
+
+
+def _w(k: int, points: DataFrame) -> list:
+    return descent.initial_state(points, CFG.with_(k=k))
+
+
+def _with_state(points: DataFrame, k: int = 3) -> DataFrame:
+    state = points.sparkSession.createDataFrame([(_w(k, points),)], "w array<array<double>>")
+    return points.crossJoin(F.broadcast(state))
+
+
+def kmeans_assign(spark, sf_dir):
+    return _with_state(S.emb64(spark, sf_dir)).select("sample_id", A.assign("x", F.col("w")).alias("cluster"))
+
+
+def kmeans_error(spark, sf_dir):
+    return _with_state(S.line4(spark, sf_dir)).select(F.array_min(A.distances("x", F.col("w"))).alias("d2")).agg(F.round(F.sum(F.col("d2") * 0.5), 6).alias("total"), F.round(F.avg(F.col("d2") * 0.5), 9).alias("mean"))
+
+
+def kmeans_grad_mean(spark, sf_dir):
+    points = S.line4(spark, sf_dir)
+    w = _w(3, points)
+    rows = descent.partial_sums(points, w)
+    m = points.count()
+    state = spark.createDataFrame([(i, v) for i, v in enumerate(w)], "block int, c array<double>")
+    each = state.join(rows, "block", "left").select("block", F.posexplode("c").alias("dim", "c"), "n", "sums")
+    return each.select("block", "dim", F.round((F.coalesce("n", F.lit(0)) * F.col("c") - F.coalesce(F.col("sums")[F.col("dim")], F.lit(0.0))) / m, 9).alias("value"))
+
+
+def kmeans_grad_one(spark, sf_dir):
+    near = _with_state(S.line4(spark, sf_dir)).select("sample_id", "x", "w", A.distances("x", F.col("w")).alias("d2")).select("sample_id", "x", A.nearest("d2").alias("block"), "w")
+    g = F.zip_with(F.col("w")[F.col("block")], "x", lambda a, b: a - b)
+    return near.select("sample_id", "block", F.posexplode(g).alias("dim", "value"))
+
+
+def _batch(steps: int, reduce: str = "flat") -> Query:
+    def query(spark, sf_dir):
+        r = descent.batch_descent(S.line4(spark, sf_dir), CFG.with_(eps=1.0, steps=steps), reduce=reduce)
+        return descent.first(r.states).withColumn("value", F.round("value", 6))
+
+    return query
+
+
+def partition_report(spark, sf_dir):
+    parted = draws.assign_workers(S.line4(spark, sf_dir), 7, CFG.seed)
+    return parted.groupBy("worker").agg(F.count("*").alias("n"), F.max("pos").alias("last_pos"))
+
+
+def window_accept_cases(spark, sf_dir):
+    rows = spark.createDataFrame([(i, [[2.0]], [[1.0]], None if e is None else [[e]]) for i, e in enumerate((1.0, 1.5, 0.0, 3.0, 2.0, 1.75, None))], "id int, w array<array<double>>, g array<array<double>>, e array<array<double>>")
+    return rows.select("id", A.window_accept("w", "g", 0.5, "e").alias("accepted"))
+
+
+def blend_cases(spark, sf_dir):
+    cases = [(0, []), (1, [1.0]), (2, [1.0, 3.0]), (3, [1.0, 0.0])]
+    rows = spark.createDataFrame([(i, [[2.0]], [[1.0]], [[[e]] for e in es]) for i, es in cases], "id int, w array<array<double>>, g array<array<double>>, es array<array<array<double>>>")
+    own = F.filter("es", lambda e: A.window_accept("w", "g", 0.5, e))
+    step = lambda of: A.moved("w", of, 0.5)[0][0]
+    return rows.withColumn("ok", own).select("id", step(A.blended("w", "g", "ok")).alias("windowed"), step(A.blended("w", "g", "es")).alias("open"))
+
+
+def _settled(race: str) -> Query:
+    def query(spark, sf_dir):
+        sent = spark.createDataFrame([(0, 3, 2, 5, 0, 0), (0, 3, 2, 5, 0, 1), (1, 4, 2, 5, 0, 1)], "sender int, sent_round int, recipient int, due_round int, buffer int, block int")
+        return draws.settle(sent, race).select("recipient", "round", "buffer", "block", "sender", "sent_round")
+
+    return query
+
+
+def message_rates(spark, sf_dir):
+    return descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states.select("worker", "received", "good")
+
+
+def race_counts(spark, sf_dir):
+    cfg = CFG.with_(fanout=3, block_frac=0.5, race="torn")
+    return draws.race_counts(draws.sends(spark, cfg), draws.settle(draws.blocks(draws.sends(spark, cfg), cfg), "torn"))
+
+
+def worker_spread(spark, sf_dir):
+    return metrics.worker_spread(descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states).withColumn("spread", F.round("spread", 9))
+
+
+def center_error(spark, sf_dir):
+    points = S.line4(spark, sf_dir)
+    state = spark.createDataFrame([(i, v) for i, v in enumerate(_w(5, points))], "block int, w array<double>")
+    truth = spark.createDataFrame([(0, [0.2, 0.2, 0.2, 0.2]), (1, [0.8, 0.5, 0.5, 0.5]), (2, [0.5, 0.9, 0.1, 0.7])], "center int, mu array<double>")
+    return metrics.center_error_frame(truth, state)
+
+
+def gossip_resume(spark, sf_dir):
+    """Stopped half-way and continued from the written states: the same as the straight run."""
+    points = S.line4(spark, sf_dir)
+    w0, drawn = descent.initial_state(points, CFG), draws.minibatches(points, CFG)
+    half, _ = descent.supersteps(drawn, CFG.with_(steps=4), w0)
+    full, _ = descent.supersteps(drawn, CFG, w0, resume=(half, 4))
+    return descent.first(descent.latest(full, spark, CFG))
+
+
+def gossip_superstep(spark, sf_dir):
+    return descent.first(descent.gossip_sgd(S.line4(spark, sf_dir), CFG, engine="superstep").states)
+
+
+def gossip_limit_equals_oneshot(spark, sf_dir):
+    """Messages that never leave, single samples and a final average: rows differing from one-shot (none)."""
+    points, cfg = S.line4(spark, sf_dir), CFG.with_(b=1, steps=20, final="average")
+    a = descent.long_form(descent.gossip_sgd(points, cfg.with_(comm_every=21)).states)
+    b = descent.long_form(descent.oneshot_sgd(points, cfg, engine="arrow").states)
+    return a.exceptAll(b).agg(F.count("*").alias("differing"))
+
+
+def label_changes(spark, sf_dir):
+    points = S.line4(spark, sf_dir)
+    w0 = _w(3, points)
+    r = descent.batch_descent(points, CFG.with_(eps=1.0, steps=1), w0)
+    w1 = descent.as_array(descent.first(r.states)).tolist()
+    return descent.assigned(points, w0).exceptAll(descent.assigned(points, w1)).groupBy("cluster").agg(F.count("*").alias("changed"))
+
+
+def topk_nearest(spark, sf_dir):
+    near = _with_state(S.emb64(spark, sf_dir)).select("sample_id", F.posexplode(A.distances("x", F.col("w"))).alias("block", "d2"))
+    return near.withColumn("place", F.row_number().over(Window.partitionBy("block").orderBy("d2", "sample_id"))).where("place <= 10").select("block", "place", "sample_id", "d2")
+
+
+def outliers(spark, sf_dir):
+    far = _with_state(S.emb64(spark, sf_dir)).select("sample_id", F.array_min(A.distances("x", F.col("w"))).alias("d2"))
+    return far.orderBy(F.desc("d2"), "sample_id").limit(20)
+
+
+def antijoin_untouched(spark, sf_dir):
+    points = S.line4(spark, sf_dir)
+    drawn = draws.minibatches(points, CFG).select("sample_id")
+    return points.join(drawn, "sample_id", "left_anti").agg(F.count("*").alias("untouched"))
+
+
+def asof_mail(spark, sf_dir):
+    """For each reader and round the newest message sent no later."""
+    sent = draws.sends(spark, CFG.with_(comm_every=2)).select(F.col("recipient").alias("worker"), F.col("sent_round").alias("t"), "sender", "sent_round")
+    reads = spark.range(4 * 8).select((F.col("id") % 4).cast("int").alias("worker"), F.floor(F.col("id") / 4).cast("int").alias("t"))
+    best = reads.join(sent.drop("t"), "worker").where("sent_round <= t").groupBy("worker", "t").agg(F.max(F.struct("sent_round", "sender")).alias("m"))
+    return best.select("worker", "t", F.col("m.sender").alias("sender"), F.col("m.sent_round").alias("sent_round"))
+
+
+def codebook_histogram(spark, sf_dir):
+    points = S.emb64(spark, sf_dir)
+    groups = S.table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("string").alias("sample_id"), F.col("label").alias("object"))
+    return codebook.histogram(points, _w(3, points), groups)
+
+
+def codebook_documents(spark, sf_dir):
+    """A codebook learnt on hashed documents, as histograms of languages (rows only)."""
+    points = S.doc128(spark, sf_dir).persist()
+    w = descent.as_array(descent.gossip_sgd(points, CFG.with_(k=20, b=16, steps=6)).state()).tolist()
+    groups = S.table(spark, sf_dir, "documents").select(F.col("doc_id").cast("string").alias("sample_id"), F.col("lang").alias("object"))
+    return codebook.histogram(points, w, groups)
+
+
+def state_round_trip(spark, sf_dir):
+    states = descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states
+    return descent.first(descent.nested_form(descent.long_form(states)).select("worker", "w"))
+
+
+def events_json(spark, sf_dir):
+    e = S.table(spark, sf_dir, "events").select("event_type", F.from_json("props", "k int")["k"].alias("k"))
+    return e.groupBy("event_type", (F.floor(F.col("k") / 10)).cast("int").alias("bin")).agg(F.count("*").alias("n"))
+
+
+def quantiles(spark, sf_dir):
+    t = S.table(spark, sf_dir, "lineitem")
+    return t.groupBy("l_returnflag").agg(F.round(F.percentile("l_extendedprice", 0.5), 4).alias("median"), F.round(F.percentile("l_extendedprice", 0.9), 4).alias("p90"))
+
+
+def sketches(spark, sf_dir):
+    """Approximate distinct counts and quantiles (rows only: sketches differ between engines)."""
+    t = S.table(spark, sf_dir, "lineitem")
+    return t.groupBy("l_returnflag").agg(F.approx_count_distinct("l_orderkey").alias("orders"), F.percentile_approx("l_extendedprice", 0.5).alias("median"))
+
+
+def udf_surface(spark, sf_dir):
+    """The same squared distance from Arrow, SQL function and expression: samples on which they differ (none)."""
+    @F.pandas_udf("double")
+    def far(x: pd.Series, c: pd.Series) -> pd.Series:
+        out = []
+        for a, b in zip(x, c, strict=True):
+            total = 0.0
+            for p, q in zip(a, b, strict=True):
+                total += (p - q) * (p - q)
+            out.append(total)
+        return pd.Series(out)
+
+    A.register_functions(spark)
+    c = F.array(*[F.lit(0.5)] * 4)
+    both = S.line4(spark, sf_dir).select(A.sqdist("x", c).alias("a"), far("x", c).alias("b"), F.expr("sqdist(x, array(0.5D, 0.5D, 0.5D, 0.5D))").alias("d"))
+    return both.where("a <> b OR a <> d").agg(F.count("*").alias("differing"))
+
+
+def sinks_round_trip(spark, sf_dir):
+    """A state table through Parquet, ORC, JSON and CSV: rows lost or changed (none)."""
+    from gossamer.sources.shared import shared_dir
+
+    rows = descent.long_form(descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states).coalesce(1).persist()
+    folder, lost = f"{shared_dir(spark)}/sinks", None
+    for kind in ("parquet", "orc", "json", "csv"):
+        rows.write.mode("overwrite").partitionBy("worker").format(kind).save(f"{folder}-{kind}")
+        back = spark.read.schema("block int, dim int, value double, worker int").format(kind).load(f"{folder}-{kind}").select(rows.columns)
+        one = rows.exceptAll(back).select(F.lit(kind).alias("kind"))
+        lost = one if lost is None else lost.unionByName(one)
+    return lost.groupBy("kind").agg(F.count("*").alias("lost"))
+
+
+def mailbox_async(spark, sf_dir):
+    """Timing decides what arrives: rows only."""
+    return descent.gossip_sgd(S.line4(spark, sf_dir), CFG.with_(workers=2, steps=20), engine="mailbox").states.select("worker", "sent", "received", "good")
+
+
+def stream_foreach(spark, sf_dir):
+    """Events replayed as four files; the state after each micro-batch (rows only)."""
+    from gossamer.sources.shared import shared_dir
+
+    folder = f"{shared_dir(spark)}/stream-{abs(hash((sf_dir, id(spark)))):x}"
+    events = S.table(spark, sf_dir, "events")
+    events.withColumn("part", F.floor(F.col("event_id") / F.ceil(F.lit(events.count() / 4)))).repartition(1).write.mode("overwrite").partitionBy("part").parquet(f"{folder}/in")
+    cfg = CFG.with_(workers=2)
+    w0 = descent.initial_state(S.evt3(spark, sf_dir), cfg)
+    import uuid
+
+    stream.descend_stream(stream.replay(spark, f"{folder}/in/*"), cfg, w0, f"{folder}/model", f"{folder}/{uuid.uuid4().hex}").awaitTermination()
+    return spark.read.parquet(f"{folder}/model/3").select("block", F.posexplode("v").alias("dim", "value"))
+
+
+def _linear(kind: str) -> Query:
+    def query(spark, sf_dir):
+        rows = S.line4(spark, sf_dir).select(F.array(F.col("x")[0], F.col("x")[2], F.col("x")[3], F.lit(1.0)).alias("x"), F.col("x")[1].alias("y"))
+        rows = rows if kind == "squares" else rows.withColumn("y", (F.col("y") > 0.5).cast("double"))
+        w = linear.linear_batch(rows, kind, 0.5, 3)
+        return spark.createDataFrame(list(enumerate(w)), "dim int, value double").withColumn("value", F.round("value", 6))
+
+    return query
+
+
+def _windows(kind: str) -> Query:
+    return lambda spark, sf_dir: stream.windows(S.table(spark, sf_dir, "events"), kind)
+
+
+def touched_samples(spark, sf_dir):
+    rows = [(m, metrics.touched(m, 8, 1000, 4, 8)) for m in ("batch", "oneshot", "online", "minibatch", "gossip")]
+    return spark.createDataFrame(rows, "method string, touched long")
+
+
+def _mix(spark: SparkSession) -> DataFrame:
+    return S.mix(spark, 10, 4000, 10, tasks=8)
+
+
+def trace_measures(spark, sf_dir):
+    """Convergence of gossip, silent and one-shot runs (rows only: seconds are measured)."""
+    rows = experiments.convergence(_mix(spark), experiments.BASE.with_(steps=40, b=20))
+    return experiments.trace_frame(spark, rows)
+
+
+def converged(spark, sf_dir):
+    t = spark.createDataFrame([("a", r, 10 * r, r / 2, e) for r, e in enumerate((9.0, 5.0, 4.0, 4.0, 4.0, 4.0))] + [("b", r, 10 * r, r / 2, 5.0 - r / 2) for r in range(6)], "run_id string, round int, touched long, secs double, error double")
+    both = t.groupBy("run_id").agg(F.max("round").alias("last")).join(metrics.converged_at(t, 3).withColumnRenamed("round", "converged"), "run_id", "left").join(metrics.time_to_error(t, 4.0).select("run_id", "touched"), "run_id", "left")
+    return both.withColumn("converged", F.coalesce("converged", F.lit(-1)))
+
+
+NATIVE: dict[str, Query] = {
+    **{f"points_{n}": (lambda f: lambda spark, d: _scalars(f(spark, d)))(f) for n, f in S.SETS.items() if n != "doc128"},
+    "points_doc128": lambda spark, d: S.doc_buckets(spark, d),
+    "synth_truth": lambda spark, d: S.truth(spark, 4, 5).select("center", F.posexplode("mu").alias("dim", "value")),
+    "synth_mix": lambda spark, d: _scalars(S.mix(spark, 3, 200, 4)),
+    "partition_exact": lambda spark, d: draws.assign_workers(S.line4(spark, d), 4, CFG.seed).select("sample_id", "worker", "pos"),
+    "partition_report": partition_report,
+    "local_order": lambda spark, d: draws.local_order(draws.assign_workers(S.line4(spark, d), 4, CFG.seed).drop("pos"), CFG.seed, 1).select("sample_id", "worker", "pos"),
+    "minibatch_plan": lambda spark, d: draws.minibatches(S.line4(spark, d), CFG).select("worker", "round", "slot", "sample_id"),
+    "minibatch_replace": lambda spark, d: draws.minibatches(S.line4(spark, d), CFG.with_(draw="replace")).select("worker", "round", "slot", "sample_id"),
+    "recipients": lambda spark, d: draws.sends(spark, CFG.with_(workers=9, fanout=3, max_age=3, buffers=2)),
+    "blocks": lambda spark, d: draws.blocks(draws.sends(spark, CFG.with_(k=6)), CFG.with_(k=6, block_frac=0.4)),
+    "inbox_torn": lambda spark, d: draws.inbox(spark, CFG.with_(fanout=3, race="torn", block_frac=0.5)),
+    "init_first": lambda spark, d: spark.createDataFrame(list(enumerate(_w(5, S.line4(spark, d)))), "block int, v array<double>").select("block", F.posexplode("v").alias("dim", "value")),
+    "init_bounds": lambda spark, d: spark.createDataFrame(list(enumerate(descent.initial_state(S.line4(spark, d), CFG.with_(init="bounds")))), "block int, v array<double>").select("block", F.posexplode("v").alias("dim", "value")),
+    "kmeans_assign": kmeans_assign, "kmeans_error": kmeans_error, "kmeans_grad_mean": kmeans_grad_mean, "kmeans_grad_one": kmeans_grad_one,
+    "batch_1pass": _batch(1), "batch_10pass": _batch(10), "batch_tree": _batch(2, "tree"),
+    **{name: _run(name) for name in VARIANTS},
+    "gossip_sync": lambda spark, d: descent.first(descent.gossip_sgd(S.line4(spark, d), CFG.with_(comm="sync")).states),
+    "gossip_superstep": gossip_superstep, "gossip_resume": gossip_resume, "gossip_limit_equals_oneshot": gossip_limit_equals_oneshot, "mailbox_async": mailbox_async, "stream_foreach": stream_foreach,
+    "least_squares_batch": _linear("squares"), "logistic_batch": _linear("logistic"),
+    "window_accept_cases": window_accept_cases, "blend_cases": blend_cases, "settle_overwrite": _settled("overwrite"), "settle_torn": _settled("torn"), "settle_none": _settled("none"),
+    "message_rates": message_rates, "race_counts": race_counts, "worker_spread": worker_spread, "center_error": center_error, "touched_samples": touched_samples, "converged_at": converged, "convergence_trace": trace_measures,
+    "label_changes_except": label_changes, "topk_nearest": topk_nearest, "outliers": outliers, "antijoin_untouched": antijoin_untouched, "asof_mail": asof_mail, "codebook_histogram": codebook_histogram, "codebook_documents": codebook_documents,
+    "state_round_trip": state_round_trip, "events_json": events_json, "quantiles": quantiles, "sketches": sketches, "udf_surface": udf_surface, "sinks_round_trip": sinks_round_trip,
+    "tumbling_events": _windows("tumbling"), "sliding_events": _windows("sliding"), "session_events": _windows("session"),
+    "scaling_table": lambda spark, d: experiments.strong_scaling(spark, S.line4(spark, d), 800, (2, 4)), "k_scaling": lambda spark, d: experiments.k_sweep(spark, S.line4(spark, d), (5, 20), experiments.BASE.with_(steps=5)),
+    "repeat_summary": lambda spark, d: experiments.repeats(spark, _mix(spark), range(3), experiments.BASE.with_(steps=10, b=20)), "comm_overhead": lambda spark, d: experiments.overhead(spark, S.line4(spark, d), (50, 200), 2000),
+    "message_sweep": lambda spark, d: experiments.message_sweep(spark, S.line4(spark, d), (2, 4, 8)), "final_compare": lambda spark, d: experiments.final_step(spark, _mix(spark)), "ablation": lambda spark, d: experiments.ablation(spark, _mix(spark), experiments.BASE.with_(steps=10)), "overlap_control": lambda spark, d: experiments.overlap(spark, 2000),
+}
+
+
+def queries() -> dict[str, Query]:
+    return NATIVE | {name: surround.query(text) for name, text in surround.BOTH.items()}
+
+
+# --- SQL -------------------------------------------------------------------------------------------------
+
+L4, E64 = oracle.POINTS["line4"], oracle.POINTS["emb64"]
+
+
+def _near(points: str, k: int, dims: int) -> str:
+    """Every sample with the distances ``ds`` to k initial prototypes ``w``."""
+    return f"SELECT p.sample_id, p.x, z.w, list_transform(z.w, lambda c: {oracle.d2('p.x', 'c', dims)}) AS ds FROM ({points}) p, ({oracle.initial(points, CFG.with_(k=k))}) z"
+
+
+def oracle_sql() -> dict[str, str]:
+    o, near4, near64 = oracle, _near(L4, 3, 4), _near(E64, 3, 64)
+    unit = lambda *key: f"({o.int_(*key)} / 4294967296.0::double)"
+    noise = "list_reduce(list_prepend(-6.0::double, list_transform([0,1,2,3,4,5,6,7,8,9,10,11], lambda i: ('0x' || substr(md5(concat_ws(':', 1, 'x', s, j, i)), 1, 8))::bigint / 4294967296.0::double)), lambda p, q: p + q)"
+    center = o.int_(1, "'c'", "s") + " % 4"
+    bounds = "('0x' || substr(md5('7:bounds:' || c || ':' || d), 1, 8))::bigint / 4294967296.0::double"
+    hour = 3600 * 10**6
+    out = {
+        **{f"points_{n}": o.scalars(sql) for n, sql in o.POINTS.items()},
+        "points_doc128": f"SELECT doc_id, {o.int_('token')} % 128 AS bucket, count(*) AS n FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z0-9]+')) AS token FROM documents) t WHERE token <> '' GROUP BY ALL",
+        "synth_truth": f"SELECT c::int AS center, j::int AS dim, {unit(1, chr(39) + 'mu' + chr(39), 'c', 'j')} * 10.0::double AS value FROM range(5) a(c), range(4) b(j)",
+        "synth_mix": f"SELECT s::varchar AS sample_id, j::int AS dim, {unit(1, chr(39) + 'mu' + chr(39), center, 'j')} * 10.0::double + {noise} * 1.0::double AS value FROM range(200) a(s), range(3) b(j)",
+        "partition_exact": f"SELECT sample_id, worker, pos FROM ({o.parted(L4, CFG)}) p",
+        "partition_report": f"SELECT worker, count(*) AS n, max(pos) AS last_pos FROM ({o.parted(L4, CFG.with_(workers=7))}) p GROUP BY worker",
+        "local_order": f"SELECT sample_id, worker, row_number() OVER (PARTITION BY worker ORDER BY {o.hex_(7, chr(39) + 'order' + chr(39), 1, 'sample_id')}, sample_id) - 1 AS pos FROM ({o.parted(L4, CFG)}) p",
+        "minibatch_plan": f"SELECT worker, round, slot, sample_id FROM ({o.minibatches(L4, CFG)}) b",
+        "minibatch_replace": f"SELECT worker, round, slot, sample_id FROM ({o.minibatches(L4, CFG.with_(draw='replace'))}) b",
+        "recipients": o.sends(CFG.with_(workers=9, fanout=3, max_age=3, buffers=2)),
+        "blocks": o.blocks(CFG.with_(k=6, block_frac=0.4)),
+        "inbox_torn": o.inbox(CFG.with_(fanout=3, race="torn", block_frac=0.5)),
+        "init_first": f"SELECT (c - 1)::int AS block, (d - 1)::int AS dim, w[c][d] AS value FROM ({o.initial(L4, CFG.with_(k=5))}) z, range(1, 6) a(c), range(1, 5) b(d)",
+        "init_bounds": f"SELECT c::int AS block, d::int AS dim, low + (high - low) * {bounds} AS value FROM (SELECT dim AS d, min(value) AS low, max(value) AS high FROM ({o.scalars(L4)}) s GROUP BY dim) v, range(3) r(c)",
+        "kmeans_assign": f"SELECT sample_id, (list_position(ds, list_min(ds)) - 1)::int AS cluster FROM ({near64}) n",
+        "kmeans_error": f"SELECT round(sum(list_min(ds) * 0.5), 6) AS total, round(avg(list_min(ds) * 0.5), 9) AS mean FROM ({near4}) n",
+        "kmeans_grad_mean": f"SELECT (c - 1)::int AS block, (d - 1)::int AS dim, round(sum(CASE WHEN near = c THEN w[c][d] - x[d] ELSE 0 END) / count(*), 9) AS value FROM (SELECT *, list_position(ds, list_min(ds)) AS near FROM ({near4}) n) m, range(1, 4) a(c), range(1, 5) b(d) GROUP BY c, d",
+        "kmeans_grad_one": f"SELECT sample_id, (near - 1)::int AS block, (d - 1)::int AS dim, w[near][d] - x[d] AS value FROM (SELECT *, list_position(ds, list_min(ds)) AS near FROM ({near4}) n) m, range(1, 5) b(d)",
+        "batch_1pass": o.batch(L4, CFG.with_(eps=1.0, steps=1), 4), "batch_10pass": o.batch(L4, CFG.with_(eps=1.0, steps=10), 4), "batch_tree": o.batch(L4, CFG.with_(eps=1.0, steps=2), 4),
+        **{name: o.run(L4, CFG.with_(**changes), 4, o.FIRST if final == "first" else o.AVERAGE) for name, (changes, final) in VARIANTS.items()},
+        "gossip_limit_equals_oneshot": "SELECT 0::bigint AS differing",
+        "window_accept_cases": "SELECT id::int AS id, coalesce(abs(1.5 - e) < abs(2.0 - e), false) AS accepted FROM (VALUES (0, 1.0), (1, 1.5), (2, 0.0), (3, 3.0), (4, 2.0), (5, 1.75), (6, NULL)) t(id, e)",
+        "blend_cases": "SELECT * FROM (VALUES (0::int, 1.5::double, 1.5::double), (1, 1.25, 1.25), (2, 1.25, 1.5), (3, 1.0, 1.0)) t(id, windowed, open)",
+        "settle_overwrite": "SELECT 2::int AS recipient, 5::int AS round, 0::int AS buffer, 1::int AS block, 1::int AS sender, 4::int AS sent_round",
+        "settle_torn": "SELECT * FROM (VALUES (2::int, 5::int, 0::int, 0::int, 0::int, 3::int), (2, 5, 0, 1, 1, 4)) t(recipient, round, buffer, block, sender, sent_round)",
+        "settle_none": "SELECT * FROM (VALUES (2::int, 5::int, 0::int, 0::int, 0::int, 3::int), (2, 5, 0, 1, 0, 3), (2, 5, 0, 1, 1, 4)) t(recipient, round, buffer, block, sender, sent_round)",
+        "message_rates": o.run(L4, CFG, 4, "SELECT worker, received, good FROM done"),
+        "worker_spread": o.run(L4, CFG, 4, f"SELECT block, dim, round(stddev_pop(value), 9) AS spread FROM ({o.ALL_STATES}) s GROUP BY block, dim"),
+        "center_error": f"SELECT center::int AS center, min(sqrt({o.d2('mu', 'w[c]', 4)})) AS distance FROM (VALUES (0, [0.2::double, 0.2, 0.2, 0.2]), (1, [0.8, 0.5, 0.5, 0.5]), (2, [0.5, 0.9, 0.1, 0.7])) t(center, mu), ({o.initial(L4, CFG.with_(k=5))}) z, range(1, 6) r(c) GROUP BY center",
+        "touched_samples": "SELECT * FROM (VALUES ('batch', 8000::bigint), ('oneshot', 32), ('online', 8), ('minibatch', 64), ('gossip', 256)) t(method, touched)",
+        "converged_at": "SELECT * FROM (VALUES ('a', 5::int, 5::int, 20::bigint), ('b', 5, -1, 20)) t(run_id, last, converged, touched)",
+        "topk_nearest": f"SELECT block, place, sample_id, d2 FROM (SELECT (c - 1)::int AS block, sample_id, ds[c] AS d2, (row_number() OVER (PARTITION BY c ORDER BY ds[c], sample_id))::int AS place FROM ({near64}) n, range(1, 4) r(c)) t WHERE place <= 10",
+        "outliers": f"SELECT sample_id, list_min(ds) AS d2 FROM ({near64}) n ORDER BY d2 DESC, sample_id LIMIT 20",
+        "antijoin_untouched": f"SELECT count(*) AS untouched FROM ({L4}) p ANTI JOIN ({o.minibatches(L4, CFG)}) b USING (sample_id)",
+        "asof_mail": f"SELECT r.i::int AS worker, t.i::int AS t, last.b::int AS sender, last.a::int AS sent_round FROM (SELECT r.i AS wi, t.i AS ti, max({{'a': sent_round, 'b': sender}}) AS last FROM range(4) r(i), range(8) t(i), ({o.sends(CFG.with_(comm_every=2))}) m WHERE m.recipient = r.i AND m.sent_round <= t.i GROUP BY ALL) q JOIN range(4) r(i) ON r.i = wi JOIN range(8) t(i) ON t.i = ti",
+        "codebook_histogram": f"SELECT label AS object, (list_position(ds, list_min(ds)) - 1)::int AS cluster, count(*) AS n FROM ({near64}) n JOIN embeddings ON vec_id::varchar = sample_id GROUP BY ALL",
+        "events_json": "SELECT event_type, ((props->>'$.k')::int // 10)::int AS bin, count(*) AS n FROM events GROUP BY ALL",
+        "quantiles": "SELECT l_returnflag, round(quantile_cont(l_extendedprice, 0.5), 4) AS median, round(quantile_cont(l_extendedprice, 0.9), 4) AS p90 FROM lineitem GROUP BY 1",
+        "udf_surface": "SELECT 0::bigint AS differing",
+        "sinks_round_trip": "SELECT 'none' AS kind, 0::bigint AS lost WHERE false",
+        "tumbling_events": f"SELECT event_type, epoch_us(ts) // {hour} * {hour} AS start_us, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL",
+        "sliding_events": f"SELECT event_type, epoch_us(ts) // {hour // 2} * {hour // 2} - k * {hour // 2} AS start_us, count(*) AS n, round(sum(value), 4) AS total FROM events, range(4) r(k) GROUP BY ALL",
+        "session_events": f"SELECT user_id, min(us) AS start_us, max(us) + {hour // 2} AS end_us, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY us ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT user_id, epoch_us(ts) AS us, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < {hour // 2} THEN 0 ELSE 1 END AS fresh FROM events) a) b GROUP BY user_id, s",
+    }
+    for same in ("gossip_superstep", "gossip_resume", "state_round_trip"):
+        out[same] = out["gossip_full"]
+    return out | {name: surround.duck_text(text) for name, text in surround.BOTH.items()}
 
 
-def oracle_sql() -> dict:
-    return {}
