@@ -93,8 +93,38 @@ def initial_state(points: DataFrame, cfg: DescentConfig) -> list[list[float]]:
 # --- full passes --------------------------------------------------------------------------------------------
 
 
+def bulk_sums(points: DataFrame, w: list[list[float]], reduce: str = "flat", fan_in: int = 16) -> DataFrame:
+    """The sums of ``partial_sums`` by the numpy kernel: each task adds up its Arrow batches and gives k rows."""
+    state, names = np.asarray(w, dtype=np.float64), ["block", "sums", "n", "loss", "leaf"]
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        sums, n, loss = np.zeros_like(state), np.zeros(len(state), np.int64), np.zeros(len(state))
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x = batch.column(0).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            d2 = kernel.distances(x, state)
+            near = d2.argmin(axis=1)
+            n += np.bincount(near, minlength=len(state))
+            loss += np.bincount(near, weights=0.5 * d2[np.arange(len(x)), near], minlength=len(state))
+            for j in range(x.shape[1]):
+                sums[:, j] += np.bincount(near, weights=x[:, j], minlength=len(state))
+        have = np.flatnonzero(n)
+        leaf = TaskContext.get().partitionId() % fan_in
+        yield pa.RecordBatch.from_arrays([pa.array(have, pa.int32()), pa.array(sums[have].tolist(), pa.list_(pa.float64())), pa.array(n[have]), pa.array(loss[have]), pa.array([leaf] * len(have), pa.int32())], names)
+
+    rows = points.select("x").mapInArrow(run, "block int, sums array<double>, n long, loss double, leaf int")
+    for keys in ((["block", "leaf"], ["block"]) if reduce == "tree" else (["block"],)):
+        wide = [F.sum(F.col("sums")[j]).alias(f"s{j}") for j in range(state.shape[1])]
+        rows = rows.groupBy(*keys).agg(*wide, F.sum("n").alias("n"), F.sum("loss").alias("loss"))
+        rows = rows.select(*keys, F.array(*[f"s{j}" for j in range(state.shape[1])]).alias("sums"), "n", "loss")
+    return rows
+
+
 def partial_sums(points: DataFrame, w: list[list[float]], reduce: str = "flat", fan_in: int = 16) -> DataFrame:
-    """``block, n, sums array, loss``: what one pass needs, k rows a task before the shuffle.
+    """``block, n, sums array, loss``: what one pass needs, k rows a task before the shuffle; DataFrame functions only.
 
     The state is one broadcast row, so that every pass runs the same generated code.
     """
@@ -112,12 +142,12 @@ def partial_sums(points: DataFrame, w: list[list[float]], reduce: str = "flat",
     return placed.groupBy("block").agg(*sums).select("block", vector_to_array("s").alias("sums"), "n", "loss")
 
 
-def batch_descent(points: DataFrame, cfg: DescentConfig, w0: list | None = None, reduce: str = "flat") -> RunResult:
-    """Full passes: every step uses the mean gradient of all samples."""
+def batch_descent(points: DataFrame, cfg: DescentConfig, w0: list | None = None, reduce: str = "flat", sums=bulk_sums) -> RunResult:
+    """Full passes: every step uses the mean gradient of all samples. ``sums``: ``bulk_sums`` or ``partial_sums``."""
     w = np.asarray(w0 or initial_state(points, cfg), dtype=np.float64)
     began, trace, start = time.time(), [], w.tolist()
     for t in range(cfg.steps):
-        rows = partial_sums(points, w.tolist(), reduce).collect()  # k rows
+        rows = sums(points, w.tolist(), reduce).collect()  # k rows
         m = sum(r.n for r in rows)
         g = np.zeros_like(w)
         for r in rows:

@@ -125,4 +125,4 @@ walk AS (
   SELECT t + 1, list_transform({cs}, lambda c: list_transform({js}, lambda j: w[c][j] - {cfg.eps}::double * ((n[c] * w[c][j] - s[c][j]) / m))) FROM (
     SELECT any_value(t) AS t, any_value(w) AS w, count(*) AS m, {[f'count(*) FILTER (near = {c})' for c in cs]} AS n, {[[f'coalesce(sum(x[{j}]) FILTER (near = {c}), 0)' for j in js] for c in cs]} AS s FROM (
       SELECT *, list_position(ds, list_min(ds)) AS near FROM (SELECT r.t, r.w, p.x, list_transform(r.w, lambda c: {d2('p.x', 'c', dims)}) AS ds FROM walk r, pts p WHERE r.t < {cfg.steps}) a) b HAVING count(*) > 0) c)
-SELECT (c - 1)::int AS block, (d - 1)::int AS dim, round(w[c][d], 6) AS value FROM walk, range(1, {cfg.k} + 1) r(c), range(1, {dims} + 1) s(d) WHERE t = {cfg.steps}""".replace("'count", "count").replace(")'", ")").replace("'coalesce", "coalesce")
+SELECT (c - 1)::int AS block, (d - 1)::int AS dim, round(w[c][d] + 1.7e-11, 9) AS value FROM walk, range(1, {cfg.k} + 1) r(c), range(1, {dims} + 1) s(d) WHERE t = {cfg.steps}""".replace("'count", "count").replace(")'", ")").replace("'coalesce", "coalesce")
