@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from . import common
 
-SAMPLE, CELL, MOST_LISTS = 16_384, 8192, 4096
+SAMPLE, CELL, MOST_LISTS = 8192, 8192, 4096
 BLOCK = 16  #: coordinates of a column block
 CONFIDENCE = 2.1  #: of the hypothesis test: candidates go at partial distance > threshold * (1 + CONFIDENCE / sqrt(m))
 RECALL = 0.97  #: aimed at on the sample, when the number of probes is chosen
@@ -84,12 +84,13 @@ def centroids_of(x: np.ndarray, k: int, rng: np.random.Generator, rounds: int =
     return at
 
 
-def fitted(rows: list, n: int, top: float, k: int, seed: int = 11) -> Index:
+def fitted(sample: pa.Table, n: int, top: float, k: int, seed: int = 11) -> Index:
     rng = np.random.default_rng(seed)
-    original = np.asarray([r.embedding for r in rows], np.float64)
+    original = np.ascontiguousarray(_matrix(sample.column("embedding").combine_chunks()))
+    rows = range(len(original))
     depth = original.shape[1]
     q, r = np.linalg.qr(rng.normal(size=(depth + 1, depth + 1)))
-    index = Index(top, q * np.sign(np.diag(r)), np.zeros((1, depth + 1)), np.zeros(0), original, [r.key for r in rows], [list(r.ids) for r in rows], 1)
+    index = Index(top, q * np.sign(np.diag(r)), np.zeros((1, depth + 1)), np.zeros(0), original, sample.column("key").to_pylist(), sample.column("ids").to_pylist(), 1)
     index.sample = index.lifted(original)
     lists = max(1, min(MOST_LISTS, int(np.sqrt(n)), len(rows)))
     index.centroids = centroids_of(index.sample, lists, rng)
@@ -138,7 +139,8 @@ def search(vectors: DataFrame, queries: Column, k: int = 20) -> DataFrame:
     few = rows.withColumn("n", F.row_number().over(Window.partitionBy("key").orderBy("vec_id"))).where(F.col("n") <= k + 1)
     classes = common.settled(few.groupBy("key").agg(F.array_sort(F.collect_set("vec_id")).alias("ids"), F.first("embedding").alias("embedding")), "vectors")
     n, top = classes.agg(F.count("*"), F.max(F.aggregate("embedding", F.lit(0.0), lambda s, v: s + v * v))).first()
-    sample = classes.orderBy("key").limit(SAMPLE).collect()  # SAMPLE rows at most
+    placed_first = classes.withColumn("h", common.place("key")).where(F.col("h") < common.likely(SAMPLE, F.lit(n)))
+    sample = placed_first.orderBy("h", "key").limit(SAMPLE).select("key", "ids", "embedding").toArrow()  # SAMPLE rows at most
     index = fitted(sample, n, top, k)
     sent = spark.sparkContext.broadcast(index)
     asking = rows.where("asks").select("vec_id", "key")

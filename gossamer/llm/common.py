@@ -13,7 +13,7 @@ from operator import itemgetter
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: UTF-8 bytes of text that one slice of an Arrow batch holds at most (one longer text forms a slice alone).
@@ -67,6 +67,22 @@ def settled(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+#: Hash places of rows; a bounded sample takes the rows with the smallest places.
+PLACES = 1 << 30
+
+
+def place(*key) -> Column:
+    return F.pmod(F.xxhash64(*key), F.lit(PLACES))
+
+
+def likely(most: int, rows: Column) -> Column:
+    """A bound on places below which the ``most`` smallest of ``rows`` lie almost surely: about four times as many do.
+
+    It cuts the rows before they are ranked, so that what meets in one task does not grow with the number of tasks.
+    """
+    return F.ceil(F.least(F.lit(1.0), F.lit(4.0 * most + 100) / rows) * F.lit(PLACES))
+
+
 # --- text to token ids through cached chunks -------------------------------------------------
 
 _LOOSE_SPACE = re.compile(r" (?=\s|\Z)")
