@@ -249,7 +249,9 @@ def examples(sample: list[str], rng: np.random.Generator, built: int = 1500) ->
 
 def fit(docs: DataFrame, fit_docs: int = FIT_DOCS, seed: int = 7) -> Net:
     """Trains on at most ``fit_docs`` documents; the sample is the same for the same rows, whatever their order."""
-    ids = docs.where("doc_id is not null and text is not null").select("doc_id", F.xxhash64("doc_id").alias("h")).orderBy("h", "doc_id").limit(fit_docs).select("doc_id").distinct()
+    usable = docs.where("doc_id is not null and text is not null")
+    placed = usable.select("doc_id", common.place("doc_id").alias("h")).where(F.col("h") < common.likely(fit_docs, F.lit(max(1, docs.count()))))
+    ids = placed.orderBy("h", "doc_id").limit(fit_docs).select("doc_id").distinct()
     rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id", "left_semi").where("text is not null")
     sample = sorted(r.text for r in rows.select("text").limit(2 * fit_docs).toLocalIterator())
     return trained(sample, seed)
