@@ -29,7 +29,7 @@ from . import common
 
 BUCKETS = 1 << 15
 SIZES = (2, 3, 4)
-FIT_DOCS, FIT_TASKS, MOST_LANGUAGES = 1000, 8, 512  #: up to 1000 a group Spark ranks within each task before it shuffles
+FIT_DOCS, FIT_TASKS, MOST_LANGUAGES = 1000, 8, 512
 SMOOTHING = 0.5
 PENALTY = 6.0  #: times log(n-grams), for each language after the first
 ROUNDS, SETTLED = 30, 1e-4
@@ -125,7 +125,9 @@ def held_out(doc_id: Column) -> Column:
 def learn(docs: DataFrame, fit_docs: int = FIT_DOCS) -> Model:
     """n-gram counts of at most ``fit_docs`` labelled documents a language outside the held-out fifth."""
     labelled = docs.where("lang is not null and doc_id is not null and text is not null").where(~held_out(F.col("doc_id")))
-    ranked = labelled.select("doc_id", "lang", F.xxhash64("doc_id").alias("h")).withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))).where(F.col("n") <= fit_docs)
+    sizes = labelled.groupBy("lang").agg(F.count("*").alias("rows")).limit(MOST_LANGUAGES)
+    placed = labelled.select("doc_id", "lang", common.place("doc_id").alias("h")).join(F.broadcast(sizes), "lang").where(F.col("h") < common.likely(fit_docs, F.col("rows")))
+    ranked = placed.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))).where(F.col("n") <= fit_docs)
     # fit_docs * MOST_LANGUAGES ids at most
     sample = labelled.select("doc_id", "lang", "text").join(F.broadcast(ranked.select("doc_id")), "doc_id", "left_semi").repartition(FIT_TASKS)
 
