@@ -15,7 +15,6 @@ network learns from the built findings alone; an empty table gives no rows; othe
 
 from __future__ import annotations
 
-import hashlib
 import re
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
@@ -332,7 +331,3 @@ def without_secrets(docs: DataFrame, net: Net | None = None) -> DataFrame:
             yield pa.RecordBatch.from_arrays(columns, schema=part.schema)
 
     return docs.mapInArrow(run, schema)
-
-
-def span_digest(spans: str) -> str:
-    return hashlib.sha256(spans.encode()).hexdigest()
