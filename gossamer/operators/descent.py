@@ -255,7 +255,9 @@ def supersteps(drawn: DataFrame, cfg: DescentConfig, w0: list, evaluate: DataFra
     """
     spark = drawn.sparkSession
     placed = settled(drawn.repartition(cfg.workers, "worker"), "drawn")
-    post = settled(draws.inbox(spark, cfg).groupBy("recipient", "round", "buffer", "sender", "sent_round").agg(F.sort_array(F.collect_list("block")).alias("blocks")), "mail")
+    border = (F.floor(F.col("sent_round") / cfg.stretch) + 1) * cfg.stretch  # what is sent within a stretch is read after it
+    late = draws.inbox(spark, cfg).withColumn("round", F.greatest("round", border).cast("int")).where(F.col("round") < cfg.steps)
+    post = settled(late.groupBy("recipient", "round", "buffer", "sender", "sent_round").agg(F.sort_array(F.collect_list("block")).alias("blocks")), "mail")
     begin = 0 if resume is None else resume[1]
     history = spark.createDataFrame([(i, 0, w0, 0, 0) for i in range(cfg.workers)], "worker int, round int, w array<array<double>>, received long, good long") if resume is None else resume[0]
     trace, began = [], time.time()
@@ -323,6 +325,8 @@ def gossip_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, en
     drawn = draws.minibatches(points, cfg, m)
     if engine == "fold":
         return RunResult(folded(drawn, cfg, start), cfg, w0=start)
+    if cfg.comm == "sync":
+        raise ValueError("synchronous exchange runs on the fold engine only")
     if engine == "superstep":
         history, trace = supersteps(drawn, cfg, start, evaluate)
         return RunResult(latest(history, points.sparkSession, cfg), cfg, trace, start)

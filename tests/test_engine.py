@@ -71,6 +71,10 @@ def test_silent_single_samples_are_oneshot(line4):
 def test_stretch_and_stop(line4):
     cfg = CFG.with_(stretch=4, comm="silent")
     assert states(descent.gossip_sgd(line4, cfg, engine="superstep")) == states(descent.gossip_sgd(line4, CFG.with_(comm="silent")))
+    talking = states(descent.gossip_sgd(line4, CFG.with_(stretch=4, window=False), engine="superstep"))
+    assert sum(v[2] for v in talking.values()) > 0  # letters of the first stretch are read in the second
+    with pytest.raises(ValueError):
+        descent.gossip_sgd(line4, CFG.with_(comm="sync"), engine="superstep")
     r = descent.batch_descent(line4, CFG.with_(eps=1.0, steps=9, stop=StopRule(max_touched=12_000)))
     assert len(r.trace) == 2 and r.trace[0][3] > r.trace[1][3]
     early = descent.gossip_sgd(line4, CFG.with_(stop=StopRule(max_touched=64)), engine="superstep", evaluate=line4)
