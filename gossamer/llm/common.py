@@ -7,6 +7,7 @@ import re
 import tempfile
 import unicodedata
 import uuid
+from codecs import charmap_decode
 from collections.abc import Iterable, Iterator
 from operator import itemgetter
 
@@ -134,7 +135,10 @@ class ChunkCache(dict):
 
 # --- whole texts with the ids of the tokenizers library ------------------------------------------------
 
-_SPACES = "\t\n\x0b\x0c\r \x85\xa0"
+#: A noncharacter before the first chunk of a text in Arrow columns; texts that hold it are encoded whole.
+_MARK = "\U0010ffff"
+#: RE2 pattern of a space that no non-space follows, and of ``_MARK``; every kind of white space counts.
+_ODD = r" ([\s\x0b\x1c-\x1f\x{85}\pZ]|\z)|\x{10ffff}"
 
 
 def _settled_characters() -> str:
@@ -147,78 +151,116 @@ def _settled_characters() -> str:
 
 
 class TextEncoder:
-    """Whole texts to the ids (little-endian unsigned 32-bit bytes) that the tokenizers library gives them.
+    """Whole texts to ids (little-endian unsigned 32-bit bytes) with the tokenizers library, each chunk once.
 
-    The strings of special tokens count as ordinary text. Texts of settled characters go through the merge
-    engine of the tiktoken library, with ranks read from the same vocabulary file; its ids are the same and
-    it is about five times as fast. All other texts are encoded by the tokenizers library itself.
-
-    Vocabularies with word ends keep no white space: the pre-tokens are found with array operations and
-    written with one space after each, which stands for the word end.
+    Texts are cut where no pre-token crosses; unseen chunks are encoded together and kept in a bounded cache. All ids come from
+    the library. Chunks of settled characters are cut into pre-tokens here and go to the library's merge model
+    (the same file without its normalizer and pre-tokenizer, a list of pre-tokens a call); other chunks go
+    through the library's whole chain. The strings of special tokens count as ordinary text.
     """
 
-    def __init__(self, path: str, splits: str):
+    def __init__(self, path: str, splits: str, group: int = 4096):
+        import json
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         os.environ.setdefault("RAYON_NUM_THREADS", "1")
-        import tiktoken
+        import public_tokenizers
+        import regex
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.splits = Tokenizer.from_file(path), splits
-        self.tokenizer.encode_special_tokens = True
-        raw_of = {c: bytes([b]) for b, c in _byte_letters().items()}
-        vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
-        if splits == "word":
-            import public_tokenizers
-
-            pattern = public_tokenizers.PATTERN
-            ranks = {b"".join(map(raw_of.__getitem__, token)): i for token, i in vocabulary.items()}
-        else:
-            pattern = "[^ ]+ "
-            ranks = {b"".join(map(raw_of.__getitem__, token.removesuffix("</w>"))) + b" " * token.endswith("</w>"): i for token, i in vocabulary.items()}
-        self.quick = tiktoken.Encoding(f"{splits}-{len(ranks)}", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-        settled = _settled_characters()
-        self.rare = re.compile(f"[^{re.escape(settled)}]")
-        self.kind = np.zeros(0x20AD, np.uint8)  # 0 punctuation, 1 letter, 2 number, 3 space
-        for c in settled:
-            self.kind[ord(c)] = 3 if c in _SPACES else {"L": 1, "N": 2}.get(unicodedata.category(c)[0], 0)
+        self.tokenizer, self.splits, self.group = Tokenizer.from_file(path), splits, group
+        with open(path, encoding="utf-8") as f:
+            own = json.load(f)
+        self.model = Tokenizer.from_str(json.dumps(own | {"normalizer": None, "pre_tokenizer": None, "post_processor": None}))
+        for t in (self.tokenizer, self.model):
+            t.encode_special_tokens = True
+        self.pattern = regex.compile(public_tokenizers.PATTERN if splits == "word" else own["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"])
+        self.letters = "".join(c for _, c in sorted(_byte_letters().items()))
+        self.rare = re.compile(f"[^{re.escape(_settled_characters())}]")
+        vocabulary = self.model.get_vocab(with_added_tokens=False)
+        self.sizes = np.zeros(max(vocabulary.values()) + 1, np.int64)
+        for token, i in vocabulary.items():
+            self.sizes[i] = len(token.removesuffix("</w>") if splits == "space" else token)
+        self.cache, self.known = ChunkCache(self.chunks), ChunkCache(self.pre_tokens)
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
-    def spaced(self, text: str) -> str:
-        """The pre-tokens of a lower-cased text of settled characters, one space after each."""
-        codes = np.frombuffer(text.encode("utf-32-le"), "<u4")
-        kind = self.kind[codes]
-        ends = np.ones(len(codes), bool)
-        ends[:-1] = (kind[1:] != kind[:-1]) | (kind[:-1] == 2)  # a number ends after each digit
-        if "'" in text:
-            marks = codes == 39
-            marks[1:] &= kind[:-1] != 0  # an apostrophe inside a run of punctuation stays there
-            for p in np.flatnonzero(marks).tolist():
-                n = 1 if text[p + 1 : p + 2] in ("s", "t", "m", "d") else 2 if text[p + 1 : p + 3] in ("re", "ve", "ll") else 0
-                if n:
-                    ends[p : p + n], ends[p + n] = False, True
-        keep = kind != 3
-        codes, ends = codes[keep], ends[keep]
-        out = np.full(len(codes) + int(ends.sum()), 32, "<u4")
-        out[np.arange(len(codes)) + np.cumsum(ends) - ends] = codes
-        return out.tobytes().decode("utf-32-le")
-
-    def one(self, text: str) -> bytes:
-        if not text.isascii() and self.rare.search(text):
-            return self.whole(text)
-        if self.splits == "space":
-            text = self.spaced(text.lower())
-        return self.quick.encode_to_numpy(text, disallowed_special=()).astype("<u4", copy=False).tobytes() if text else b""
-
-    def batch(self, many: list[str]) -> Iterator[bytes]:
-        known: dict[str, bytes] = {}
-        for t in many:
-            if t not in known:
-                known[t] = self.one(t)
-            yield known[t]
+    def settled(self, text: str) -> bool:
+        return text.isascii() or not self.rare.search(text)
+
+    def chained(self, words: list[str]) -> Iterator[bytes]:
+        """Ids of each word by the library's whole chain, many words a call."""
+        for a in range(0, len(words), self.group):
+            part = words[a : a + self.group]
+            got = self.tokenizer.encode(part, is_pretokenized=True, add_special_tokens=False)
+            raw = np.asarray(got.ids, dtype="<u4").tobytes()
+            ends = (4 * np.searchsorted(np.asarray(got.word_ids, dtype=np.int64), np.arange(len(part) + 1))).tolist()
+            for x, y in zip(ends, ends[1:], strict=False):
+                yield raw[x:y]
+
+    def pre_tokens(self, words: list[str]) -> Iterator[tuple[str, bytes]]:
+        """Each pre-token with its ids. The fast call names no words: the letters that tokens stand for tell where each ends."""
+        for a in range(0, len(words), self.group):
+            part = words[a : a + self.group]
+            shown = [w if w.isascii() and w.isalnum() else charmap_decode(w.encode(), "strict", self.letters)[0] for w in part]
+            (got,) = self.model.encode_batch_fast([shown], is_pretokenized=True, add_special_tokens=False)
+            ids = np.asarray(got.ids, dtype="<u4")
+            raw, reach = ids.tobytes(), np.cumsum(self.sizes[ids])
+            ends = (4 * np.searchsorted(reach, np.cumsum(np.fromiter(map(len, shown), np.int64, len(shown)))) + 4).tolist()
+            at = 0
+            for w, end in zip(part, ends, strict=True):
+                yield w, raw[at:end]
+                at = end
+
+    def chunks(self, chunks: list[str]) -> Iterator[tuple[str, bytes]]:
+        """Each chunk with its ids."""
+        word, plain, other = self.splits == "word", [], []
+        for c in chunks:
+            t = c if not word else " " + c if c[:1] != _MARK else c[1:]
+            (plain if self.settled(t) else other).append((c, t))
+        if other:
+            yield from zip([c for c, _ in other], self.chained([t for _, t in other]), strict=True)
+        find = self.pattern.findall
+        if word:
+            cut = [[t] if t.removeprefix(" ").isalpha() else find(t) for _, t in plain]
+        else:
+            cut = [[t] if t.isalpha() else find(t) for t in [t.lower() for _, t in plain]]
+        self.known.learn(cut)
+        yield from zip([c for c, _ in plain], map(self.known.join, cut), strict=True)
+
+    def joined(self, lists: pa.ListArray) -> Iterator[bytes]:
+        """Ids of each list of chunks: distinct chunks are looked up, Arrow lays their ids out in order."""
+        coded, bounds = lists.flatten().dictionary_encode(), np.cumsum([0, *lists.value_lengths().to_numpy(zero_copy_only=False).tolist()])
+        if not len(coded):
+            yield from (b"" for _ in range(len(lists)))
+            return
+        words = coded.dictionary.to_pylist()
+        self.cache.learn([words])
+        laid = pa.array(map(self.cache.__getitem__, words), pa.large_binary(), size=len(words)).take(coded.indices)
+        at = np.frombuffer(laid.buffers()[1], np.int64)[bounds].tolist()
+        data = memoryview(laid.buffers()[2] or b"")
+        for x, y in zip(at, at[1:], strict=False):
+            yield bytes(data[x:y])
+
+    def batch(self, column: pa.Array | list[str]) -> Iterator[bytes]:
+        """Ids of each text of a column without nulls."""
+        column = pa.array(column, pa.large_string()) if isinstance(column, list) else column.cast(pa.large_string())
+        if self.splits != "word":
+            yield from self.joined(pc.ascii_split_whitespace(column))
+            return
+        odd = pc.match_substring_regex(column, _ODD)
+        usual = self.joined(pc.split_pattern(pc.binary_join_element_wise(pa.scalar(_MARK, pa.large_string()), column, pa.scalar("", pa.large_string())).filter(pc.invert(odd)), " "))
+        strange = column.filter(odd).to_pylist()
+        cut = [[_MARK + c[1:] if c[0] == FIRST else c for c in word_chunks(t)] for t in strange if _MARK not in t]
+        rest = self.joined(pa.array(cut, pa.list_(pa.large_string())))
+        strange = iter(strange)
+        for k in odd.to_pylist():
+            if not k:
+                yield next(usual)
+            else:
+                yield self.whole(t) if _MARK in (t := next(strange)) else next(rest)
 
 
 def _byte_letters() -> dict[int, str]:

@@ -67,7 +67,7 @@ def pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, splits:
         encoder, end = common.text_encoder(tokenizer, splits), np.asarray([end_id], "<u4").tobytes()
         for part in common.slices(batches):
             rows = []
-            for doc_id, ids in zip(part.column(0).to_pylist(), encoder.batch(part.column(1).to_pylist()), strict=True):
+            for doc_id, ids in zip(part.column(0).to_pylist(), encoder.batch(part.column(1)), strict=True):
                 ids += end
                 n = len(ids) // 4
                 first = n if n <= capacity else n % capacity or capacity

@@ -261,7 +261,7 @@ def write_shards(docs: DataFrame, tokenizer: str, out: str, end_id: int = 1, spl
                 filesystem.create_dir(folder, recursive=True)
                 sink = filesystem.open_output_stream(f"{folder}/{path}")
                 writer = ShardWriter(sink, width)
-            for doc_id, ids in zip(part.column(0).to_pylist(), encoder.batch(part.column(1).to_pylist()), strict=True):
+            for doc_id, ids in zip(part.column(0).to_pylist(), encoder.batch(part.column(1)), strict=True):
                 writer.add(key_of(doc_id), ids + end)
         if writer is not None:
             writer.close()
