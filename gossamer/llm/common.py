@@ -182,7 +182,7 @@ class TextEncoder:
         self.sizes = np.zeros(max(vocabulary.values()) + 1, np.int64)
         for token, i in vocabulary.items():
             self.sizes[i] = len(token.removesuffix("</w>") if splits == "space" else token)
-        self.cache, self.known = ChunkCache(self.chunks), ChunkCache(self.pre_tokens)
+        self.cache, self.known = ChunkCache(self.chunks, 250_000), ChunkCache(self.pre_tokens, 60_000)
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
@@ -215,7 +215,11 @@ class TextEncoder:
                 at = end
 
     def chunks(self, chunks: list[str]) -> Iterator[tuple[str, bytes]]:
-        """Each chunk with its ids."""
+        """Each chunk with its ids, a bounded number at a time."""
+        for a in range(0, len(chunks), 4 * self.group):
+            yield from self._some(chunks[a : a + 4 * self.group])
+
+    def _some(self, chunks: list[str]) -> Iterator[tuple[str, bytes]]:
         word, plain, other = self.splits == "word", [], []
         for c in chunks:
             t = c if not word else " " + c if c[:1] != _MARK else c[1:]
