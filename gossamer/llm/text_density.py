@@ -197,7 +197,15 @@ def measure(order: list[Node], body: Node) -> None:
         node.sum = sum(i.density for i in node.items if not isinstance(i, str))
 
 
-def core(order: list[Node]) -> Node:
+_ARTICLE = re.compile(r"(?:^|[\s_-])(?:article|main)(?:$|[\s_-])")
+
+
+def _is_article(node: Node) -> bool:
+    return node.tag in ("article", "main") or bool(node.attributes) and _ARTICLE.search(" ".join(node.named().get(k, "") for k in ("role", "id", "class"))) is not None
+
+
+def cores(order: list[Node]) -> list[Node]:
+    """The subtrees that hold the main text, in page order, none inside another."""
     body = next((n for n in order if n.tag == "body"), order[0])
     measure(order, body)
     inside, todo = [], [body]
@@ -205,24 +213,43 @@ def core(order: list[Node]) -> Node:
         node = todo.pop()
         inside.append(node)
         todo += [i for i in node.items if not isinstance(i, str)]
-    best = max((n for n in inside if n is not body), key=lambda n: (n.sum, n.chars), default=body)
+    best = max(inside, key=lambda n: (n.sum, n.chars))
     if not best.sum:
         best = max(inside, key=lambda n: (n.density, n.chars)) if any(n.density for n in inside) else body
     path, node = [], best
     while node is not None and node is not body:
         path.append(node)
         node = node.parent
-    threshold = min((n.density for n in [*path, body]), default=0.0)
-    for node in reversed(path):
-        if node.tag in ("article", "main") or node.attributes and re.search(r"(?:^|[\s_-])(?:article|main)(?:$|[\s_-])", " ".join(node.named().get(k, "") for k in ("role", "id", "class"))):
-            inner = [n for n in path[: path.index(node)] if n.tag == "article"]
-            return inner[-1] if node.tag != "article" and inner else node
-    for node in reversed(path):
-        if node.density >= threshold and node.chars - node.link_chars > 0:
-            if node.chars > 1.5 * best.chars and node.link_chars > 0.3 * node.chars:
-                continue
-            return node
-    return best
+    threshold = min(n.density for n in [*path, body])
+
+    def grows(node: Node) -> bool:
+        return node.chars - node.link_chars > 0 and not (node.chars > 1.5 * best.chars and node.link_chars > 0.3 * node.chars)
+
+    top, article = next((n for n in reversed(path) if grows(n)), best), False
+    if named := next((n for n in reversed(path) if _is_article(n)), None):
+        inner = [n for n in path[: path.index(named)] if n.tag == "article"]
+        top, article = inner[-1] if named.tag != "article" and inner else named, True
+    if best is body:
+        articles = [n for n in inside[1:] if n.tag in ("article", "main") and n.chars > n.link_chars]
+        if not articles:
+            # lists of links stay out
+            body.items = [i for i in body.items if isinstance(i, str) or i.tag not in BLOCKS or i.density >= threshold or i.link_tags < 2 or 2 * i.link_chars <= i.chars]
+            return [body]
+        top, article = max(articles, key=lambda n: (n.sum, n.chars)), True
+    above, node = set(), top.parent
+    while node is not None:
+        above.add(id(node))
+        node = node.parent
+    found, todo = [], [body]
+    while todo:
+        node = todo.pop()
+        if node is top:
+            found.append(node)
+        elif id(node) not in above and node.density >= threshold and grows(node) and 2 * node.link_chars <= node.chars and (not article or _is_article(node) and not CHROME.search(" ".join(node.named().get(k, "") for k in ("class", "id", "role")))):
+            found.append(node)
+        else:
+            todo += [i for i in reversed(node.items) if not isinstance(i, str)]
+    return found
 
 
 def text_of(root: Node) -> str:
@@ -261,7 +288,7 @@ def extract(source: str | None) -> str:
     if not source:
         return ""
     order = pruned(tree(source))
-    return text_of(core(order))
+    return " ".join(t for t in map(text_of, cores(order)) if t)
 
 
 def main_text(pages: DataFrame) -> DataFrame:

@@ -131,6 +131,21 @@ def test_main_text_of_broken_pages(page, text):
     assert text_density.extract(page) == text
 
 
+PROSE = ["".join(f"<p>{' '.join(f'{half}{k}{j} are some words' for j in range(12))}.</p>" for k in range(3)) for half in "ab"]
+LINKS = "<div>" + "".join(f"<a href=/{k}>linked page {k}</a> " for k in range(8)) + "</div>"
+
+
+@pytest.mark.parametrize("left, right", [("<div>", "</div>"), ("<section>", "</section>"), ("<article>", "</article>"), ("<div><div>", "</div></div>"), ("", "")])
+def test_main_text_without_one_wrapper(left, right):
+    whole = " ".join(re.sub("<[^>]+>", " ", "".join(PROSE)).split())
+    assert text_density.extract(f"<html><body>{LINKS}{left}{PROSE[0]}{right}{left}{PROSE[1]}{right}</body></html>") == whole
+
+
+def test_main_text_right_below_the_body():
+    assert text_density.extract("<body><h1>T</h1><p>A</p><p>B with a <b>bold phrase</b></p></body>") == "T A B with a bold phrase"
+    assert text_density.extract(f"<body>{LINKS}<div>{PROSE[0]}</div><div>Copyright</div></body>") == text_density.extract(PROSE[0])
+
+
 def test_main_text_table_cases(spark):
     rows = [(1, "u", PAGE, 1), (2, None, None, 2), (None, "v", "<p>x", 3), (1, "u", PAGE, 1)]
     got = text_density.main_text(spark.createDataFrame(rows, "page_id long, url string, html string, n_chars int")).collect()
