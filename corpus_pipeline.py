@@ -15,14 +15,12 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each group stays; of repeated rows with that id, one.
+    """The smallest doc_id of each group stays; of its texts in that group, one.
 
-    Rows without an id belong to no group: they stay, equal texts once.
+    Groups are of texts: a doc_id whose texts differ may stay once in each of their groups. Rows without an id
+    belong to no group: they stay, equal texts once.
     """
-    named = docs.where("doc_id is not null")
-    groups = golay_simhash.near_duplicates(named)
-    first = groups.where("doc_id = component_id").select("doc_id").distinct()
-    stay = golay_simhash.one_row(named.join(first, "doc_id", "left_semi").select(*docs.columns))
+    stay = golay_simhash.survivors(docs.where("doc_id is not null"))
     return stay.unionByName(docs.where("doc_id is null").dropDuplicates(["text"]))
 
 

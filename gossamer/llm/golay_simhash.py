@@ -63,16 +63,17 @@ def fingerprint(text: str, width: int = 3, seed: int = 42) -> int:
     return int((np.uint64(1) << _BITS[2 * ones > n]).sum(dtype=np.uint64)) if (2 * ones > n).any() else 0
 
 
-def fingerprints(docs: DataFrame, width: int = 3, seed: int = 42) -> DataFrame:
-    """``doc_id, fp``: the 64 bits as a signed long."""
+def fingerprints(docs: DataFrame, width: int = 3, seed: int = 42, hashed: bool = False) -> DataFrame:
+    """``doc_id, fp``: the 64 bits as a signed long. ``hashed`` adds ``text_hash``."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in common.slices(batches):
             many = part.column(1).to_pylist()
             known = {t: fingerprint(t, width, seed) for t in set(many)}
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.asarray([known[t] for t in many], np.uint64).view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.asarray([known[t] for t in many], np.uint64).view(np.int64)), *part.columns[2:]], ["doc_id", "fp", *["text_hash"] * hashed])
 
-    return common.texts(docs).mapInArrow(run, "doc_id long, fp long")
+    more = [F.xxhash64("text").alias("text_hash")] if hashed else []
+    return common.texts(docs, *more).mapInArrow(run, "doc_id long, fp long" + ", text_hash long" * hashed)
 
 
 # --- Golay keys ----------------------------------------------------------------------------------
@@ -238,19 +239,31 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
 def near_duplicates(docs: DataFrame, width: int = 3, radius: int = 3, seed: int = 42) -> DataFrame:
     """``doc_id, fp, component_id``: the smallest doc_id that links reach, for every document."""
     prints = common.settled(fingerprints(docs, width, seed), "fingerprints")
-    groups = common.settled(prints.groupBy("fp").agg(F.min("doc_id").alias("first")), "distinct")
+    joined, best = _grouped(prints, "doc_id", radius)
+    named = joined.join(best.withColumnRenamed("least", "component_id"), "root").select("fp", "component_id")
+    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
+
+
+def _grouped(prints: DataFrame, value: str, radius: int) -> tuple[DataFrame, DataFrame]:
+    """``fp, first, root`` of every distinct fingerprint, and ``root, least``: the least ``value`` of each component."""
+    groups = common.settled(prints.groupBy("fp").agg(F.min(value).alias("first")), "distinct")
     roots = components(links(groups, radius))
     joined = groups.join(roots, groups.fp == roots.node, "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
-    best = joined.groupBy("root").agg(F.min("first").alias("component_id"))
-    named = joined.join(best, "root").select("fp", "component_id")
-    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
+    return joined, joined.groupBy("root").agg(F.min("first").alias("least"))
 
 
-def fingerprint_hex(fp: Column) -> Column:
-    return F.lower(F.lpad(F.hex(fp), 16, "0"))
+def survivors(docs: DataFrame, width: int = 3, radius: int = 3, seed: int = 42) -> DataFrame:
+    """One row of each component, with all its columns: the smallest doc_id, of its texts there the one of the smallest hash.
+
+    Components are told apart by their fingerprints, so that rows of one doc_id in several of them stay in each.
+    """
+    prints = fingerprints(docs, width, seed, hashed=True)
+    _, best = _grouped(prints.select("fp", F.struct("doc_id", "text_hash").alias("row")), "row", radius)
+    chosen = best.select("least.doc_id", F.col("least.text_hash").alias("__h"))
+    order = Window.partitionBy("doc_id", "__h").orderBy("text")
+    found = docs.withColumn("__h", F.xxhash64("text")).join(chosen, ["doc_id", "__h"], "left_semi")
+    return found.withColumn("__row", F.row_number().over(order)).where("__row = 1").select(*docs.columns)
 
 
-def one_row(docs: DataFrame) -> DataFrame:
-    """One row of each doc_id: of repeated ids the one whose text hash, then text, is smallest."""
-    order = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"), F.col("text"))
-    return docs.withColumn("__row", F.row_number().over(order)).where("__row = 1").drop("__row")
+def fingerprint_hex(fp: Column) -> Column:
+    return F.lower(F.lpad(F.hex(fp), 16, "0"))

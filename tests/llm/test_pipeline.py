@@ -40,3 +40,14 @@ def test_odd_rows_pass_every_stage(spark):
             assert now.columns == docs.columns, name
         last = corpus_pipeline.packing(spark, now, "")
         assert last.count() >= now.count() and now.where("doc_id is null").count() == (start.count() > 0)
+
+
+def test_each_group_keeps_one_row_whatever_its_ids(spark):
+    a, b, c = (" ".join(f"{w}{k} is here" for k in range(40)) for w in "abc")
+    rows = [(7, a), (7, b), (8, b), (2, c), (5, c), (5, a.upper() + " x y z"), (5, "alone with its own words"), (5, "alone with its own words")]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t), None, None, None, None) for i, t in rows], SCHEMA)
+    groups = brute_components([(k, fingerprint_of(t)) for k, (_, t) in enumerate(rows)])
+    want = sorted(min(rows[k] for k in groups if groups[k] == g) for g in {*groups.values()})
+    got = corpus_pipeline.near_dedup(spark, docs, "")
+    assert got.columns == docs.columns and sorted((r.doc_id, r.text) for r in got.collect()) == want
+    assert {(7, a), (7, b), (2, c), (5, "alone with its own words")} <= {*want}
