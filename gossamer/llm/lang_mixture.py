@@ -174,7 +174,10 @@ def identified(docs: DataFrame, fit_docs: int = FIT_DOCS) -> DataFrame:
 
 
 def kept(docs: DataFrame, fit_docs: int = FIT_DOCS) -> DataFrame:
-    """The documents whose text has a language, with all their columns; the others are rejected."""
+    """The documents whose text has a language, with all their columns; the others are rejected.
+
+    If no language could be learnt, null texts and texts without a letter are rejected and nothing else.
+    """
     model = learn(docs, fit_docs)
     schema = docs.schema
     sent = docs.sparkSession.sparkContext.broadcast((model.languages, model.log_p))
@@ -183,6 +186,7 @@ def kept(docs: DataFrame, fit_docs: int = FIT_DOCS) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Model(*sent.value)
         for part in common.slices(batches):
-            yield part.filter(pa.array([own.predict(t)[0] != "und" for t in part.column(at).to_pylist()]))
+            many = part.column(at).to_pylist()
+            yield part.filter(pa.array([own.predict(t)[0] != "und" if own.languages else t is not None and has_letter(t) for t in many], pa.bool_()))
 
     return docs.mapInArrow(run, schema)

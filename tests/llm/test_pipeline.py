@@ -1,6 +1,7 @@
 """The corpus pipeline against brute force."""
 
 import re
+import zlib
 
 import corpus_pipeline
 from gossamer.llm import common, secret_cnn
@@ -51,3 +52,12 @@ def test_each_group_keeps_one_row_whatever_its_ids(spark):
     got = corpus_pipeline.near_dedup(spark, docs, "")
     assert got.columns == docs.columns and sorted((r.doc_id, r.text) for r in got.collect()) == want
     assert {(7, a), (7, b), (2, c), (5, "alone with its own words")} <= {*want}
+
+
+def test_no_learnt_language_rejects_no_lettered_text(spark):
+    texts = ["some words", None, "12 34", "", "日本語", "more words"]
+    docs = spark.createDataFrame([(i, t, None, "s", 1, None, None, None, None) for i, t in enumerate(texts)], SCHEMA)
+    held = next(i for i in range(100) if zlib.crc32(str(i).encode()) % 5 == 0)  # the only label, in the held-out fifth
+    for start in (docs, docs.unionByName(docs.where("doc_id = 0").selectExpr(f"{held}L AS doc_id", "'held out' AS text", "'en' AS lang", *docs.columns[3:]))):
+        got = corpus_pipeline.language_id(spark, start, "")
+        assert got.columns == docs.columns and sorted(r.text for r in got.collect()) == sorted(r.text for r in start.collect() if r.text and any(c.isalpha() for c in r.text))
