@@ -314,6 +314,25 @@ def error_of(points: DataFrame, w: list) -> float:
     return points.crossJoin(F.broadcast(state)).agg(F.avg(F.array_min(distances("x", F.col("w"))) * 0.5)).first()[0]
 
 
+def errors_of(points: DataFrame, states: list[np.ndarray]) -> list[float]:
+    """Mean quantisation errors of several states over all points, in one pass: a row for each task and state."""
+    if not states:
+        return []
+    sent = points.sparkSession.sparkContext.broadcast(states)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, n = np.zeros(len(sent.value)), 0
+        for batch in batches:
+            if batch.num_rows:
+                x = batch.column(0).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+                sums += [0.5 * kernel.distances(x, w).min(axis=1).sum() for w in sent.value]
+                n += batch.num_rows
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(sums)), pa.int32()), pa.array(sums), pa.array([n] * len(sums), pa.int64())], ["state", "loss", "n"])
+
+    rows = points.select("x").mapInArrow(run, "state int, loss double, n long").groupBy("state").agg((F.sum("loss") / F.sum("n")).alias("error")).collect()
+    return [r.error for r in sorted(rows, key=lambda r: r.state)]
+
+
 # --- methods -----------------------------------------------------------------------------------------------------
 
 

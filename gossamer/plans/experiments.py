@@ -8,7 +8,6 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gossamer.config import DescentConfig
-from gossamer.functions import kernel
 from gossamer.operators import metrics
 from gossamer.operators.descent import as_array, batch_descent, gossip_sgd, initial_state, oneshot_sgd
 from gossamer.operators.draws import minibatches
@@ -52,16 +51,17 @@ def k_sweep(spark: SparkSession, points: DataFrame, ks=(10, 30, 100), cfg: Desce
     return metrics.k_scaling(_frame(spark, [one_run(points, cfg.with_(k=k), m) for k in ks for m in ("gossip", "oneshot")]))
 
 
-def convergence(points: DataFrame, cfg: DescentConfig, methods=("gossip", "silent", "oneshot")) -> list[tuple]:
-    """``run_id, round, touched, secs, error`` along each run, on a fixed sample for the error; the walk runs in one task's worth."""
-    from gossamer.operators.descent import Rounds, _sorted_batches, plan_of
+def convergence(points: DataFrame, cfg: DescentConfig, methods=("gossip", "silent", "oneshot"), truth: DataFrame | None = None) -> list[tuple]:
+    """``run_id, round, touched, secs, error`` along each run; the walk runs in one task's worth.
+
+    Errors are means over all points, taken in one pass after the runs. With ``truth (center, mu)`` the centre error follows.
+    """
+    from gossamer.operators.descent import Rounds, _sorted_batches, errors_of, plan_of
 
     w0 = initial_state(points, cfg)
-    held = points.orderBy(F.xxhash64("sample_id")).limit(2000).select("x").toArrow()
-    x = held.column("x").combine_chunks().flatten().to_numpy().reshape(held.num_rows, -1)
     import numpy as np
 
-    rows = []
+    rows, seen_states = [], []
     for method in methods:
         own = cfg.with_(comm="silent") if method != "gossip" else cfg
         if method == "oneshot":
@@ -72,24 +72,31 @@ def convergence(points: DataFrame, cfg: DescentConfig, methods=("gossip", "silen
 
         def seen(t, states, method=method, own=own, began=began, every=every):
             if t % every == every - 1:
-                w = states[0] if own.final == "first" else states.mean(axis=0)
-                rows.append((f"{method}-{own.seed}", t, (t + 1) * own.b * own.workers, time.time() - began, kernel.loss(x, w)))
+                seen_states.append(states[0] if own.final == "first" else states.mean(axis=0))
+                rows.append((f"{method}-{own.seed}", t, (t + 1) * own.b * own.workers, time.time() - began))
 
         Rounds(own, np.asarray(w0), mail).run(_sorted_batches(drawn), seen)
-    return rows
+    rows = [(*r, e) for r, e in zip(rows, errors_of(points, seen_states), strict=True)]
+    if truth is None:
+        return rows
+    mu = np.asarray([r.mu for r in truth.orderBy("center").collect()])
+    return [(*r, metrics.center_error(mu, w)) for r, w in zip(rows, seen_states, strict=True)]
 
 
 def trace_frame(spark: SparkSession, rows: list[tuple]) -> DataFrame:
-    return spark.createDataFrame(rows, "run_id string, round int, touched long, secs double, error double")
+    """The rows of ``convergence``; ``center`` is null where no truth was given."""
+    return spark.createDataFrame([(*r, None)[:6] for r in rows], "run_id string, round int, touched long, secs double, error double, center double")
 
 
-def repeats(spark: SparkSession, points: DataFrame, seeds=range(10), cfg: DescentConfig = BASE) -> DataFrame:
-    """Final errors of every method over seeds: mean, variance, range."""
+def repeats(spark: SparkSession, points: DataFrame, seeds=range(10), cfg: DescentConfig = BASE, truth: DataFrame | None = None) -> DataFrame:
+    """Final errors of every method over seeds: mean, variance, range; the mean centre error where the truth is known."""
     rows = []
     for s in seeds:
-        rows += convergence(points, cfg.with_(seed=s))
-    last = metrics.final_error(trace_frame(spark, rows)).withColumn("method", F.split("run_id", "-")[0])
-    return metrics.summarise(last, "method")
+        rows += convergence(points, cfg.with_(seed=s), truth=truth)
+    frame = trace_frame(spark, rows)
+    center = frame.groupBy("run_id").agg(F.max_by("center", "round").alias("center")).groupBy(F.split("run_id", "-")[0].alias("method")).agg(F.avg("center").alias("center_mean"))
+    last = metrics.final_error(frame).withColumn("method", F.split("run_id", "-")[0])
+    return metrics.summarise(last, "method").join(center, "method")
 
 
 def overhead(spark: SparkSession, points: DataFrame, bs=(50, 200, 500), touched: int = 4000, cfg: DescentConfig = BASE) -> DataFrame:

@@ -174,3 +174,12 @@ def test_gossip_is_not_worse_than_silent(spark):
 def test_stream_replay_equals_batches(spark, small):
     assert catalog.queries()["stream_foreach"](spark, small).count() == 9
     assert catalog.queries()["mailbox_async"](spark, small).count() == 2
+
+
+def test_errors_of_a_run_are_over_all_points(spark):
+    points = S.mix(spark, 3, 3000, 4, tasks=3)
+    cfg = DescentConfig(k=4, b=5, steps=3, workers=2, eps=1.0)
+    rows = experiments.convergence(points, cfg, ("silent",), S.truth(spark, 3, 4))
+    w = descent.as_array(descent.gossip_sgd(points, cfg.with_(comm="silent")).state())
+    assert len(rows) == 3 and abs(rows[-1][4] - descent.error_of(points, w.tolist())) < 1e-9
+    assert abs(rows[-1][5] - metrics.center_error(np.asarray([r.mu for r in S.truth(spark, 3, 4).orderBy("center").collect()]), w)) < 1e-12
