@@ -356,9 +356,12 @@ def gossip_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, en
     raise ValueError(f"no engine {engine!r}")
 
 
-def oneshot_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "fold") -> RunResult:
-    """Workers run alone on single samples; one average at the end. ``arrow``: a worker a task, batches streamed."""
-    cfg = cfg.with_(comm="silent", b=1, final=cfg.final)
+def oneshot_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "fold", final: str = "average") -> RunResult:
+    """Workers run alone on single samples; one average at the end. ``arrow``: a worker a task, batches streamed.
+
+    ``final="first"`` is the variant that returns one worker.
+    """
+    cfg = cfg.with_(comm="silent", b=1, final=final)
     if engine != "arrow":
         return gossip_sgd(points, cfg, w0, engine)
     m = points.count()

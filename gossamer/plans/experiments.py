@@ -16,13 +16,18 @@ from gossamer.sources import points as sets
 BASE = DescentConfig(k=10, b=50, steps=20, workers=4, eps=1.0)
 
 
+def single(cfg: DescentConfig) -> DescentConfig:
+    """The same samples touched one at a time."""
+    return cfg.with_(b=1, steps=cfg.steps * cfg.b, eps=cfg.eps / cfg.b)
+
+
 def one_run(points: DataFrame, cfg: DescentConfig, method: str = "gossip", engine: str = "fold") -> dict:
-    """Seconds and error of one run; the samples are placed before the clock starts."""
+    """Seconds and error of one run; the samples are placed before the clock starts. ``oneshot_first``: one-shot without its average."""
     w0 = initial_state(points, cfg)
     if method == "batch":
         secs, out = metrics.timed(points, lambda p: batch_descent(p, cfg, w0))
-    elif method == "oneshot":
-        secs, out = metrics.timed(points, lambda p: oneshot_sgd(p, cfg, w0))
+    elif method in ("oneshot", "oneshot_first"):
+        secs, out = metrics.timed(points, lambda p: oneshot_sgd(p, cfg, w0, final="first" if method == "oneshot_first" else "average"))
     else:
         secs, out = metrics.timed(points, lambda p: gossip_sgd(p, cfg.with_(comm="silent" if method == "silent" else cfg.comm), w0, engine))
     w = as_array(out.state())
@@ -30,7 +35,7 @@ def one_run(points: DataFrame, cfg: DescentConfig, method: str = "gossip", engin
 
     counts = out.states.agg(F.sum("sent"), F.sum("received"), F.sum("good")).first()
     m = points.count() if method == "batch" else 0
-    return {"method": method, "workers": cfg.workers, "k": cfg.k, "b": cfg.b, "seed": cfg.seed, "touched": metrics.touched(method, cfg.steps, m, cfg.workers, cfg.b), "secs": secs, "error": error_of(points, w.tolist()), "sent": counts[0], "received": counts[1], "good": counts[2], "final": cfg.final}
+    return {"method": method, "workers": cfg.workers, "k": cfg.k, "b": cfg.b, "seed": cfg.seed, "touched": metrics.touched(method, cfg.steps, m, cfg.workers, cfg.b), "secs": secs, "error": error_of(points, w.tolist()), "sent": counts[0], "received": counts[1], "good": counts[2], "final": out.config.final}
 
 
 def _frame(spark: SparkSession, rows: list[dict]) -> DataFrame:
@@ -38,17 +43,18 @@ def _frame(spark: SparkSession, rows: list[dict]) -> DataFrame:
 
 
 def strong_scaling(spark: SparkSession, points: DataFrame, touched: int = 4000, workers=(2, 4, 8), cfg: DescentConfig = BASE) -> DataFrame:
-    """Fixed samples touched, more workers; speed-up and efficiency by method."""
-    rows = []
+    """Fixed samples touched, more workers; speed-up and efficiency by method. Batch takes whole passes: one at least."""
+    rows, passes = [], max(1, round(touched / points.count()))
     for n in workers:
         each = cfg.with_(workers=n, steps=max(1, touched // (n * cfg.b)))
         rows += [one_run(points, each, "gossip", "superstep"), one_run(points, each.with_(b=1, steps=max(1, touched // n), eps=cfg.eps / cfg.b), "oneshot")]
-        rows.append(one_run(points, cfg.with_(workers=n, steps=2), "batch"))
+        rows.append(one_run(points, cfg.with_(workers=n, steps=passes), "batch"))
     return metrics.scaling_table(_frame(spark, rows))
 
 
 def k_sweep(spark: SparkSession, points: DataFrame, ks=(10, 30, 100), cfg: DescentConfig = BASE) -> DataFrame:
-    return metrics.k_scaling(_frame(spark, [one_run(points, cfg.with_(k=k), m) for k in ks for m in ("gossip", "oneshot")]))
+    """Seconds over ln k; both methods touch the same number of samples."""
+    return metrics.k_scaling(_frame(spark, [one_run(points, each.with_(k=k), m) for k in ks for m, each in (("gossip", cfg), ("oneshot", single(cfg)))]))
 
 
 def convergence(points: DataFrame, cfg: DescentConfig, methods=("gossip", "silent", "oneshot"), truth: DataFrame | None = None) -> list[tuple]:
@@ -64,8 +70,8 @@ def convergence(points: DataFrame, cfg: DescentConfig, methods=("gossip", "silen
     rows, seen_states = [], []
     for method in methods:
         own = cfg.with_(comm="silent") if method != "gossip" else cfg
-        if method == "oneshot":
-            own = own.with_(b=1, steps=cfg.steps * cfg.b, eps=cfg.eps / cfg.b)
+        if method in ("oneshot", "oneshot_first"):
+            own = single(own).with_(final="average" if method == "oneshot" else "first")
         drawn = minibatches(points, own).select("worker", "round", "slot", "x").toArrow()  # n * b * steps samples
         mail, _ = plan_of(points.sparkSession, own)
         began, every = time.time(), max(1, own.steps // 20)

@@ -183,3 +183,21 @@ def test_errors_of_a_run_are_over_all_points(spark):
     w = descent.as_array(descent.gossip_sgd(points, cfg.with_(comm="silent")).state())
     assert len(rows) == 3 and abs(rows[-1][4] - descent.error_of(points, w.tolist())) < 1e-9
     assert abs(rows[-1][5] - metrics.center_error(np.asarray([r.mu for r in S.truth(spark, 3, 4).orderBy("center").collect()]), w)) < 1e-12
+
+
+def test_oneshot_ends_in_the_average_of_its_workers(spark, monkeypatch):
+    points = S.mix(spark, 3, 600, 4, tasks=2)
+    cfg = experiments.single(DescentConfig(k=4, b=5, steps=3, workers=2, eps=1.0))
+    states = descent.oneshot_sgd(points, cfg).states
+    want = {m: descent.error_of(points, descent.as_array(of(states)).tolist()) for m, of in (("oneshot", descent.average), ("oneshot_first", descent.first))}
+    assert abs(want["oneshot"] - want["oneshot_first"]) > 1e-6
+    for m, final in (("oneshot", "average"), ("oneshot_first", "first")):
+        r = experiments.one_run(points, cfg, m)
+        assert abs(r["error"] - want[m]) < 1e-9 and r["final"] == final
+    traced = {r[0].split("-")[0]: r[4] for r in experiments.convergence(points, DescentConfig(k=4, b=5, steps=3, workers=2, eps=1.0), ("oneshot", "oneshot_first"))}
+    assert all(abs(traced[m] - want[m]) < 1e-9 for m in want)
+    seen = []
+    monkeypatch.setattr(experiments, "one_run", lambda points, cfg, method: seen.append(metrics.touched(method, cfg.steps, 0, cfg.workers, cfg.b)) or {"method": method, "k": cfg.k, "secs": 1.0})
+    monkeypatch.setattr(experiments, "_frame", lambda spark, rows: spark.createDataFrame(rows, "method string, k int, secs double"))
+    experiments.k_sweep(spark, points, (5, 20), experiments.BASE.with_(steps=5))
+    assert seen == [1000] * 4
