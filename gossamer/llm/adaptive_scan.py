@@ -136,7 +136,7 @@ def search(vectors: DataFrame, queries: Column, k: int = 20) -> DataFrame:
     if depths is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     rows = rows.where(F.size("embedding") == depths.depth).withColumn("key", F.concat(F.hex(F.xxhash64("embedding")), F.hex(F.xxhash64(F.lit(1), "embedding"))))
-    few = rows.withColumn("n", F.row_number().over(Window.partitionBy("key").orderBy("vec_id"))).where(F.col("n") <= k + 1)
+    few = rows.withColumn("n", F.dense_rank().over(Window.partitionBy("key").orderBy("vec_id"))).where(F.col("n") <= k + 1)
     classes = common.settled(few.groupBy("key").agg(F.array_sort(F.collect_set("vec_id")).alias("ids"), F.first("embedding").alias("embedding")), "vectors")
     n, top = classes.agg(F.count("*"), F.max(F.aggregate("embedding", F.lit(0.0), lambda s, v: s + v * v))).first()
     placed_first = classes.withColumn("h", common.place("key")).where(F.col("h") < common.likely(SAMPLE, F.lit(n)))

@@ -265,6 +265,12 @@ def test_abandoned_candidates_are_far():
     assert len(set(np.argsort(far)[:20]) & set(alive)) >= 19 and (far[alive] <= limit * 1.001).all()
 
 
+def test_repeated_rows_do_not_hide_other_ids(spark):
+    same = [1.0, 2.0, 3.0, 4.0]
+    df = spark.createDataFrame([(1, same)] * 25 + [(i, same) for i in range(2, 6)] + [(9, [9.0, 0.0, 0.0, 1.0])], "vec_id long, embedding array<double>")
+    assert {r.vec_id for r in adaptive_scan.search(df, df.vec_id == 9).collect()} == {1, 2, 3, 4, 5}
+
+
 # --- 5: media -------------------------------------------------------------------------------------------------
 
 
