@@ -19,6 +19,8 @@ from pyspark.sql import functions as F
 
 #: UTF-8 bytes of text that one slice of an Arrow batch holds at most (one longer text forms a slice alone).
 SLICE_BYTES = 8 << 20
+#: The same for encoders, which encode each distinct word of a slice once.
+ENCODER_BYTES = 16 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -139,6 +141,9 @@ class ChunkCache(dict):
 _MARK = "\U0010ffff"
 #: RE2 pattern of a space that no non-space follows, and of ``_MARK``; every kind of white space counts.
 _ODD = r" ([\s\x0b\x1c-\x1f\x{85}\pZ]|\z)|\x{10ffff}"
+#: In bytes that no UTF-8 text has: a space that belongs to the pre-token after it.
+_GAP = b"\xff"
+_NONE, _LETTER_KIND, _NUMBER, _OTHER, _LINE = range(5)
 
 
 def _settled_characters() -> str:
@@ -151,12 +156,13 @@ def _settled_characters() -> str:
 
 
 class TextEncoder:
-    """Whole texts to ids (little-endian unsigned 32-bit bytes) with the tokenizers library, each chunk once.
+    """Whole texts to ids (little-endian unsigned 32-bit bytes) with the tokenizers library, each chunk of a slice once.
 
-    Texts are cut where no pre-token crosses; unseen chunks are encoded together and kept in a bounded cache. All ids come from
-    the library. Chunks of settled characters are cut into pre-tokens here and go to the library's merge model
-    (the same file without its normalizer and pre-tokenizer, a list of pre-tokens a call); other chunks go
-    through the library's whole chain. The strings of special tokens count as ordinary text.
+    Texts are cut where no pre-token crosses and Arrow finds the distinct chunks of a slice. All ids come from the library.
+    Chunks of settled characters are cut into pre-tokens by Arrow and go to the library's merge model (the same file
+    without its normalizer, pre-tokens between spaces), many in a call; the letters that tokens stand for tell where
+    each chunk ends. Other chunks go through the library's whole chain. Nothing is kept from one slice to the next.
+    The strings of special tokens count as ordinary text.
     """
 
     def __init__(self, path: str, splits: str, group: int = 4096):
@@ -172,24 +178,30 @@ class TextEncoder:
         self.tokenizer, self.splits, self.group = Tokenizer.from_file(path), splits, group
         with open(path, encoding="utf-8") as f:
             own = json.load(f)
-        self.model = Tokenizer.from_str(json.dumps(own | {"normalizer": None, "pre_tokenizer": None, "post_processor": None}))
+        self.model = Tokenizer.from_str(json.dumps(own | {"normalizer": None, "pre_tokenizer": {"type": "WhitespaceSplit"}, "post_processor": None}))
         for t in (self.tokenizer, self.model):
             t.encode_special_tokens = True
-        self.pattern = regex.compile(public_tokenizers.PATTERN if splits == "word" else own["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"])
-        self.letters = "".join(c for _, c in sorted(_byte_letters().items()))
-        self.rare = re.compile(f"[^{re.escape(_settled_characters())}]")
+        word = splits == "word"
+        self.pattern = regex.compile(public_tokenizers.PATTERN if word else own["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"])
+        letters = _byte_letters()
+        self.letters = "".join(" " if b == 0x20 else letters[0x20] if b == _GAP[0] else letters[b] for b in range(256))
+        known = _settled_characters()
+        self.rare = re.compile(f"[^{re.escape(known)}]")
+        usual = "".join(f"\\x{{{ord(c):x}}}" for c in known if not c.isspace() and c != "'")
+        # no apostrophe, no white space but single line ends: then pre-tokens are runs of letters, numbers and signs
+        self.plain = f"^{_MARK}?[{usual}]+(\n[{usual}]+)*$" if word else f"^[{usual}]+$"
+        self.kinds = np.full(0x2100, _OTHER, np.uint8)
+        for c in known:
+            self.kinds[ord(c)] = {"L": _LETTER_KIND, "N": _NUMBER}.get(unicodedata.category(c)[0], _LINE if c == "\n" else _OTHER)
+        self.kinds[-1] = _NONE  # of ``_GAP``
         vocabulary = self.model.get_vocab(with_added_tokens=False)
         self.sizes = np.zeros(max(vocabulary.values()) + 1, np.int64)
         for token, i in vocabulary.items():
-            self.sizes[i] = len(token.removesuffix("</w>") if splits == "space" else token)
-        self.cache, self.known = ChunkCache(self.chunks, 250_000), ChunkCache(self.pre_tokens, 60_000)
+            self.sizes[i] = len(token if word else token.removesuffix("</w>"))
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
-    def settled(self, text: str) -> bool:
-        return text.isascii() or not self.rare.search(text)
-
     def chained(self, words: list[str]) -> Iterator[bytes]:
         """Ids of each word by the library's whole chain, many words a call."""
         for a in range(0, len(words), self.group):
@@ -200,51 +212,76 @@ class TextEncoder:
             for x, y in zip(ends, ends[1:], strict=False):
                 yield raw[x:y]
 
-    def pre_tokens(self, words: list[str]) -> Iterator[tuple[str, bytes]]:
-        """Each pre-token with its ids. The fast call names no words: the letters that tokens stand for tell where each ends."""
-        for a in range(0, len(words), self.group):
-            part = words[a : a + self.group]
-            shown = [w if w.isascii() and w.isalnum() else charmap_decode(w.encode(), "strict", self.letters)[0] for w in part]
-            (got,) = self.model.encode_batch_fast([shown], is_pretokenized=True, add_special_tokens=False)
-            ids = np.asarray(got.ids, dtype="<u4")
-            raw, reach = ids.tobytes(), np.cumsum(self.sizes[ids])
-            ends = (4 * np.searchsorted(reach, np.cumsum(np.fromiter(map(len, shown), np.int64, len(shown)))) + 4).tolist()
-            at = 0
-            for w, end in zip(part, ends, strict=True):
-                yield w, raw[at:end]
-                at = end
-
-    def chunks(self, chunks: list[str]) -> Iterator[tuple[str, bytes]]:
-        """Each chunk with its ids, a bounded number at a time."""
-        for a in range(0, len(chunks), 4 * self.group):
-            yield from self._some(chunks[a : a + 4 * self.group])
-
-    def _some(self, chunks: list[str]) -> Iterator[tuple[str, bytes]]:
-        word, plain, other = self.splits == "word", [], []
-        for c in chunks:
-            t = c if not word else " " + c if c[:1] != _MARK else c[1:]
-            (plain if self.settled(t) else other).append((c, t))
-        if other:
-            yield from zip([c for c, _ in other], self.chained([t for _, t in other]), strict=True)
-        find = self.pattern.findall
-        if word:
-            cut = [[t] if t.removeprefix(" ").isalpha() else find(t) for _, t in plain]
+    def merged(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all pre-tokens one after another, and the borders between them."""
+        cut = pc.binary_join_element_wise(words, pa.scalar(b"", pa.large_binary()), pa.scalar(b" ", pa.large_binary()))
+        at, raw = _buffers(cut)
+        shown = charmap_decode(raw, "strict", self.letters)[0]
+        stops = [*range(0, len(cut), self.group), len(cut)]
+        got = self.model.encode_batch_fast([shown[at[a] : at[b]] for a, b in zip(stops, stops[1:], strict=False)], add_special_tokens=False)
+        ids = np.concatenate([np.asarray(g.ids, dtype="<u4") for g in got]) if got else np.zeros(0, "<u4")
+        reach = at - np.arange(len(at))  # letters up to each border
+        laid = np.concatenate([[0], np.cumsum(self.sizes[ids])])
+        ends = np.searchsorted(laid, reach)
+        if (laid[ends] != reach).any():
+            raise ValueError("the vocabulary lacks single bytes")
+        return ids, ends
+
+    def plain_cut(self, chunks: pa.Array) -> tuple[pa.Array, np.ndarray]:
+        """The pre-tokens of plain chunks in bytes, ``_GAP`` for a space before one, and how many precede each border of chunks."""
+        if self.splits == "word":
+            kinds = pa.large_binary()
+            before = pc.if_else(pc.starts_with(chunks, _MARK), pa.scalar(b"", kinds), pa.scalar(_GAP, kinds))
+            chunks = pc.binary_join_element_wise(before, pc.replace_substring(chunks, _MARK, "").cast(kinds), pa.scalar(b"", kinds))
         else:
-            cut = [[t] if t.isalpha() else find(t) for t in [t.lower() for _, t in plain]]
-        self.known.learn(cut)
-        yield from zip([c for c, _ in plain], map(self.known.join, cut), strict=True)
+            chunks = pc.utf8_lower(chunks)
+        at, raw = _buffers(chunks)
+        kind = self.kinds[np.minimum(np.frombuffer(bytes(raw).decode("utf-8", "replace").encode("utf-32-le"), "<u4"), len(self.kinds) - 1)]
+        place = np.flatnonzero(np.frombuffer(raw, np.uint8) & 0xC0 != 0x80)  # where characters begin
+        new = np.zeros(len(kind), bool)
+        new[1:] = (kind[1:] != kind[:-1]) & (kind[:-1] != _NONE)
+        if self.splits != "word":
+            new |= kind == _NUMBER
+        new[np.searchsorted(place, at[:-1])] = True
+        borders = np.append(place[new], len(raw))
+        return _binary(borders, raw), np.searchsorted(borders, at)
+
+    def ids_of(self, chunks: pa.Array) -> tuple[pa.Array, np.ndarray]:
+        """Ids of distinct chunks as large binary, in an order of its own, and the place of each chunk there."""
+        is_plain = pc.match_substring_regex(chunks, self.plain)
+        mask = is_plain.to_numpy(zero_copy_only=False)
+        near, far, cut, sizes = [], [], [], []
+        for c in chunks.filter(pc.invert(is_plain)).to_pylist():
+            t = c if self.splits != "word" else " " + c if c[:1] != _MARK else c[1:]
+            near.append(t.isascii() or not self.rare.search(t))
+            if near[-1]:
+                pre = self.pattern.findall(t if self.splits == "word" else t.lower())
+                cut += [p.encode().replace(b" ", _GAP) for p in pre]
+                sizes.append(len(pre))
+            else:
+                far.append(t)
+        words, borders = self.plain_cut(chunks.filter(is_plain))
+        coded = pa.concat_arrays([words, pa.array(cut, pa.large_binary())]).dictionary_encode()
+        borders = np.concatenate([borders, len(words) + np.cumsum(sizes, dtype=np.int64)])
+        ids, ends = self.merged(coded.dictionary)
+        at, laid = _buffers(_binary(4 * ends, ids).take(coded.indices))
+        found = _binary(at[borders], laid)
+        near, place, n = np.asarray(near, bool), np.empty(len(chunks), np.int64), int(mask.sum())
+        rest = np.empty(len(near), np.int64)
+        rest[near], rest[~near] = n + np.arange(len(sizes)), n + len(sizes) + np.arange(len(far))
+        place[mask], place[~mask] = np.arange(n), rest
+        return pa.concat_arrays([found, pa.array(self.chained(far), pa.large_binary(), size=len(far))]) if far else found, place
 
     def joined(self, lists: pa.ListArray) -> Iterator[bytes]:
-        """Ids of each list of chunks: distinct chunks are looked up, Arrow lays their ids out in order."""
+        """Ids of each list of chunks: distinct chunks are encoded, Arrow lays their ids out in order."""
         coded, bounds = lists.flatten().dictionary_encode(), np.cumsum([0, *lists.value_lengths().to_numpy(zero_copy_only=False).tolist()])
         if not len(coded):
             yield from (b"" for _ in range(len(lists)))
             return
-        words = coded.dictionary.to_pylist()
-        self.cache.learn([words])
-        laid = pa.array(map(self.cache.__getitem__, words), pa.large_binary(), size=len(words)).take(coded.indices)
-        at = np.frombuffer(laid.buffers()[1], np.int64)[bounds].tolist()
-        data = memoryview(laid.buffers()[2] or b"")
+        ids, place = self.ids_of(coded.dictionary)
+        laid = ids.take(pa.array(place[coded.indices.to_numpy()]))
+        at, data = _buffers(laid)
+        at = at[bounds].tolist()
         for x, y in zip(at, at[1:], strict=False):
             yield bytes(data[x:y])
 
@@ -267,6 +304,18 @@ class TextEncoder:
                 yield self.whole(t) if _MARK in (t := next(strange)) else next(rest)
 
 
+def _buffers(values: pa.Array) -> tuple[np.ndarray, memoryview]:
+    """Borders, from 0, and bytes of a large binary or string array without nulls."""
+    if not len(values):
+        return np.zeros(1, np.int64), memoryview(b"")
+    at = np.frombuffer(values.buffers()[1], np.int64)[values.offset : values.offset + len(values) + 1]
+    return at - at[0], memoryview(values.buffers()[2] or b"")[at[0] : at[-1]]
+
+
+def _binary(borders: np.ndarray, data) -> pa.Array:
+    return pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(borders) - 1, [None, pa.py_buffer(np.ascontiguousarray(borders, np.int64)), pa.py_buffer(data)])
+
+
 def _byte_letters() -> dict[int, str]:
     """Byte -> the printable character that stands for it in byte-level vocabularies."""
     shown = [*range(33, 127), *range(161, 173), *range(174, 256)]

@@ -2,9 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterable, Iterator
+from collections.abc import Callable
 
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -28,13 +27,7 @@ def op1_sstable_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from zlib import crc32
 
     manifest = sstable.write_shards(common.table(spark, sf_dir, "documents"), vocabulary(spark, "word_bpe_49k.json"), sstable.shard_folder(spark), END_ID)
-    read = sstable.read_shards(manifest, int(spark.conf.get("spark.sql.shuffle.partitions")))
-
-    def digest(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array([crc32(x) for x in b.column(3).to_pylist()], pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
-
-    return read.mapInArrow(digest, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return sstable.read_shards(manifest, int(spark.conf.get("spark.sql.shuffle.partitions")), "ids_crc32 long", crc32)
 
 
 def op2_text_density(spark: SparkSession, sf_dir: str) -> DataFrame:

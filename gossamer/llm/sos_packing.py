@@ -65,7 +65,7 @@ def pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, splits:
 
     def cut(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, end = common.text_encoder(tokenizer, splits), np.asarray([end_id], "<u4").tobytes()
-        for part in common.slices(batches):
+        for part in common.slices(batches, most=common.ENCODER_BYTES):
             rows = []
             for doc_id, ids in zip(part.column(0).to_pylist(), encoder.batch(part.column(1)), strict=True):
                 ids += end

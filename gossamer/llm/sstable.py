@@ -13,7 +13,8 @@ filter, bisects the index, bisects the restart points and scans at most ``RESTAR
 Cases: a null text is an empty document (its end id alone); a null doc_id sorts first; equal doc_ids
 stay, ordered by the hash of their texts; an empty table gives no shard rows; other columns of the
 input are not read. Each attempt of a task writes a file of its own name, and only the manifest of
-successful attempts is read, so retries and speculation leave at most orphan files.
+successful attempts is read, so retries and speculation leave at most orphan files. A shard that reaches
+``SHARD_BYTES`` is closed and the task opens the next, so what a writer holds (index and key hashes) is bounded.
 """
 
 from __future__ import annotations
@@ -21,8 +22,9 @@ from __future__ import annotations
 import struct
 import uuid
 import zlib
+from array import array
 from bisect import bisect_left
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -38,6 +40,8 @@ MAGIC = b"GSMSST01"
 RESTART = 16
 BLOCK_BYTES = 64 << 10
 BLOOM_BITS, BLOOM_HASHES = 10, 7
+SHARD_BYTES = 256 << 20
+PARTS = 1 << 20  #: shard numbers of one task
 FOOTER = struct.Struct("<QQQQQQQI8s")  # index place, size; Bloom place, size, bits; documents, ids; id width; magic
 MANIFEST = "shard long, path string, first_key binary, last_key binary, n_docs long, n_ids long, n_bytes long"
 
@@ -117,15 +121,20 @@ def _entries(raw: bytes, at: int, end: int) -> Iterator[tuple[bytes, bytes]]:
         at += size
 
 
-def _bloom_places(key: bytes, bits: int) -> list[int]:
-    a, b = xxhash.xxh64_intdigest(key, seed=1), xxhash.xxh64_intdigest(key, seed=2) | 1
-    return [(a + i * b) % bits for i in range(BLOOM_HASHES)]
+def _bloom_hashes(key: bytes) -> tuple[int, int]:
+    return xxhash.xxh64_intdigest(key, seed=1) >> 8, xxhash.xxh64_intdigest(key, seed=2) >> 8 | 1
+
+
+def _bloom_places(hashes: np.ndarray, bits: int) -> np.ndarray:
+    """Filter places of keys, ``hashes`` two a row."""
+    a, b = hashes[:, :1] % np.uint64(bits), hashes[:, 1:] % np.uint64(bits)
+    return (a + np.arange(BLOOM_HASHES, dtype=np.uint64) * b) % np.uint64(bits)
 
 
 class ShardWriter:
     def __init__(self, out, width: int):
         self.out, self.width, self.at = out, width, 0
-        self.block, self.index, self.keys = Block(), [], []
+        self.block, self.index, self.hashes = Block(), [], array("Q")
         self.n_docs = self.n_ids = self.block_ids = 0
         self.first = self.last = None
         self._write(MAGIC)
@@ -139,8 +148,14 @@ class ShardWriter:
         if self.last is not None and key < self.last:
             raise ValueError("keys must come in ascending order")
         self.first, self.last = key if self.first is None else self.first, key
-        self.block.add(key, np.frombuffer(ids, "<u4").astype("<u2").tobytes() if self.width == 2 else ids)
-        self.keys.append(key)
+        if self.width == 2:
+            wide = np.frombuffer(ids, "<u4")
+            if len(wide) and wide.max() > 0xFFFF:
+                raise ValueError("ids over 65,535 need a width of 4 bytes")
+            self.block.add(key, wide.astype("<u2").tobytes())
+        else:
+            self.block.add(key, ids)
+        self.hashes.extend(_bloom_hashes(key))
         self.n_docs, self.n_ids, self.block_ids = self.n_docs + 1, self.n_ids + len(ids) // 4, self.block_ids + len(ids) // 4
         if len(self.block.data) >= BLOCK_BYTES:
             self._end_block()
@@ -161,8 +176,9 @@ class ShardWriter:
         self._write(stored)
         bits = max(64, BLOOM_BITS * self.n_docs)
         bloom = np.zeros((bits + 7) // 8 * 8, dtype=bool)
-        for key in self.keys:
-            bloom[_bloom_places(key, bits)] = True
+        hashes = np.frombuffer(self.hashes, np.uint64).reshape(-1, 2)
+        for a in range(0, len(hashes), 65_536):
+            bloom[_bloom_places(hashes[a : a + 65_536], bits)] = True
         packed, bloom_at = np.packbits(bloom).tobytes(), self.at
         self._write(packed)
         self._write(FOOTER.pack(index_at, len(stored), bloom_at, len(packed), bits, self.n_docs, self.n_ids, self.width, MAGIC))
@@ -195,7 +211,7 @@ class ShardReader:
     def may_hold(self, key: bytes) -> bool:
         if self.bloom is None:
             self.bloom = np.unpackbits(np.frombuffer(self._read(self.bloom_at, self.bloom_size), np.uint8))
-        return bool(self.bloom[_bloom_places(key, self.bits)].all())
+        return bool(self.bloom[_bloom_places(np.asarray([_bloom_hashes(key)], np.uint64), self.bits)].all())
 
     def get(self, key: bytes) -> list[bytes]:
         """The ids of every document of this key."""
@@ -239,8 +255,8 @@ def _opened(uri: str):
     return filesystem, path
 
 
-def write_shards(docs: DataFrame, tokenizer: str, out: str, end_id: int = 1, splits: str = "space", width: int = 2) -> DataFrame:
-    """Encodes ``docs (doc_id, text)`` and writes one shard for each range of doc_ids; returns the manifest.
+def write_shards(docs: DataFrame, tokenizer: str, out: str, end_id: int = 1, splits: str = "space", width: int = 2, most: int = SHARD_BYTES) -> DataFrame:
+    """Encodes ``docs (doc_id, text)`` and writes the shards of each range of doc_ids; returns the manifest.
 
     Only the raw rows are shuffled, by range; encoding and writing follow in the same task, in order.
     The manifest has one row a shard; ``shard`` ascends with the keys.
@@ -252,21 +268,27 @@ def write_shards(docs: DataFrame, tokenizer: str, out: str, end_id: int = 1, spl
     def write(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        shard, writer, sink = TaskContext.get().partitionId(), None, None
+        shard, writer, place = TaskContext.get().partitionId() * PARTS, None, ""
         encoder = common.text_encoder(tokenizer, splits)
         filesystem, folder = _opened(out)
-        path = f"shard-{shard:06d}-{uuid.uuid4().hex}.sst"
-        for part in common.slices(batches):
-            if writer is None:
-                filesystem.create_dir(folder, recursive=True)
-                sink = filesystem.open_output_stream(f"{folder}/{path}")
-                writer = ShardWriter(sink, width)
+
+        def closed() -> pa.RecordBatch:
+            writer.close()
+            row = (shard, place, writer.first, writer.last, writer.n_docs, writer.n_ids, writer.at)
+            return pa.RecordBatch.from_arrays([pa.array([x], type=t) for x, t in zip(row, (pa.int64(), pa.string(), pa.binary(), pa.binary(), *[pa.int64()] * 3), strict=True)], ["shard", "path", "first_key", "last_key", "n_docs", "n_ids", "n_bytes"])
+
+        for part in common.slices(batches, most=common.ENCODER_BYTES):
             for doc_id, ids in zip(part.column(0).to_pylist(), encoder.batch(part.column(1)), strict=True):
+                if writer is None:
+                    filesystem.create_dir(folder, recursive=True)
+                    name = f"shard-{shard:012d}-{uuid.uuid4().hex}.sst"
+                    place, writer = f"{out}/{name}", ShardWriter(filesystem.open_output_stream(f"{folder}/{name}"), width)
                 writer.add(key_of(doc_id), ids + end)
+                if writer.at >= most:
+                    yield closed()
+                    shard, writer = shard + 1, None
         if writer is not None:
-            writer.close()
-            row = (shard, f"{out}/{path}", writer.first, writer.last, writer.n_docs, writer.n_ids, writer.at)
-            yield pa.RecordBatch.from_arrays([pa.array([x], type=t) for x, t in zip(row, (pa.int64(), pa.string(), pa.binary(), pa.binary(), *[pa.int64()] * 3), strict=True)], ["shard", "path", "first_key", "last_key", "n_docs", "n_ids", "n_bytes"])
+            yield closed()
 
     return common.settled(ranged.select("doc_id", "text").mapInArrow(write, MANIFEST), "manifest")
 
@@ -277,8 +299,20 @@ def with_starts(manifest: DataFrame) -> DataFrame:
     return manifest.withColumn("before", F.coalesce(before, F.lit(0)).cast("long"))
 
 
-def read_shards(manifest: DataFrame, tasks: int) -> DataFrame:
-    """Every document of the shards: ``doc_id, start, n_tokens, ids`` (little-endian unsigned 32-bit)."""
+def as_ids(ids: bytes) -> bytes:
+    return ids
+
+
+def read_shards(manifest: DataFrame, tasks: int, kind: str = "ids binary", derive: Callable[[bytes], object] = as_ids) -> DataFrame:
+    """Every document of the shards: ``doc_id, start, n_tokens, ids`` (little-endian unsigned 32-bit).
+
+    ``kind`` and ``derive``: a column made of the ids in the same task instead of the ids themselves.
+    """
+    from pyspark.sql.pandas.types import to_arrow_type
+    from pyspark.sql.types import StructType
+
+    field = StructType.fromDDL(kind).fields[0]
+    names, own = ["doc_id", "start", "n_tokens", field.name], to_arrow_type(field.dataType)
 
     def read(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -287,8 +321,8 @@ def read_shards(manifest: DataFrame, tasks: int) -> DataFrame:
                 with filesystem.open_input_file(place) as source:
                     held, size = [], 0
                     for key, at, ids in ShardReader(source).scan():
-                        held.append((id_of(key), before + at, len(ids) // 4, ids))
-                        size += len(ids)
+                        held.append((id_of(key), before + at, len(ids) // 4, derive(ids)))
+                        size += len(ids) + 64
                         if size > common.SLICE_BYTES:
                             yield _rows(held)
                             held, size = [], 0
@@ -296,21 +330,41 @@ def read_shards(manifest: DataFrame, tasks: int) -> DataFrame:
                         yield _rows(held)
 
     def _rows(held: list[tuple]) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(x, type=t) for x, t in zip(zip(*held, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], ["doc_id", "start", "n_tokens", "ids"])
+        return pa.RecordBatch.from_arrays([pa.array(x, type=t) for x, t in zip(zip(*held, strict=True), (pa.int64(), pa.int64(), pa.int64(), own), strict=True)], names)
 
     paths = with_starts(manifest).select("path", "before").repartition(tasks)
-    return paths.mapInArrow(read, "doc_id long, start long, n_tokens long, ids binary")
+    return paths.mapInArrow(read, f"doc_id long, start long, n_tokens long, {kind}")
+
+
+#: Shards whose first and last keys a lookup sends to its tasks at most: 512 TB in shards of ``SHARD_BYTES``.
+MOST_SHARDS = 2_000_000
 
 
 def lookup(manifest: DataFrame, wanted: DataFrame) -> DataFrame:
     """The documents of ``wanted (doc_id)`` by binary search: each id goes to the shards whose range has it.
 
-    The manifest (a row a shard) is the small side of a range join; each task keeps its readers open.
+    The key ranges (18 bytes a shard) are bisected in the tasks, then ids meet their shards by number; each task
+    keeps its reader open.
     """
-    tables = manifest.select("path", "first_key", "last_key")
+    ranges = [(bytes(r.first_key), bytes(r.last_key), r.shard) for r in manifest.select("first_key", "last_key", "shard").orderBy("shard").limit(MOST_SHARDS + 1).toLocalIterator()]
+    if len(ranges) > MOST_SHARDS:
+        raise ValueError(f"a lookup takes at most {MOST_SHARDS} shards")
+    sent = manifest.sparkSession.sparkContext.broadcast(ranges)
     ids = wanted.select(F.col("doc_id").cast("long")).where("doc_id is not null").distinct()
-    key = F.concat(F.unhex(F.lit("01")), F.unhex(F.lpad(F.hex(F.col("doc_id").bitwiseXOR(F.lit(-(1 << 63)))), 16, "0")))
-    routed = ids.withColumn("key", key).join(tables, (F.col("key") >= F.col("first_key")) & (F.col("key") <= F.col("last_key")))
+
+    def route(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lasts = [r[1] for r in sent.value]
+        for batch in batches:
+            found = []
+            for doc_id in batch.column(0).to_pylist():
+                key = key_of(doc_id)
+                at = bisect_left(lasts, key)
+                while at < len(lasts) and sent.value[at][0] <= key:
+                    found.append((doc_id, sent.value[at][2]))
+                    at += 1
+            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in found], pa.int64()) for i in (0, 1)], ["doc_id", "shard"])
+
+    routed = ids.mapInArrow(route, "doc_id long, shard long").join(manifest.select("shard", "path"), "shard")
 
     def find(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         path, reader = None, None

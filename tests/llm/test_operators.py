@@ -85,6 +85,18 @@ def test_shards_of_odd_rows_and_lookup(spark, odd, none):
     assert empty.count() == 0 and sstable.read_shards(empty, 2).count() == 0
 
 
+def test_shards_roll_at_their_size_and_guard_wide_ids(spark, odd, tmp_path):
+    path = P.path("word_bpe_49k.json")
+    one, many = (sstable.write_shards(odd, path, sstable.shard_folder(spark), most=m) for m in (sstable.SHARD_BYTES, 1))
+    assert many.count() > one.count() and many.agg({"n_docs": "sum"}).first()[0] == odd.count()
+    order = [(r.start, r.doc_id, bytes(r.ids)) for r in sstable.read_shards(many, 3).collect()]
+    assert sorted(order) == sorted((r.start, r.doc_id, bytes(r.ids)) for r in sstable.read_shards(one, 3).collect())
+    wanted = spark.createDataFrame([(3,), (9,)], "doc_id long")
+    assert sorted(r.doc_id for r in sstable.lookup(many, wanted).collect()) == [3, 3, 3, 9]
+    with (tmp_path / "w").open("wb") as f, pytest.raises(ValueError):
+        sstable.ShardWriter(f, 2).add(sstable.key_of(1), np.asarray([70_000], "<u4").tobytes())
+
+
 def test_shard_file_search(tmp_path):
     keys = sorted(np.random.default_rng(1).choice(10**12, 3000, replace=False).tolist()) + [2**62]
     with (tmp_path / "a").open("wb") as f:
@@ -434,6 +446,14 @@ def test_cached_chunks_equal_the_library(text):
         assert ids == encoder.whole(text), unicodedata.name(text[:1], "")
 
 
+@given(st.lists(st.text("aeZéßÿŁƀɏ1²½ ,.-_'’“€…\n\tsdlvⅣ日", max_size=60), min_size=1, max_size=6))
+@settings(max_examples=300, deadline=None)
+def test_slices_of_settled_characters_equal_the_library(texts):
+    for name, splits in (("word_bpe_49k.json", "space"), ("byte_bpe_50k.json", "word")):
+        encoder = common.text_encoder(P.path(name), splits)
+        assert list(encoder.batch(texts)) == [encoder.whole(t) for t in texts]
+
+
 # --- 9: near duplicates -----------------------------------------------------------------------------------------------
 
 
