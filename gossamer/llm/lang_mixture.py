@@ -2,16 +2,20 @@
 
 Every language has a distribution over hashed byte n-grams, learnt from labelled documents. A document's
 n-grams come from a mixture of languages; expectation-maximisation estimates the proportions, and the set of
-languages is chosen by likelihood less a penalty for each language added. For the best single language b the
-gain of mixing in l is at most N (mean(P_l / P_b) - 1), by concavity, so EM runs only where that bound passes
-the penalty.
+languages is chosen by likelihood less a penalty for each language added: from the best single one on, the language
+that gains most is added as long as its gain passes the penalty. For a mixture with distribution Q the gain of mixing in l
+is at most N (mean(P_l / Q) - 1), by concavity, so EM runs for every language whose bound passes the penalty, and no other.
+
+``kept`` has one more component beside the languages, even over all n-grams: a text of which it explains more than
+``UNKNOWN`` is in none of the learnt languages and is rejected.
 
 Learning uses at most ``fit_docs`` documents a language, those with the smallest hash of doc_id: a documented
 bound for fitting a classifier on labelled rows. Prediction reads the text alone.
 
 Cases: null texts and texts without a letter are ``und`` with score 0; if nothing could be learnt, every
 text is ``und``; equal likelihoods go to the language first in order; texts of any length are read whole;
-repeated rows stay; an empty table gives no rows; null doc_ids never take part in learning.
+repeated rows stay; an empty table gives no rows; null doc_ids never take part in learning; more than
+``MOST_LANGUAGES`` different labels are an error, none is left out.
 """
 
 from __future__ import annotations
@@ -33,6 +37,8 @@ FIT_DOCS, FIT_TASKS, MOST_LANGUAGES = 1000, 8, 512
 SMOOTHING = 0.5
 PENALTY = 6.0  #: times log(n-grams), for each language after the first
 ROUNDS, SETTLED = 30, 1e-4
+REST = "\0rest"
+UNKNOWN = 0.8  #: share of ``REST`` above which a text is in no learnt language
 _LETTER = re.compile(r"[^\W\d_]")
 
 
@@ -83,22 +89,33 @@ class Model:
         while len(chosen) < len(self.languages):
             if len(chosen) == 1:
                 ratio = self.ratio[best][h] if self.ratio is not None else self.p[h] / self.p[h][:, [best]]
-                gain = ratio.mean(axis=0, dtype=np.float64)
+                bound = ratio.mean(axis=0, dtype=np.float64)
             else:
                 mixed = self.p[unique][:, chosen] @ share
-                gain = counts @ (self.p[unique] / mixed[:, None]) / n
-            gain[chosen] = -np.inf
-            add = int(gain.argmax())
-            if n * (gain[add] - 1) <= penalty:
+                bound = counts @ (self.p[unique] / mixed[:, None]) / n
+            bound = n * (bound - 1)
+            bound[chosen] = -np.inf
+            likely = np.flatnonzero(bound > penalty)
+            if not len(likely):
                 break
             if unique is None:
                 unique, counts = np.unique(h, return_counts=True)
-            trial, own = self._em(unique, counts, n, [*chosen, add])
-            if own - value <= penalty:
+            gained, more = value + penalty, None
+            for add in likely[np.argsort(-bound[likely], kind="stable")].tolist():
+                if value + bound[add] <= gained:  # no later one can gain more
+                    break
+                trial, own = self._em(unique, counts, n, [*chosen, add])
+                if own > gained:
+                    gained, more = own, (add, trial)
+            if more is None:
                 break
-            chosen, share, value = [*chosen, add], trial, own
+            chosen, share, value = [*chosen, more[0]], more[1], gained
         return {self.languages[k]: float(s) for k, s in zip(chosen, share, strict=True)}, value
 
+    def with_rest(self) -> Model:
+        """The same with a component for other languages, even over all n-grams, named ``REST``."""
+        return Model([*self.languages, REST], np.concatenate([self.log_p, np.full((len(self.log_p), 1), -np.log(len(self.log_p)), np.float32)], axis=1))
+
     def _em(self, unique: np.ndarray, counts: np.ndarray, n: int, chosen: list[int]) -> tuple[np.ndarray, float]:
         p, share = self.p[unique][:, chosen], np.full(len(chosen), 1 / len(chosen))
         for _ in range(ROUNDS):
@@ -125,7 +142,10 @@ def held_out(doc_id: Column) -> Column:
 def learn(docs: DataFrame, fit_docs: int = FIT_DOCS) -> Model:
     """n-gram counts of at most ``fit_docs`` labelled documents a language outside the held-out fifth."""
     labelled = docs.where("lang is not null and doc_id is not null and text is not null").where(~held_out(F.col("doc_id")))
-    sizes = labelled.groupBy("lang").agg(F.count("*").alias("rows")).limit(MOST_LANGUAGES)
+    counted = labelled.groupBy("lang").agg(F.count("*").alias("rows")).limit(MOST_LANGUAGES + 1).collect()
+    if len(counted) > MOST_LANGUAGES:
+        raise ValueError(f"more than {MOST_LANGUAGES} languages")
+    sizes = docs.sparkSession.createDataFrame([tuple(r) for r in counted], "lang string, rows long")
     placed = labelled.select("doc_id", "lang", common.place("doc_id").alias("h")).join(F.broadcast(sizes), "lang").where(F.col("h") < common.likely(fit_docs, F.col("rows")))
     ranked = placed.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))).where(F.col("n") <= fit_docs)
     # fit_docs * MOST_LANGUAGES ids at most
@@ -137,8 +157,6 @@ def learn(docs: DataFrame, fit_docs: int = FIT_DOCS) -> Model:
             for lang, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
                 if has_letter(text):
                     totals[lang] = totals.get(lang, 0) + np.bincount(grams(text), minlength=BUCKETS)
-            if len(totals) > MOST_LANGUAGES:
-                raise ValueError(f"more than {MOST_LANGUAGES} languages")
         yield pa.RecordBatch.from_arrays([pa.array(list(totals), pa.string()), pa.array([v.astype("<i8").tobytes() for v in totals.values()], pa.binary())], ["lang", "counts"])
 
     totals: dict[str, np.ndarray] = {}
@@ -173,10 +191,12 @@ def identified(docs: DataFrame, fit_docs: int = FIT_DOCS) -> DataFrame:
     return found.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
-def kept(docs: DataFrame, fit_docs: int = FIT_DOCS) -> DataFrame:
-    """The documents whose text has a language, with all their columns; the others are rejected.
+def kept(docs: DataFrame, fit_docs: int = FIT_DOCS, languages: frozenset[str] | None = None, least: float = 0.0) -> DataFrame:
+    """The documents whose text is in a learnt language, with all their columns; the others are rejected.
 
-    If no language could be learnt, null texts and texts without a letter are rejected and nothing else.
+    Rejected are texts without a letter, texts of which ``REST`` explains more than ``UNKNOWN``, and, if asked for, those
+    whose main language is not in ``languages`` or has a share below ``least`` of what languages explain. If no
+    language could be learnt, null texts and texts without a letter are rejected and nothing else.
     """
     model = learn(docs, fit_docs)
     schema = docs.schema
@@ -184,9 +204,24 @@ def kept(docs: DataFrame, fit_docs: int = FIT_DOCS) -> DataFrame:
     at = docs.columns.index("text")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = Model(*sent.value)
+        own = Model(*sent.value).with_rest()
+        known = len(own.languages) > 1
+
+        def stays(text: str | None) -> bool:
+            if text is None or not has_letter(text):
+                return False
+            if not known:
+                return True
+            shares, _ = own.mixture(text)
+            rest = shares.pop(REST, 0.0)
+            if rest > UNKNOWN or not shares:
+                return False
+            lang, share = max(shares.items(), key=lambda x: (x[1], -own.languages.index(x[0])))
+            return share >= least * (1 - rest) and (languages is None or lang in languages)
+
         for part in common.slices(batches):
             many = part.column(at).to_pylist()
-            yield part.filter(pa.array([own.predict(t)[0] != "und" if own.languages else t is not None and has_letter(t) for t in many], pa.bool_()))
+            decided = {t: stays(t) for t in set(many)}
+            yield part.filter(pa.array([decided[t] for t in many], pa.bool_()))
 
     return docs.mapInArrow(run, schema)

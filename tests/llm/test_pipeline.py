@@ -4,7 +4,7 @@ import re
 import zlib
 
 import corpus_pipeline
-from gossamer.llm import common, secret_cnn
+from gossamer.llm import common, lang_mixture, secret_cnn
 
 from .test_operators import ODD, SCHEMA, brute_components, check_packing, fingerprint_of, rows_of
 
@@ -61,3 +61,17 @@ def test_no_learnt_language_rejects_no_lettered_text(spark):
     for start in (docs, docs.unionByName(docs.where("doc_id = 0").selectExpr(f"{held}L AS doc_id", "'held out' AS text", "'en' AS lang", *docs.columns[3:]))):
         got = corpus_pipeline.language_id(spark, start, "")
         assert got.columns == docs.columns and sorted(r.text for r in got.collect()) == sorted(r.text for r in start.collect() if r.text and any(c.isalpha() for c in r.text))
+
+
+def test_lettered_documents_go_because_of_their_language(spark, medium):
+    docs = common.table(spark, medium, "documents").select("doc_id", "text", "lang", "source", "n_chars")
+    strange = ["これは日本語の文章です。" * 20, "Это русский текст о погоде и городе. " * 12, "zqxj vkwq xzzq jjqv kqzx wvvq " * 15]
+    more = spark.createDataFrame([(10**9 + i, t, None, "s", len(t)) for i, t in enumerate(strange)], docs.schema)
+    got = {r.doc_id for r in corpus_pipeline.language_id(spark, docs.unionByName(more), medium).collect()}
+    assert not got & set(range(10**9, 10**9 + 3))
+    assert got == {r.doc_id for r in docs.collect() if r.text and any(c.isalpha() for c in r.text)}
+    english = lang_mixture.kept(docs, languages=frozenset({"en"})).groupBy("lang").count().collect()
+    by = {r.lang: r["count"] for r in english}
+    assert by["en"] > 0.95 * docs.where("lang = 'en' and text is not null").count() and sum(v for k, v in by.items() if k not in ("en", None)) < 0.02 * by["en"]
+    sure = lang_mixture.kept(docs, least=0.999).count()
+    assert 0 < sure <= len(got)
