@@ -10,7 +10,10 @@ from gossamer.llm.queries import PACK_END_ID, SEQUENCE, vocabulary
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose text has no language (null, or without a letter) go."""
+    """Documents go whose text is in no learnt language: null, without a letter, or explained by none of them.
+
+    ``lang_mixture.kept`` also takes a set of languages and a least share; all learnt languages stay here.
+    """
     return lang_mixture.kept(docs)
 
 
