@@ -6,7 +6,8 @@ footers, asides, forms, adverts, notices, sidebars, reader comments - leave the
 gets characters per tag, lowered by the share of link characters and link tags; a node's density sum is
 that of its children. The node of the largest sum is the core; the smallest density on its path
 to the body is the threshold, and the core grows to the outermost ancestor, the body left out, whose
-density reaches it, or to an enclosing article. The text of that subtree is the page's main text.
+density reaches it. Other subtrees outside it that reach the threshold are main text too, in page order.
+Only where the body itself is the core, article and main elements decide.
 
 Cases: null and empty pages, and pages without text, give the empty string; broken markup is read as far as
 it goes; pages of any length and depth are read whole (no recursion); repeated rows stay; an empty table
@@ -226,9 +227,6 @@ def cores(order: list[Node]) -> list[Node]:
         return node.chars - node.link_chars > 0 and not (node.chars > 1.5 * best.chars and node.link_chars > 0.3 * node.chars)
 
     top, article = next((n for n in reversed(path) if grows(n)), best), False
-    if named := next((n for n in reversed(path) if _is_article(n)), None):
-        inner = [n for n in path[: path.index(named)] if n.tag == "article"]
-        top, article = inner[-1] if named.tag != "article" and inner else named, True
     if best is body:
         articles = [n for n in inside[1:] if n.tag in ("article", "main") and n.chars > n.link_chars]
         if not articles:
