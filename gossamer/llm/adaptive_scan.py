@@ -11,15 +11,15 @@ the index. Survivors get their exact score on original vectors, in double precis
 Equal vectors are searched once: only the ``k + 1`` smallest ids of a vector can be among any query's
 neighbours. Lists are cut into cells of at most about ``CELL`` vectors and ``CELL`` queries.
 
-Cases: vectors that are null, zero, hold null or non-finite components, or whose length differs from the most
-frequent one take no part; ties go to the smaller id; repeated ids count once for each different
-vector; fewer candidates than ``k`` give fewer rows; an empty table gives no rows; other columns are not read.
+Cases: vectors that are null, zero, or hold null or non-finite components take no part; vectors of several lengths are
+searched length by length; ties go to the smaller id; repeated ids count once for each different vector; fewer candidates than ``k`` give fewer rows; an empty table gives no rows; other columns are not read.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 from . import common
 
 SAMPLE, CELL, MOST_LISTS = 8192, 8192, 4096
+MOST_DEPTHS = 64  #: different lengths of vectors that ask
 BLOCK = 16  #: coordinates of a column block
 CONFIDENCE = 2.1  #: of the hypothesis test: candidates go at partial distance > threshold * (1 + CONFIDENCE / sqrt(m))
 RECALL = 0.97  #: aimed at on the sample, when the number of probes is chosen
@@ -84,7 +85,7 @@ def centroids_of(x: np.ndarray, k: int, rng: np.random.Generator, rounds: int =
     return at
 
 
-def fitted(sample: pa.Table, n: int, top: float, k: int, seed: int = 11) -> Index:
+def fitted(sample: pa.Table, n: int, top: float, k: int, most_lists: int = MOST_LISTS, seed: int = 11) -> Index:
     rng = np.random.default_rng(seed)
     original = np.ascontiguousarray(_matrix(sample.column("embedding").combine_chunks()))
     rows = range(len(original))
@@ -92,7 +93,7 @@ def fitted(sample: pa.Table, n: int, top: float, k: int, seed: int = 11) -> Inde
     q, r = np.linalg.qr(rng.normal(size=(depth + 1, depth + 1)))
     index = Index(top, q * np.sign(np.diag(r)), np.zeros((1, depth + 1)), np.zeros(0), original, sample.column("key").to_pylist(), sample.column("ids").to_pylist(), 1)
     index.sample = index.lifted(original)
-    lists = max(1, min(MOST_LISTS, int(np.sqrt(n)), len(rows)))
+    lists = max(1, min(most_lists, int(np.sqrt(n)), len(rows)))
     index.centroids = centroids_of(index.sample, lists, rng)
     # probes: the fewest with which the lists cover RECALL of the sample's own neighbours
     asked = rng.choice(len(rows), min(256, len(rows)), replace=False)
@@ -128,20 +129,30 @@ def scan(blocks: list[np.ndarray], query: np.ndarray, threshold: float) -> np.nd
     return alive
 
 
-def search(vectors: DataFrame, queries: Column, k: int = 20) -> DataFrame:
-    """``query_id, rank, vec_id, score``: for each row of ``vectors (vec_id, embedding)`` where ``queries`` holds."""
-    spark = vectors.sparkSession
+def search(vectors: DataFrame, queries: Column, k: int = 20, sample: int = SAMPLE, most_lists: int = MOST_LISTS) -> DataFrame:
+    """``query_id, rank, vec_id, score``: for each row of ``vectors (vec_id, embedding)`` where ``queries`` holds.
+
+    Vectors of different lengths have no inner product: each length is searched by itself. ``sample`` and
+    ``most_lists`` bound what the index is fitted on; a query's work grows with the vectors a list, so raise both with the table.
+    """
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"), F.coalesce(queries, F.lit(False)).alias("asks")).where(F.col("vec_id").isNotNull() & usable(F.col("embedding")))
-    depths = rows.groupBy(F.size("embedding").alias("depth")).count().orderBy(F.desc("count"), "depth").first()
-    if depths is None:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    rows = rows.where(F.size("embedding") == depths.depth).withColumn("key", F.concat(F.hex(F.xxhash64("embedding")), F.hex(F.xxhash64(F.lit(1), "embedding"))))
+    depths = [r.depth for r in rows.where("asks").select(F.size("embedding").alias("depth")).distinct().orderBy("depth").limit(MOST_DEPTHS + 1).collect()]
+    if len(depths) > MOST_DEPTHS:
+        raise ValueError(f"more than {MOST_DEPTHS} lengths of vectors")
+    found = [_search(rows.where(F.size("embedding") == d), k, sample, most_lists) for d in depths]
+    return reduce(DataFrame.unionByName, found) if found else vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+
+
+def _search(rows: DataFrame, k: int, most: int, most_lists: int) -> DataFrame:
+    """``search`` among usable vectors of one length."""
+    spark = rows.sparkSession
+    rows = rows.withColumn("key", F.concat(F.hex(F.xxhash64("embedding")), F.hex(F.xxhash64(F.lit(1), "embedding"))))
     few = rows.withColumn("n", F.dense_rank().over(Window.partitionBy("key").orderBy("vec_id"))).where(F.col("n") <= k + 1)
     classes = common.settled(few.groupBy("key").agg(F.array_sort(F.collect_set("vec_id")).alias("ids"), F.first("embedding").alias("embedding")), "vectors")
     n, top = classes.agg(F.count("*"), F.max(F.aggregate("embedding", F.lit(0.0), lambda s, v: s + v * v))).first()
-    placed_first = classes.withColumn("h", common.place("key")).where(F.col("h") < common.likely(SAMPLE, F.lit(n)))
-    sample = placed_first.orderBy("h", "key").limit(SAMPLE).select("key", "ids", "embedding").toArrow()  # SAMPLE rows at most
-    index = fitted(sample, n, top, k)
+    placed_first = classes.withColumn("h", common.place("key")).where(F.col("h") < common.likely(most, F.lit(n)))
+    sample = placed_first.orderBy("h", "key").limit(most).select("key", "ids", "embedding").toArrow()  # so many rows at most
+    index = fitted(sample, n, top, k, most_lists)
     sent = spark.sparkContext.broadcast(index)
     asking = rows.where("asks").select("vec_id", "key")
     asked = classes.select("key", "embedding").join(asking.select("key").distinct(), "key", "left_semi")
