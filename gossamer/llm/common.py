@@ -19,8 +19,6 @@ from pyspark.sql import functions as F
 
 #: UTF-8 bytes of text that one slice of an Arrow batch holds at most (one longer text forms a slice alone).
 SLICE_BYTES = 8 << 20
-#: The same for encoders, which encode each distinct word of a slice once.
-ENCODER_BYTES = 16 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -33,8 +31,12 @@ def texts(docs: DataFrame, *more: str) -> DataFrame:
 
 
 def slices(batches: Iterable[pa.RecordBatch], column: str = "text", most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
-    """Zero-copy slices of every batch whose ``column`` holds about ``most`` bytes each."""
+    """Zero-copy slices of every batch whose ``column`` holds about ``most`` bytes each.
+
+    Freed memory goes back to the system before each batch: workers that tasks share do not keep their peaks.
+    """
     for batch in batches:
+        pa.default_memory_pool().release_unused()
         n = batch.num_rows
         if batch.nbytes <= most or n < 2:
             if n:
@@ -47,6 +49,7 @@ def slices(batches: Iterable[pa.RecordBatch], column: str = "text", most: int =
         for a, b in zip(cuts, cuts[1:], strict=False):
             if b > a:
                 yield batch.slice(a, b - a)
+    pa.default_memory_pool().release_unused()
 
 
 def shared_dir(spark: SparkSession) -> str:
