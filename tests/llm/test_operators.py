@@ -153,6 +153,12 @@ def test_main_text_without_one_wrapper(left, right):
     assert text_density.extract(f"<html><body>{LINKS}{left}{PROSE[0]}{right}{left}{PROSE[1]}{right}</body></html>") == whole
 
 
+def test_density_decides_without_names_of_articles(spark, small):
+    pages = [r.html for r in common.table(spark, small, "pages").collect()]
+    named = re.compile(r"(</?)(?:article|main)\b")
+    assert all(text_density.extract(named.sub(r"\1div", p)) == article_of(p) for p in pages)
+
+
 def test_main_text_right_below_the_body():
     assert text_density.extract("<body><h1>T</h1><p>A</p><p>B with a <b>bold phrase</b></p></body>") == "T A B with a bold phrase"
     assert text_density.extract(f"<body>{LINKS}<div>{PROSE[0]}</div><div>Copyright</div></body>") == text_density.extract(PROSE[0])
@@ -313,6 +319,8 @@ def test_neighbours_cases(spark):
     got = sorted(map(tuple, adaptive_scan.search(df, df.vec_id % 20 == 0).collect()))
     assert got == [(0, 1, 20, 1.0), (0, 2, 3, 0.5), (20, 1, 0, 1.0), (20, 2, 3, 0.5)]
     assert adaptive_scan.search(df.where("vec_id < -5"), df.vec_id % 20 == 0).count() == 0
+    other = df.unionByName(spark.createDataFrame([(60, [2.0], 1, "k"), (80, [1.0, 2.0, 3.0], 1, "k")], df.schema))
+    assert sorted(map(tuple, adaptive_scan.search(other, other.vec_id % 20 == 0).collect())) == [*got, (60, 1, 9, 2.0)]  # each length by itself
     assert adaptive_scan.search(df.where("vec_id = 0"), df.vec_id % 20 == 0).count() == 0
 
 
@@ -403,15 +411,17 @@ def test_packing_cases(spark, odd, none):
     assert sos_packing.packed(none, P.path("byte_bpe_50k.json")).count() == 0
 
 
-def test_the_rule_is_sum_of_squares():
-    rng, s = np.random.default_rng(2), sos_packing.SumOfSquares(20)
+@pytest.mark.parametrize("eager", [False, True])
+def test_the_rule_is_sum_of_squares(eager):
+    rng, s = np.random.default_rng(2), sos_packing.SumOfSquares(20, eager)
     gaps: list[int] = []
     for size in rng.integers(1, 21, 400).tolist():
         value = lambda g: sum(g.count(v) ** 2 for v in set(g) if v)
         fits = [i for i, g in enumerate(gaps) if g >= size]
         trials = {i: value([g - size if k == i else g for k, g in enumerate(gaps)]) for i in fits}
+        opened = value([*gaps, 20 - size])
         sequence, offset = s.place(size)
-        if fits:
+        if fits and not (eager and opened < min(trials.values())):
             assert trials[sequence] == min(trials.values()) and offset == 20 - gaps[sequence]
             gaps[sequence] -= size
         else:
