@@ -18,6 +18,7 @@ class StopRule:
 class DescentConfig:
     """Parameters of all methods. ``eps``: step size; ``b``: mini-batch; ``steps``: rounds a worker; ``workers``: n."""
 
+    loss: str = "prototypes"  # prototypes | squares | logistic: the last two read the target from the end of each sample
     k: int = 3
     eps: float = 0.75
     b: int = 8
@@ -26,15 +27,19 @@ class DescentConfig:
     seed: int = 7
     remainder: str = "drop"  # of m mod n samples: drop | spread
     draw: str = "shuffle"  # shuffle | replace
-    init: str = "first"  # first | bounds | zeros
+    init: str = "first"  # first | sample | bounds | zeros
     comm: str = "gossip"  # gossip | silent | sync
     fanout: int = 1
+    scope: str = "any"  # recipients: any | other_node
+    threads: int = 1  # workers a node
     block_frac: float = 1.0
     buffers: int = 1
     max_age: int = 1
+    delay: str = "uniform"  # ages up to max_age: uniform | geometric
+    empty_rule: str = "null"  # null | zero_norm: a received state of zeros counts as an empty buffer
     race: str = "overwrite"  # overwrite | torn | none
     window: bool = True
-    window_scope: str = "message"  # message | block
+    window_scope: str = "message"  # message | block | state: whole states only
     blend_gain: str = "eps"  # eps | unit
     reduce: str = "mean"  # mean | sum
     normalise: str = "batch"  # batch | cluster
@@ -52,7 +57,10 @@ class DescentConfig:
             (self.eps <= 0, "eps must be positive"), (self.k < 1 or self.b < 1 or self.steps < 1 or self.workers < 1, "k, b, steps and workers start at 1"),
             (parallel and self.workers < 2, "messages need at least two workers"), (parallel and not 1 <= self.fanout <= max(1, self.workers - 1), "fanout is at most workers - 1"),
             (not 0 < self.block_frac <= 1, "block_frac is in (0, 1]"), (self.buffers < 1 or self.max_age < 1 or self.comm_every < 1 or self.stretch < 1, "buffers, max_age, comm_every and stretch start at 1"),
-            (self.race not in ("overwrite", "torn", "none"), "race is overwrite, torn or none"), (self.window_scope not in ("message", "block"), "window_scope is message or block"),
+            (self.race not in ("overwrite", "torn", "none"), "race is overwrite, torn or none"), (self.window_scope not in ("message", "block", "state"), "window_scope is message, block or state"),
+            (self.loss not in ("prototypes", "squares", "logistic"), "loss is prototypes, squares or logistic"), (self.loss != "prototypes" and self.k != 1, "a loss with a target has one block: k = 1"),
+            (self.scope not in ("any", "other_node") or self.threads < 1, "scope is any or other_node"), (self.delay not in ("uniform", "geometric"), "delay is uniform or geometric"), (self.empty_rule not in ("null", "zero_norm"), "empty_rule is null or zero_norm"),
+            (parallel and self.scope == "other_node" and (self.workers % self.threads > 0 or self.fanout > self.workers - self.threads), "nodes are full and have enough other workers"),
         ]
         if m is not None:
             problems += [(self.k > m, "k is at most the number of samples"), (m // self.workers < 1, "every worker needs a sample")]
@@ -61,6 +69,12 @@ class DescentConfig:
                 raise ValueError(why)
         return self
 
+    def within(self, m: int | None = None) -> DescentConfig:
+        """The same with as many rounds as the stop rule's samples allow."""
+        if self.stop.max_touched is None:
+            return self
+        return self.with_(steps=max(1, min(self.steps, -(-self.stop.max_touched // (self.b * self.workers)))))
+
     @property
     def pull(self) -> float:
         """Largest weight of the pull towards peers; above 1 a run may diverge."""

@@ -14,25 +14,36 @@ def distances(x: np.ndarray, w: np.ndarray) -> np.ndarray:
     return out
 
 
-def gradient(x: np.ndarray, w: np.ndarray, reduce: str = "mean", normalise: str = "batch") -> np.ndarray:
-    """Sum over the samples, in order, of prototype minus sample; over the batch, the cluster, or not divided."""
+def in_order(terms: np.ndarray, axis: int = -1) -> np.ndarray:
+    """Sums along an axis, added from left to right."""
+    return np.add.accumulate(terms, axis=axis).take(-1, axis=axis) if terms.shape[axis] else terms.sum(axis=axis)
+
+
+def gradient(x: np.ndarray, w: np.ndarray, reduce: str = "mean", normalise: str = "batch", loss: str = "prototypes") -> np.ndarray:
+    """Sum over the samples, in order; over the batch, the cluster, or not divided.
+
+    Of prototypes: prototype minus sample. Of losses with a target, which ends each sample: residual times sample.
+    """
+    if loss != "prototypes":
+        of = residuals(x, w, loss)[:, None] * x[:, :-1]
+        g = in_order(of, axis=0)[None]
+        return g / len(x) if reduce == "mean" else g
     near = distances(x, w).argmin(axis=1)
-    g = np.zeros_like(w)
-    if len(x) < 2048:
-        for i, s in enumerate(near.tolist()):
-            g[s] += w[s] - x[i]
-    else:
-        np.add.at(g, near, w[near] - x)
+    off = w[near] - x
+    g = np.stack([np.bincount(near, weights=off[:, j], minlength=len(w)) for j in range(x.shape[1])], axis=1)
     if normalise == "cluster":
         return g / np.maximum(np.bincount(near, minlength=len(w)), 1)[:, None]
     return g / len(x) if reduce == "mean" else g
 
 
+def residuals(x: np.ndarray, w: np.ndarray, loss: str) -> np.ndarray:
+    score = in_order(x[:, :-1] * w[0])
+    return (score if loss == "squares" else 1.0 / (1.0 + np.exp(-score))) - x[:, -1]
+
+
 def flat_sqdist(a: np.ndarray, b: np.ndarray) -> float:
-    total = 0.0
-    for x in (a - b).ravel().tolist():
-        total += x * x
-    return total
+    d = (a - b).ravel()
+    return float(in_order(d * d)) if d.size else 0.0
 
 
 def accepts(w: np.ndarray, g: np.ndarray, eps: float, e: np.ndarray, have: np.ndarray) -> bool:
@@ -40,10 +51,12 @@ def accepts(w: np.ndarray, g: np.ndarray, eps: float, e: np.ndarray, have: np.nd
     return flat_sqdist((w - eps * g)[have], e[have]) < flat_sqdist(w[have], e[have])
 
 
-def step(w: np.ndarray, g: np.ndarray, mail: list[tuple[np.ndarray, np.ndarray]], eps: float, window: bool = True, scope: str = "message") -> tuple[np.ndarray, int]:
+def step(w: np.ndarray, g: np.ndarray, mail: list[tuple[np.ndarray, np.ndarray]], eps: float, window: bool = True, scope: str = "message", empty: str = "null") -> tuple[np.ndarray, int]:
     """The modified step and how many messages counted. ``mail``: states and the blocks each has."""
     total, count, good = w.copy(), np.ones(len(w)), 0
     for e, have in mail:
+        if empty == "zero_norm" and not e[have].any() or scope == "state" and not have.all():
+            continue
         if window and scope == "block":
             have = np.asarray([h and flat_sqdist(w[i] - eps * g[i], e[i]) < flat_sqdist(w[i], e[i]) for i, h in enumerate(have)])
         elif window and not accepts(w, g, eps, e, have):
@@ -59,6 +72,28 @@ def apply(w: np.ndarray, g: np.ndarray, modified: np.ndarray, eps: float, gain:
     return w - eps * modified if gain == "eps" else w - ((modified - g) + eps * g)
 
 
-def loss(x: np.ndarray, w: np.ndarray) -> float:
-    """Mean of half the squared distance to the nearest prototype."""
-    return float(0.5 * distances(x, w).min(axis=1).mean())
+def losses(x: np.ndarray, w: np.ndarray, loss: str = "prototypes") -> np.ndarray:
+    """Each sample's loss: half the squared distance to the nearest prototype, half the squared residual, or the log-loss."""
+    if loss == "prototypes":
+        return 0.5 * distances(x, w).min(axis=1)
+    if loss == "squares":
+        return 0.5 * residuals(x, w, loss) ** 2
+    score = in_order(x[:, :-1] * w[0])
+    return np.logaddexp(0.0, score) - x[:, -1] * score
+
+
+def loss(x: np.ndarray, w: np.ndarray, kind: str = "prototypes") -> float:
+    return float(losses(x, w, kind).mean())
+
+
+def alone(x: np.ndarray, w: np.ndarray, eps: float, seen=None) -> np.ndarray:
+    """Workers that step alone on one sample at a time: ``x`` steps x workers x dims, ``w`` workers x k x dims."""
+    w, line = w.copy(), np.arange(w.shape[0])
+    for t in range(len(x)):
+        d = x[t][:, None] - w
+        near = in_order(d * d).argmin(axis=1)
+        own = w[line, near]
+        w[line, near] = own - eps * (own - x[t])
+        if seen is not None and seen(t, w):
+            break
+    return w

@@ -5,7 +5,13 @@ Engines of the sequential and gossip methods, all on the same kernel:
 * ``fold``: the samples that a run draws go to one task, which walks all rounds; for at most ``FOLD_MOST`` samples;
 * ``superstep``: a job for each stretch of rounds; a worker's samples meet its state and its settled mail in a
   cogroup, states are written to the shared folder between jobs, which is also where a run can be continued;
-* ``mailbox`` (``operators.mailbox``): one barrier job in which workers exchange states without waiting.
+* ``mailbox`` (``operators.mailbox``): one barrier job in which workers exchange states without waiting;
+* ``auto``: ``fold`` for runs of at most ``FOLD_MOST`` samples, else ``superstep``.
+
+A stop rule's samples and seconds end a run on every engine; its error level needs ``superstep`` and points to evaluate on.
+
+Cases: samples are taken as they are (``sources.points.checked`` drops null, ragged and non-finite ones); repeated rows count;
+extra columns are not read; an empty table has no initial state, which is an error.
 
 What a run costs depends on the samples it touches, not on how many there are: the budget is cut by rank before any
 sample moves.
@@ -16,6 +22,7 @@ from __future__ import annotations
 import time
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -77,19 +84,44 @@ def as_array(state: DataFrame) -> np.ndarray:
 
 
 def initial_state(points: DataFrame, cfg: DescentConfig) -> list[list[float]]:
-    """k prototypes for all workers: the first samples in hash order, hashed places inside the bounds, or zeros."""
+    """k prototypes for all workers: the first samples in hash order, samples drawn with replacement, hashed places inside the bounds, or zeros.
+
+    A loss with a target starts at zeros, one weight a feature.
+    """
+    if cfg.loss != "prototypes":
+        return [[0.0] * (_width(points) - 1)]
     if cfg.init == "first":
         rows = points.orderBy(hash_hex(F.lit(cfg.seed), F.lit("init"), "sample_id"), "sample_id").limit(cfg.k).select("x").collect()
+        if not rows:
+            raise ValueError("there are no samples")
         return [list(r.x) for r in rows]
     if cfg.init == "zeros":
-        return [[0.0] * points.select(F.size("x")).first()[0]] * cfg.k
-    spans = points.select(F.posexplode("x").alias("dim", "v")).groupBy("dim").agg(F.min("v").alias("low"), F.max("v").alias("high")).orderBy("dim").collect()
+        return [[0.0] * _width(points)] * cfg.k
     from hashlib import md5
 
-    share = lambda c, j: int(md5(f"{cfg.seed}:bounds:{c}:{j}".encode()).hexdigest()[:8], 16) / 2**32
+    drawn = lambda *key: int(md5(":".join(map(str, key)).encode()).hexdigest()[:8], 16)
+    if cfg.init == "sample":
+        m = points.count()
+        if not m:
+            raise ValueError("there are no samples")
+        places = [drawn(cfg.seed, "sample", c) % m for c in range(cfg.k)]
+        ranked = draws.exact_rank(points.select("sample_id", "x"), hash_hex(F.lit(cfg.seed), F.lit("part"), "sample_id"), "sample_id", most=max(places) + 1)
+        at = {r["rank"]: list(r.x) for r in ranked.where(F.col("rank").isin(places)).collect()}  # k rows
+        return [at[p] for p in places]
+    spans = points.select(F.posexplode("x").alias("dim", "v")).groupBy("dim").agg(F.min("v").alias("low"), F.max("v").alias("high")).orderBy("dim").collect()
+    if not spans:
+        raise ValueError("there are no samples")
+    share = lambda c, j: drawn(cfg.seed, "bounds", c, j) / 2**32
     return [[s.low + (s.high - s.low) * share(c, s.dim) for s in spans] for c in range(cfg.k)]
 
 
+def _width(points: DataFrame) -> int:
+    row = points.select(F.size("x").alias("n")).first()
+    if row is None:
+        raise ValueError("there are no samples")
+    return row.n
+
+
 # --- full passes --------------------------------------------------------------------------------------------
 
 
@@ -169,56 +201,51 @@ def _stops(cfg: DescentConfig, trace: list[tuple]) -> bool:
 
 
 class Rounds:
-    """All workers' rounds with the whole history of states: the fold engine's walk."""
+    """All workers' rounds with the states that mail can still reach: the fold engine's walk."""
 
     def __init__(self, cfg: DescentConfig, w0: np.ndarray, mail: dict):
         self.cfg, self.mail = cfg, mail
-        self.history = [np.repeat(w0[None], cfg.workers, axis=0)]
-        self.received, self.good, self.sent = (np.zeros(cfg.workers, np.int64) for _ in range(3))
+        self.state = np.repeat(w0[None], cfg.workers, axis=0)
+        self.history = {0: self.state}
+        self.received, self.good = (np.zeros(cfg.workers, np.int64) for _ in range(2))
 
     def run(self, batches: dict, on_round=None) -> np.ndarray:
-        cfg = self.cfg
+        """``on_round(t, states)`` ends the walk by a true value."""
+        cfg, began = self.cfg, time.monotonic()
         for t in range(cfg.steps):
-            now = self.history[-1]
+            now = self.state
             after = now.copy()
-            for i in range(cfg.workers):
-                x = batches.get((i, t))
-                if x is None:
-                    continue
-                g = kernel.gradient(x, now[i], cfg.reduce, cfg.normalise)
-                if cfg.comm == "sync":
-                    continue
-                after[i] = self._moved(now[i], g, self._messages(i, t), i)
+            steps = {i: kernel.gradient(x, now[i], cfg.reduce, cfg.normalise, cfg.loss) for i in range(cfg.workers) if (x := batches.get((i, t))) is not None}
             if cfg.comm == "sync":  # own steps first; then all read what peers have just reached
-                steps = {i: kernel.gradient(batches[i, t], now[i], cfg.reduce, cfg.normalise) for i in range(cfg.workers) if (i, t) in batches}
                 fresh = np.stack([now[i] - cfg.eps * steps[i] if i in steps else now[i] for i in range(cfg.workers)])
-                for i, g in steps.items():
-                    mail = [(fresh[s], np.isin(np.arange(cfg.k), blocks)) for s, _, blocks in self.mail.get((i, t + 1), ())]
-                    after[i] = self._moved(now[i], g, mail, i)
-            self.history.append(after)
-            if on_round:
-                on_round(t, after)
-        return self.history[-1]
+            for i, g in steps.items():
+                mail = self.mail.get((i, t + (cfg.comm == "sync")), ())
+                of = [(fresh[s] if cfg.comm == "sync" else self.history[sent + 1][s], np.isin(np.arange(cfg.k), blocks)) for s, sent, blocks in mail]
+                after[i], good = _moved(cfg, now[i], g, of)
+                self.received[i] += len(of)
+                self.good[i] += good
+            self.state = self.history[t + 1] = after
+            self.history.pop(t - cfg.max_age, None)
+            if on_round and on_round(t, after) or cfg.stop.max_seconds is not None and time.monotonic() - began >= cfg.stop.max_seconds:
+                break
+        return self.state
 
-    def _messages(self, i: int, t: int) -> list:
-        return [(self.history[sent + 1][sender], np.isin(np.arange(self.cfg.k), blocks)) for sender, sent, blocks in self.mail.get((i, t), ())]
 
-    def _moved(self, w: np.ndarray, g: np.ndarray, mail: list, i: int) -> np.ndarray:
-        cfg = self.cfg
-        modified, good = kernel.step(w, g, mail, cfg.eps, cfg.window, cfg.window_scope)
-        self.received[i] += len(mail)
-        self.good[i] += good
-        return kernel.apply(w, g, modified, cfg.eps, cfg.blend_gain)
+def _moved(cfg: DescentConfig, w: np.ndarray, g: np.ndarray, mail: list) -> tuple[np.ndarray, int]:
+    modified, good = kernel.step(w, g, mail, cfg.eps, cfg.window, cfg.window_scope, cfg.empty_rule)
+    return kernel.apply(w, g, modified, cfg.eps, cfg.blend_gain), good
 
 
 def plan_of(spark: SparkSession, cfg: DescentConfig) -> tuple[dict, dict]:
-    """The settled mail by (recipient, round), and messages sent by sender: data-independent, n * steps * fanout rows."""
+    """The settled mail by (recipient, round), and rounds sent in by sender: data-independent, at most ``FOLD_MOST`` messages."""
     mail: dict = {}
+    if cfg.comm == "silent":
+        return mail, {}
     for r in draws.inbox(spark, cfg.with_(steps=cfg.steps + (cfg.comm == "sync"))).collect():
         mail.setdefault((r.recipient, r["round"]), {}).setdefault((r.buffer, r.sent_round, r.sender), []).append(r.block)
     sent: dict = {}
-    for r in draws.sends(spark, cfg).groupBy("sender").count().collect():
-        sent[r.sender] = r["count"]
+    for r in draws.sends(spark, cfg).groupBy("sender").agg(F.sort_array(F.collect_list("sent_round")).alias("rounds")).collect():
+        sent[r.sender] = list(r.rounds)
     return {at: [(sender, s, sorted(blocks)) for (_, s, sender), blocks in sorted(of.items())] for at, of in mail.items()}, sent
 
 
@@ -233,72 +260,149 @@ def _sorted_batches(rows: pa.Table) -> dict:
     return {(int(worker[a]), int(rnd[a])): x[a:b] for a, b in zip(starts, [*cuts.tolist(), len(x)], strict=True)}
 
 
+TRACED = "round int, secs double, " + STATE
+
+
 def folded(drawn: DataFrame, cfg: DescentConfig, w0: list) -> DataFrame:
     """The fold engine: final states of a run over ``worker, round, slot, x``."""
+    return traced(drawn, cfg, w0, 0).select("worker", "w", "sent", "received", "good")
+
+
+def traced(drawn: DataFrame, cfg: DescentConfig, w0: list, every: int = 1) -> DataFrame:
+    """The states of a run's last round, or after every ``every`` rounds: ``round`` counts those done, ``secs`` the walk's time."""
     if cfg.workers * cfg.b * cfg.steps > FOLD_MOST:
         raise ValueError(f"the fold engine takes at most {FOLD_MOST} samples; use superstep or mailbox")
     mail, sent = plan_of(drawn.sparkSession, cfg)
+    n = cfg.workers
+    kinds = (pa.int32(), pa.float64(), pa.int32(), pa.list_(pa.list_(pa.float64())), *[pa.int64()] * 3)
+    names = ["round", "secs", "worker", "w", "sent", "received", "good"]
 
     def run(table: pa.Table) -> pa.Table:
-        rounds = Rounds(cfg, np.asarray(w0, dtype=np.float64), mail)
-        states = rounds.run(_sorted_batches(table))
-        n = cfg.workers
-        return pa.table({"worker": pa.array(range(n), pa.int32()), "w": pa.array(states.tolist(), pa.list_(pa.list_(pa.float64()))), "sent": pa.array([sent.get(i, 0) for i in range(n)], pa.int64()), "received": pa.array(rounds.received), "good": pa.array(rounds.good)})
+        start, began, rows = np.asarray(w0, dtype=np.float64), time.monotonic(), []
+        rounds = Rounds(cfg, start, mail)
+        plain = cfg.comm == "silent" and cfg.b == 1 and cfg.loss == "prototypes" and cfg.blend_gain == "eps" and table.num_rows == n * cfg.steps
+
+        def keep(t: int, states: np.ndarray) -> bool:
+            secs = time.monotonic() - began
+            over = t + 1 == cfg.steps or cfg.stop.max_seconds is not None and secs >= cfg.stop.max_seconds
+            if over or every and (t + 1) % every == 0:
+                rows.extend((t + 1, secs, i, states[i].tolist(), sent.get(i, []), rounds.received[i], rounds.good[i]) for i in range(n))
+            return over
+
+        if plain:
+            kernel.alone(_cube(table, n, cfg.steps), np.repeat(start[None], n, axis=0), cfg.eps, keep)
+        else:
+            rounds.run(_sorted_batches(table), keep)
+        rows = [(t, secs, i, w, int(np.searchsorted(s, t)), r, g) for t, secs, i, w, s, r, g in rows]
+        return pa.table([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
+
+    return drawn.select("worker", "round", "slot", "x").groupBy().applyInArrow(run, TRACED)
+
+
+def _cube(rows: pa.Table, n: int, steps: int) -> np.ndarray:
+    """Single samples as steps x workers x dims."""
+    worker, rnd = (rows.column(c).to_numpy() for c in ("worker", "round"))
+    x = rows.column("x").combine_chunks().flatten().to_numpy().reshape(len(rows), -1)
+    out = np.empty((steps, n, x.shape[1]))
+    out[rnd, worker] = x
+    return out
+
 
-    return drawn.select("worker", "round", "slot", "x").groupBy().applyInArrow(run, STATE)
+HISTORY = "worker int, round int, w array<array<double>>, received long, good long"
 
 
-def supersteps(drawn: DataFrame, cfg: DescentConfig, w0: list, evaluate: DataFrame | None = None, resume: tuple[DataFrame, int] | None = None) -> tuple[DataFrame, list[tuple]]:
+def supersteps(drawn: DataFrame, cfg: DescentConfig, w0: list, evaluate: DataFrame | None = None, resume: tuple[DataFrame, int] | None = None, keep_all: bool = False) -> tuple[DataFrame, list[tuple]]:
     """The superstep engine: a job a stretch. ``resume``: history rows ``worker, round, w`` and the round to begin with.
 
-    Messages reach peers at stretch borders; with ``stretch=1`` the run equals the fold engine's, bit for bit.
+    Messages reach peers at stretch borders; with ``stretch=1`` the run equals the fold engine's, bit for bit. A job reads the
+    samples of its stretch and the tables of states that mail can still reach, however many rounds have passed.
+    The history has these last states, or with ``keep_all`` those of every round.
     """
     spark = drawn.sparkSession
-    placed = settled(drawn.repartition(cfg.workers, "worker"), "drawn")
+    sync = cfg.comm == "sync"
+    if sync and cfg.stretch > 1:
+        raise ValueError("synchronous exchange needs a stretch of 1")
+    placed = settled(drawn.withColumn("leg", F.floor(F.col("round") / cfg.stretch).cast("int")).repartitionById(cfg.workers, "worker"), "drawn", "leg")
+    ahead = cfg.with_(steps=cfg.steps + sync)
     border = (F.floor(F.col("sent_round") / cfg.stretch) + 1) * cfg.stretch  # what is sent within a stretch is read after it
-    late = draws.inbox(spark, cfg).withColumn("round", F.greatest("round", border).cast("int")).where(F.col("round") < cfg.steps)
-    post = settled(late.groupBy("recipient", "round", "buffer", "sender", "sent_round").agg(F.sort_array(F.collect_list("block")).alias("blocks")), "mail")
+    late = draws.inbox(spark, ahead).withColumn("round", F.greatest("round", border).cast("int") - int(sync)).where(F.col("round") < cfg.steps)
+    legs = late.groupBy("recipient", "round", "buffer", "sender", "sent_round").agg(F.sort_array(F.collect_list("block")).alias("blocks"))
+    post = None if cfg.comm == "silent" else settled(legs.withColumn("leg", F.floor(F.col("round") / cfg.stretch).cast("int")), "mail", "leg")
     begin = 0 if resume is None else resume[1]
-    history = spark.createDataFrame([(i, 0, w0, 0, 0) for i in range(cfg.workers)], "worker int, round int, w array<array<double>>, received long, good long") if resume is None else resume[0]
-    trace, began = [], time.time()
+    tables = [(begin, spark.createDataFrame([(i, 0, w0, 0, 0) for i in range(cfg.workers)], HISTORY) if resume is None else resume[0].select("worker", "round", "w", "received", "good"))]
+    trace, began, past = [], time.time(), []
+
+    def letters_of(rows: list[dict]) -> dict:
+        found: dict = {}
+        for r in sorted((r for r in rows if r["sender"] is not None), key=lambda r: (r["round"], r["buffer"], r["sent_round"], r["sender"])):
+            found.setdefault(r["round"], []).append((np.asarray(r["w"]), np.isin(np.arange(cfg.k), r["blocks"])))
+        return found
 
     def work(key, samples: pa.Table, inputs: pa.Table) -> pa.Table:
-        worker = key[0].as_py()
-        rows = inputs.to_pylist()
+        worker, rows = key[0].as_py(), inputs.to_pylist()
         own = next(r for r in rows if r["sender"] is None)
         w, received, good = np.asarray(own["w"]), own["received"], own["good"]
-        letters: dict = {}
-        for r in sorted((r for r in rows if r["sender"] is not None), key=lambda r: (r["round"], r["buffer"], r["sent_round"], r["sender"])):
-            letters.setdefault(r["round"], []).append((np.asarray(r["w"]), np.isin(np.arange(cfg.k), r["blocks"])))
-        batches = _sorted_batches(samples) if samples.num_rows else {}
+        letters, batches = letters_of(rows), _sorted_batches(samples) if samples.num_rows else {}
         out = []
         for t in range(own["round"], own["round"] + min(cfg.stretch, cfg.steps - own["round"])):
             x = batches.get((worker, t))
             if x is not None:
-                g = kernel.gradient(x, w, cfg.reduce, cfg.normalise)
-                modified, n = kernel.step(w, g, letters.get(t, []), cfg.eps, cfg.window, cfg.window_scope)
+                g = kernel.gradient(x, w, cfg.reduce, cfg.normalise, cfg.loss)
+                w, n = _moved(cfg, w, g, letters.get(t, []))
                 received, good = received + len(letters.get(t, [])), good + n
-                w = kernel.apply(w, g, modified, cfg.eps, cfg.blend_gain)
             out.append((worker, t + 1, w.tolist(), received, good))
-        kinds = (pa.int32(), pa.int32(), pa.list_(pa.list_(pa.float64())), pa.int64(), pa.int64())
-        return pa.table([pa.array(c, type=k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["worker", "round", "w", "received", "good"])
-
+        return pa.table([pa.array(c, type=k) for c, k in zip(zip(*out, strict=True), _HISTORY_KINDS, strict=True)], names=["worker", "round", "w", "received", "good"])
+
+    def alone(key, samples: pa.Table, inputs: pa.Table) -> pa.Table:
+        """The first half of a synchronous round: the own step, and where it leads."""
+        (own,) = inputs.to_pylist()
+        w, (x,) = np.asarray(own["w"]), _sorted_batches(samples).values() if samples.num_rows else (None,)
+        g = None if x is None else kernel.gradient(x, w, cfg.reduce, cfg.normalise, cfg.loss)
+        fresh = w if g is None else w - cfg.eps * g
+        kinds = (pa.int32(), *[pa.list_(pa.list_(pa.float64()))] * 3, pa.int64(), pa.int64())
+        return pa.table([pa.array([v], type=k) for v, k in zip((own["worker"], own["w"], None if g is None else g.tolist(), fresh.tolist(), own["received"], own["good"]), kinds, strict=True)], names=["worker", "w", "g", "fresh", "received", "good"])
+
+    def meet(key, mine: pa.Table, inputs: pa.Table) -> pa.Table:
+        """The second half: fresh states of peers are read."""
+        (own,), rows = mine.to_pylist(), inputs.to_pylist()
+        w, received, good = np.asarray(own["w"]), own["received"], own["good"]
+        if own["g"] is not None:
+            mail = next(iter(letters_of(rows).values()), [])
+            w, n = _moved(cfg, w, np.asarray(own["g"]), mail)
+            received, good = received + len(mail), good + n
+        return pa.table([pa.array([v], type=k) for v, k in zip((own["worker"], 0, w.tolist(), received, good), _HISTORY_KINDS, strict=True)], names=["worker", "round", "w", "received", "good"])
+
+    nothing = [F.lit(None).cast(t).alias(c) for c, t in (("sender", "int"), ("sent_round", "int"), ("buffer", "int"), ("blocks", "array<int>"))]
+    written = [F.col("recipient").alias("worker"), "round", "w", F.lit(0).cast("long").alias("received"), F.lit(0).cast("long").alias("good"), "sender", "sent_round", "buffer", "blocks"]
     for t in range(begin, cfg.steps, cfg.stretch):
         end = min(t + cfg.stretch, cfg.steps)
-        now = history.where(F.col("round") == t).select("worker", "round", "w", "received", "good", F.lit(None).cast("int").alias("sender"), F.lit(None).cast("int").alias("sent_round"), F.lit(None).cast("int").alias("buffer"), F.lit(None).cast("array<int>").alias("blocks"))
-        due = post.where((F.col("round") >= t) & (F.col("round") < end) & (F.col("sent_round") < t))
-        letters = due.join(history.select(F.col("worker").alias("sender"), (F.col("round") - 1).alias("sent_round"), "w"), ["sender", "sent_round"]).select(F.col("recipient").alias("worker"), "round", "w", F.lit(0).cast("long").alias("received"), F.lit(0).cast("long").alias("good"), "sender", "sent_round", "buffer", "blocks")
-        inputs = now if cfg.comm == "silent" else now.unionByName(letters)
-        slice_ = placed.where((F.col("round") >= t) & (F.col("round") < end))
-        made = settled(slice_.groupBy("worker").cogroup(inputs.groupBy("worker")).applyInArrow(work, "worker int, round int, w array<array<double>>, received long, good long"), "states")
-        keep = max(cfg.max_age, cfg.stretch) + 1
-        history = made if cfg.comm == "silent" else history.where(F.col("round") > end - keep).unionByName(made)
-        if evaluate is not None:
-            w = made.where((F.col("worker") == 0) & (F.col("round") == end)).first().w
-            trace.append((end, end * cfg.b * cfg.workers, time.time() - began, error_of(evaluate, w), 0, 0, 0))
-            if _stops(cfg, trace):
-                break
-    return history, trace
+        leg = t // cfg.stretch
+        now = tables[-1][1].where(F.col("round") == t)
+        slice_ = placed.where((F.col("leg") == leg) & (F.col("round") >= t)).drop("leg")
+        due = None if post is None else post.where((F.col("leg") == leg) & (F.col("round") >= t)).drop("leg")
+        if sync:
+            halves = settled(slice_.groupBy("worker").cogroup(now.groupBy("worker")).applyInArrow(alone, "worker int, w array<array<double>>, g array<array<double>>, fresh array<array<double>>, received long, good long"), "halves")
+            letters = due.join(halves.select(F.col("worker").alias("sender"), F.col("fresh").alias("w")), "sender").select(*written)
+            made = settled(halves.groupBy("worker").cogroup(letters.groupBy("worker")).applyInArrow(meet, HISTORY).withColumn("round", F.lit(t + 1).cast("int")), "states")
+        else:
+            inputs = now.select("worker", "round", "w", "received", "good", *nothing)
+            if due is not None:
+                states = reduce(DataFrame.unionByName, [h for _, h in tables]).select(F.col("worker").alias("sender"), (F.col("round") - 1).alias("sent_round"), "w")
+                inputs = inputs.unionByName(due.where(F.col("sent_round") < t).join(states, ["sender", "sent_round"]).select(*written))
+            made = settled(slice_.groupBy("worker").cogroup(inputs.groupBy("worker")).applyInArrow(work, HISTORY), "states")
+        reach = max(cfg.max_age, cfg.stretch) + 1
+        past += [made] * keep_all
+        tables = [(last, h) for last, h in tables if cfg.comm != "silent" and last > end - reach] + [(end, made)]
+        counts = made.where(F.col("round") == end).agg(F.sum("received"), F.sum("good"), F.min_by("w", "worker")).first()
+        error = error_of(evaluate, counts[2], cfg.loss) if evaluate is not None else None
+        sent = 0 if cfg.comm == "silent" else cfg.workers * cfg.fanout * (end // cfg.comm_every)
+        trace.append((end, end * cfg.b * cfg.workers, time.time() - began, error, sent, counts[0], counts[1]))
+        if _stops(cfg, trace):
+            break
+    return reduce(DataFrame.unionByName, past if keep_all and past else [h for _, h in tables]), trace
+
+
+_HISTORY_KINDS = (pa.int32(), pa.int32(), pa.list_(pa.list_(pa.float64())), pa.int64(), pa.int64())
 
 
 def latest(history: DataFrame, spark: SparkSession, cfg: DescentConfig, upto: int | None = None) -> DataFrame:
@@ -308,14 +412,13 @@ def latest(history: DataFrame, spark: SparkSession, cfg: DescentConfig, upto: in
     return last.join(sent, "worker", "left").select("worker", "s.w", F.coalesce("sent", F.lit(0)).cast("long").alias("sent"), "s.received", "s.good")
 
 
-def error_of(points: DataFrame, w: list) -> float:
-    """Mean quantisation error of a state over all points."""
-    state = points.sparkSession.createDataFrame([(w,)], "w array<array<double>>")
-    return points.crossJoin(F.broadcast(state)).agg(F.avg(F.array_min(distances("x", F.col("w"))) * 0.5)).first()[0]
+def error_of(points: DataFrame, w: list, loss: str = "prototypes") -> float:
+    """Mean loss of a state over all points; of prototypes the mean quantisation error."""
+    return errors_of(points, [np.asarray(w, dtype=np.float64)], loss)[0]
 
 
-def errors_of(points: DataFrame, states: list[np.ndarray]) -> list[float]:
-    """Mean quantisation errors of several states over all points, in one pass: a row for each task and state."""
+def errors_of(points: DataFrame, states: list[np.ndarray], loss: str = "prototypes") -> list[float]:
+    """Mean losses of several states over all points, in one pass: a row for each task and state."""
     if not states:
         return []
     sent = points.sparkSession.sparkContext.broadcast(states)
@@ -325,7 +428,7 @@ def errors_of(points: DataFrame, states: list[np.ndarray]) -> list[float]:
         for batch in batches:
             if batch.num_rows:
                 x = batch.column(0).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
-                sums += [0.5 * kernel.distances(x, w).min(axis=1).sum() for w in sent.value]
+                sums += [kernel.losses(x, w, loss).sum() for w in sent.value]
                 n += batch.num_rows
         yield pa.RecordBatch.from_arrays([pa.array(range(len(sums)), pa.int32()), pa.array(sums), pa.array([n] * len(sums), pa.int64())], ["state", "loss", "n"])
 
@@ -336,46 +439,62 @@ def errors_of(points: DataFrame, states: list[np.ndarray]) -> list[float]:
 # --- methods -----------------------------------------------------------------------------------------------------
 
 
-def gossip_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "fold", evaluate: DataFrame | None = None) -> RunResult:
-    """Windowed gossip descent; ``comm="silent"`` leaves messages out, ``"sync"`` waits for fresh states."""
+def gossip_sgd(points: DataFrame, cfg: DescentConfig, w0: list | DataFrame | None = None, engine: str = "auto", evaluate: DataFrame | None = None) -> RunResult:
+    """Windowed gossip descent; ``comm="silent"`` leaves messages out, ``"sync"`` waits for fresh states.
+
+    ``w0``: blocks of values, or a stored state ``block, dim, value`` (a warm start).
+    """
     m = points.count()
-    cfg.validate(m)
-    start = w0 or initial_state(points, cfg)
+    cfg = cfg.validate(m).within()
+    start = as_array(w0).tolist() if isinstance(w0, DataFrame) else w0 or initial_state(points, cfg)
     drawn = draws.minibatches(points, cfg, m)
+    if engine == "auto":
+        engine = "fold" if cfg.workers * cfg.b * cfg.steps <= FOLD_MOST and evaluate is None else "superstep"
+    if cfg.stop.target_error is not None and (engine != "superstep" or evaluate is None):
+        raise ValueError("an error level needs the superstep engine and points to evaluate on")
     if engine == "fold":
         return RunResult(folded(drawn, cfg, start), cfg, w0=start)
-    if cfg.comm == "sync":
-        raise ValueError("synchronous exchange runs on the fold engine only")
     if engine == "superstep":
         history, trace = supersteps(drawn, cfg, start, evaluate)
-        return RunResult(latest(history, points.sparkSession, cfg), cfg, trace, start)
+        return RunResult(latest(history, points.sparkSession, cfg, trace[-1][0]), cfg, trace, start)
     if engine == "mailbox":
+        if cfg.comm == "sync":
+            raise ValueError("the mailbox engine never waits: synchronous exchange runs on fold and superstep")
         from gossamer.operators.mailbox import mailbox_run
 
         return RunResult(mailbox_run(drawn, cfg, start), cfg, w0=start)
     raise ValueError(f"no engine {engine!r}")
 
 
-def oneshot_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "fold", final: str = "average") -> RunResult:
+def oneshot_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "auto", final: str = "average") -> RunResult:
     """Workers run alone on single samples; one average at the end. ``arrow``: a worker a task, batches streamed.
 
-    ``final="first"`` is the variant that returns one worker.
+    ``final="first"`` is the variant that returns one worker. ``auto`` streams what the fold engine would not take.
     """
-    cfg = cfg.with_(comm="silent", b=1, final=final)
+    cfg = cfg.with_(comm="silent", b=1, final=final).within()
+    if engine == "auto":
+        m, per = points.count(), cfg.workers * cfg.steps
+        engine = "fold" if per <= FOLD_MOST or per > m // cfg.workers * cfg.workers or cfg.loss != "prototypes" else "arrow"
     if engine != "arrow":
         return gossip_sgd(points, cfg, w0, engine)
     m = points.count()
+    cfg.validate(m)
+    if cfg.workers * cfg.steps > m // cfg.workers * cfg.workers:
+        raise ValueError("streamed workers walk their samples once")
     start = w0 or initial_state(points, cfg)
-    parted = draws.assign_workers(points, cfg.workers, cfg.seed, m, budget=cfg.workers * cfg.steps).repartition(cfg.workers, "worker").sortWithinPartitions("worker", "pos")
+    parted = draws.assign_workers(points, cfg.workers, cfg.seed, m, budget=cfg.workers * cfg.steps).repartitionById(cfg.workers, "worker").sortWithinPartitions("worker", "pos")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         states: dict[int, np.ndarray] = {}
         for batch in batches:
-            x = batch.column(1).flatten().to_numpy().reshape(batch.num_rows, -1)
-            for i, worker in enumerate(batch.column(0).to_pylist()):
-                w = states.setdefault(worker, np.asarray(start, dtype=np.float64).copy())
-                near = int(kernel.distances(x[i : i + 1], w)[0].argmin())
-                w[near] = w[near] - cfg.eps * (w[near] - x[i])
+            if not batch.num_rows:
+                continue
+            x, who = batch.column(1).flatten().to_numpy().reshape(batch.num_rows, 1, -1), batch.column(0).to_numpy()
+            cuts = [0, *(np.flatnonzero(np.diff(who)) + 1).tolist(), len(who)]
+            for a, b in zip(cuts, cuts[1:], strict=False):
+                worker = int(who[a])
+                w = states.get(worker, np.asarray(start, dtype=np.float64))
+                states[worker] = kernel.alone(x[a:b], w[None], cfg.eps)[0]
         if states:
             n = len(states)
             yield pa.RecordBatch.from_arrays([pa.array(list(states), pa.int32()), pa.array([s.tolist() for s in states.values()], pa.list_(pa.list_(pa.float64()))), *[pa.array([0] * n, pa.int64())] * 3], ["worker", "w", "sent", "received", "good"])
@@ -383,12 +502,12 @@ def oneshot_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, e
     return RunResult(parted.select("worker", "x").mapInArrow(run, STATE), cfg, w0=start)
 
 
-def minibatch_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "fold") -> RunResult:
+def minibatch_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "auto") -> RunResult:
     """One worker, ``b`` samples a step."""
     return gossip_sgd(points, cfg.with_(comm="silent", workers=1), w0, engine)
 
 
-def online_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "fold") -> RunResult:
+def online_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "auto") -> RunResult:
     """One worker, one sample a step, drawn with replacement."""
     return gossip_sgd(points, cfg.with_(comm="silent", workers=1, b=1, draw="replace"), w0, engine)
 

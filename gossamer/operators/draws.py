@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -9,24 +11,34 @@ from gossamer.config import DescentConfig
 from gossamer.functions.arrays import hash_hex, hash_int
 
 
-def exact_rank(df: DataFrame, key: Column, *ties: str) -> DataFrame:
+def exact_rank(df: DataFrame, key: Column, *ties: str, most: int | None = None, by: str | None = None, groups: int = 1) -> DataFrame:
     """Adds ``rank``, the 0-based place in the order of a hexadecimal ``key``, without a global sort.
 
-    Rows are counted in the 65,536 buckets of the first four digits; a bucket's rows are numbered on their own.
+    Rows are counted in the buckets of the first digits; a bucket's rows are numbered on their own. With ``most`` only
+    the first ranks stay, and buckets beyond them are cut below the shuffle: at most ``most`` rows and one bucket move.
+    ``by``: places within each of ``groups`` groups. Equal keys are ordered by ``ties``; null ids by the hash of nothing.
     """
-    keyed = df.withColumn("__key", key).withColumn("__bucket", F.substring("__key", 1, 4))
-    before = keyed.groupBy("__bucket").agg(F.count("*").alias("n")).select("__bucket", (F.sum("n").over(Window.orderBy("__bucket")) - F.col("n")).alias("__before"))  # 65,536 rows at most
-    inside = F.row_number().over(Window.partitionBy("__bucket").orderBy("__key", *ties)) - 1
-    return keyed.withColumn("__inside", inside).join(F.broadcast(before), "__bucket").withColumn("rank", (F.col("__before") + F.col("__inside")).cast("long")).drop("__key", "__bucket", "__before", "__inside")
+    digits = max(1, 4 - math.ceil(math.log(max(1, groups), 16)))
+    own = [by] if by else []
+    keyed = df.withColumn("__key", key).withColumn("__bucket", F.substring("__key", 1, digits))
+    sizes = keyed.groupBy(*own, "__bucket").agg(F.count("*").alias("n"))  # 65,536 rows at most, or 16 a group
+    before = sizes.select(*own, "__bucket", (F.sum("n").over(Window.partitionBy(*own).orderBy("__bucket")) - F.col("n")).alias("__before"))
+    if most is not None:
+        before = before.where(F.col("__before") < most)
+    near = keyed.join(F.broadcast(before), [*own, "__bucket"])
+    inside = F.row_number().over(Window.partitionBy(*own, "__bucket").orderBy("__key", *ties)) - 1
+    ranked = near.withColumn("__inside", inside).withColumn("rank", (F.col("__before") + F.col("__inside")).cast("long")).drop("__key", "__bucket", "__before", "__inside")
+    return ranked if most is None else ranked.where(F.col("rank") < most)
 
 
 def assign_workers(points: DataFrame, n: int, seed: int, m: int | None = None, remainder: str = "drop", budget: int | None = None) -> DataFrame:
-    """Adds ``worker`` and ``pos``: a random partition in random local order. ``budget``: only the first ranks."""
-    ranked = exact_rank(points, hash_hex(F.lit(seed), F.lit("part"), "sample_id"), "sample_id")
+    """Adds ``worker`` and ``pos``: a random partition in random local order. ``budget``: only the first ranks.
+
+    Cases: repeated rows and repeated ids count as samples of their own; an empty table gives no rows.
+    """
     least = [] if remainder == "spread" else [(points.count() if m is None else m) // n * n]
     least += [budget] if budget is not None else []
-    if least:
-        ranked = ranked.where(F.col("rank") < min(least))
+    ranked = exact_rank(points, hash_hex(F.lit(seed), F.lit("part"), "sample_id"), "sample_id", most=min(least) if least else None)
     return ranked.withColumn("worker", F.pmod("rank", F.lit(n)).cast("int")).withColumn("pos", F.floor(F.col("rank") / n).cast("long")).drop("rank")
 
 
@@ -35,17 +47,17 @@ def hashed_workers(points: DataFrame, n: int, seed: int) -> DataFrame:
     return points.withColumn("worker", F.pmod(hash_int(F.lit(seed), F.lit("part"), "sample_id"), F.lit(n)).cast("int"))
 
 
-def local_order(parted: DataFrame, seed: int, epoch: int = 0) -> DataFrame:
-    """A fresh order on every worker for an epoch: ``pos`` from 0."""
-    order = Window.partitionBy("worker").orderBy(hash_hex(F.lit(seed), F.lit("order"), F.lit(epoch), "sample_id"), "sample_id")
-    return parted.withColumn("pos", (F.row_number().over(order) - 1).cast("long"))
+def local_order(parted: DataFrame, seed: int, epoch: int = 0, workers: int = 4096) -> DataFrame:
+    """A fresh order on every worker for an epoch: ``pos`` from 0. A worker's samples are numbered in buckets, not in one task."""
+    key = hash_hex(F.lit(seed), F.lit("order"), F.lit(epoch), "sample_id")
+    return exact_rank(parted, key, "sample_id", by="worker", groups=workers).withColumnRenamed("rank", "pos")
 
 
 def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) -> DataFrame:
     """``worker, round, slot, sample_id, x``: what each worker draws in each round, and nothing else.
 
-    Drawn by walking the local order, the budget of n * b * steps samples is cut before any sample moves to its
-    worker. With replacement, (worker, round, slot) is matched to a position by its hash.
+    Drawn by walking the local order, the budget of n * b * steps samples is cut before any sample moves. With replacement,
+    (worker, round, slot) is matched to a position by its hash; ids are ranked without their samples, which join last.
     """
     n, b = cfg.workers, cfg.b
     if cfg.draw == "shuffle":
@@ -54,7 +66,7 @@ def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) ->
         first = assign_workers(points, n, cfg.seed, m, budget=n * b * cfg.steps)
         drawn = first.select("worker", "pos", "sample_id", "x")
         for epoch in range(1, rounds):
-            again = local_order(assign_workers(points, n, cfg.seed, m).drop("pos"), cfg.seed, epoch)
+            again = local_order(assign_workers(points, n, cfg.seed, m).drop("pos"), cfg.seed, epoch, n)
             drawn = drawn.unionByName(again.select("worker", (F.col("pos") + F.lit(epoch * (m // n))).alias("pos"), "sample_id", "x"))
         cut = drawn.withColumn("round", F.floor(F.col("pos") / b).cast("int")).where(F.col("round") < cfg.steps)
         return cut.select("worker", "round", F.pmod("pos", F.lit(b)).cast("int").alias("slot"), "sample_id", "x")
@@ -62,7 +74,8 @@ def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) ->
     spark = points.sparkSession
     slots = spark.range(n * cfg.steps * b).select(F.pmod("id", F.lit(n)).cast("int").alias("worker"), F.pmod(F.floor(F.col("id") / n), F.lit(cfg.steps)).cast("int").alias("round"), F.floor(F.col("id") / (n * cfg.steps)).cast("int").alias("slot"))
     wanted = slots.withColumn("pos", F.pmod(hash_int(F.lit(cfg.seed), F.lit("draw"), "worker", "round", "slot"), F.lit(m // n)))
-    return wanted.join(assign_workers(points, n, cfg.seed, m), ["worker", "pos"]).select("worker", "round", "slot", "sample_id", "x")
+    places = assign_workers(points.select("sample_id"), n, cfg.seed, m)
+    return wanted.join(places, ["worker", "pos"]).join(points, "sample_id").select("worker", "round", "slot", "sample_id", "x")
 
 
 def sends(spark: SparkSession, cfg: DescentConfig) -> DataFrame:
@@ -73,10 +86,15 @@ def sends(spark: SparkSession, cfg: DescentConfig) -> DataFrame:
     s = F.lit(cfg.seed)
     rows = spark.range(n * cfg.steps * cfg.fanout).select(F.pmod("id", F.lit(n)).cast("int").alias("sender"), F.pmod(F.floor(F.col("id") / n), F.lit(cfg.steps)).cast("int").alias("sent_round"), F.floor(F.col("id") / (n * cfg.steps)).cast("int").alias("copy"))
     rows = rows.where((F.col("sent_round") + 1) % cfg.comm_every == 0)
-    offset = F.pmod(hash_int(s, F.lit("to"), "sender", "sent_round") + F.col("copy"), F.lit(n - 1)) + 1
-    age = F.pmod(hash_int(s, F.lit("age"), "sender", "sent_round", "copy"), F.lit(cfg.max_age)) + 1
+    own = cfg.threads if cfg.scope == "other_node" else 1  # workers that a sender leaves out: its node's, or itself
+    base = F.col("sender") if own == 1 else F.floor(F.col("sender") / own) * own + own - 1
+    offset = F.pmod(hash_int(s, F.lit("to"), "sender", "sent_round") + F.col("copy"), F.lit(n - own)) + 1
+    drawn = hash_int(s, F.lit("age"), "sender", "sent_round", "copy")
+    # geometric: each age half as likely as the one before, by the trailing bits of the hash
+    halves = [F.when(F.pmod(drawn, F.lit(2**a)) == 0, 1).otherwise(0) for a in range(1, cfg.max_age)]
+    age = F.pmod(drawn, F.lit(cfg.max_age)) + 1 if cfg.delay == "uniform" else sum(halves, F.lit(1))
     buffer = F.pmod(hash_int(s, F.lit("buffer"), "sender", "sent_round", "copy"), F.lit(cfg.buffers))
-    return rows.select("sender", "sent_round", F.pmod(F.col("sender") + offset, F.lit(n)).cast("int").alias("recipient"), (F.col("sent_round") + age).cast("int").alias("due_round"), buffer.cast("int").alias("buffer"))
+    return rows.select("sender", "sent_round", F.pmod(base + offset, F.lit(n)).cast("int").alias("recipient"), (F.col("sent_round") + age).cast("int").alias("due_round"), buffer.cast("int").alias("buffer"))
 
 
 def blocks(messages: DataFrame, cfg: DescentConfig) -> DataFrame:

@@ -8,6 +8,7 @@ The barrier only makes all workers run at once; a retried stage starts all of th
 from __future__ import annotations
 
 import os
+import time
 import uuid
 from collections.abc import Iterable, Iterator
 
@@ -64,9 +65,9 @@ def mailbox_run(drawn: DataFrame, cfg: DescentConfig, w0: list) -> DataFrame:
 
         def one() -> None:
             nonlocal w, sent, received, good
-            g = kernel.gradient(np.asarray(held), w, cfg.reduce, cfg.normalise)
+            g = kernel.gradient(np.concatenate(held), w, cfg.reduce, cfg.normalise, cfg.loss)
             mail = [m for buffer in range(cfg.buffers) if cfg.comm != "silent" and (m := store.take(worker, buffer))]
-            modified, n = kernel.step(w, g, mail, cfg.eps, cfg.window, cfg.window_scope)
+            modified, n = kernel.step(w, g, mail, cfg.eps, cfg.window, cfg.window_scope, cfg.empty_rule)
             received, good = received + len(mail), good + n
             w = kernel.apply(w, g, modified, cfg.eps, cfg.blend_gain)
             if cfg.comm != "silent" and (now + 1) % cfg.comm_every == 0:
@@ -76,14 +77,21 @@ def mailbox_run(drawn: DataFrame, cfg: DescentConfig, w0: list) -> DataFrame:
                     store.put(int(to) + (to >= worker), int(rng.integers(cfg.buffers)), w, share)
                     sent += 1
 
+        over = None if cfg.stop.max_seconds is None else time.monotonic() + cfg.stop.max_seconds
         for batch in batches:
+            if not batch.num_rows:
+                continue
             x = batch.column(3).flatten().to_numpy().reshape(batch.num_rows, -1)
-            for i, (who, t) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
-                if held and t != now:
+            who, when = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            cuts = [0, *(np.flatnonzero((np.diff(who) != 0) | (np.diff(when) != 0)) + 1).tolist(), len(who)]
+            for a, b in zip(cuts, cuts[1:], strict=False):
+                if held and when[a] != now:
+                    if over is not None and time.monotonic() >= over:
+                        continue  # the state as it is; the rest of the samples is left
                     one()
                     held.clear()
-                worker, now = who, t
-                held.append(x[i])
+                worker, now = int(who[a]), int(when[a])
+                held.append(x[a:b])
         if held:
             one()
             yield pa.RecordBatch.from_arrays([pa.array([worker], pa.int32()), pa.array([w.tolist()], pa.list_(pa.list_(pa.float64()))), *[pa.array([v], pa.int64()) for v in (sent, received, good)]], ["worker", "w", "sent", "received", "good"])

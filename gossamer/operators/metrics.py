@@ -30,14 +30,12 @@ def timed(points: DataFrame, run):
 
 
 def center_error(truth: np.ndarray, w: np.ndarray, match: str = "nearest") -> float:
-    """Mean distance of planted centres to prototypes: the nearest each, or matched one to one."""
+    """Mean distance of planted centres to prototypes: the nearest each, matched one to one greedily, or with the least total."""
     d = np.sqrt(((truth[:, None] - w[None]) ** 2).sum(axis=2))
     if match == "nearest":
         return float(d.min(axis=1).mean())
-    if match == "hungarian" and len(truth) <= 8:
-        from itertools import permutations
-
-        return float(min(d[range(len(truth)), list(p)].mean() for p in permutations(range(len(w)), len(truth))))
+    if match == "hungarian":
+        return float(d[np.arange(len(truth)), least_matching(d)].mean())
     total, free, rest = 0.0, set(range(len(w))), set(range(len(truth)))
     for i, j in sorted(((i, j) for i in rest for j in free), key=lambda p: d[p]):
         if i in rest and j in free:
@@ -47,6 +45,36 @@ def center_error(truth: np.ndarray, w: np.ndarray, match: str = "nearest") -> fl
     return float(total / len(truth))
 
 
+def least_matching(cost: np.ndarray) -> np.ndarray:
+    """The column of each row so that the total cost is least: shortest augmenting paths with potentials; any size, rows <= columns."""
+    n, m = cost.shape
+    if n > m:
+        raise ValueError("more centres than prototypes")
+    column_row = np.full(m + 1, -1)  # the last column is where a path starts
+    by_row, by_column = np.zeros(n), np.zeros(m + 1)
+    for row in range(n):
+        column_row[m] = row
+        at, reach = m, np.full(m, np.inf)
+        came, done = np.full(m, m), np.zeros(m + 1, bool)
+        while column_row[at] >= 0:
+            done[at] = True
+            i = column_row[at]
+            slack = cost[i] - by_row[i] - by_column[:m]
+            nearer = ~done[:m] & (slack < reach)
+            reach[nearer], came[nearer] = slack[nearer], at
+            following = int(np.where(done[:m], np.inf, reach).argmin())
+            step = reach[following]
+            by_row[column_row[done]] += step
+            by_column[done] -= step
+            reach[~done[:m]] -= step
+            at = following
+        while at != m:
+            column_row[at], at = column_row[came[at]], came[at]
+    out = np.empty(n, np.int64)
+    out[column_row[:m][column_row[:m] >= 0]] = np.flatnonzero(column_row[:m] >= 0)
+    return out
+
+
 def center_error_frame(truth: DataFrame, state: DataFrame) -> DataFrame:
     """``center, distance``: from each planted centre to the nearest of k prototypes ``(block, w)``."""
     near = truth.join(F.broadcast(state), F.lit(True)).withColumn("d", F.sqrt(sqdist("mu", "w")))
@@ -65,8 +93,21 @@ def time_to_error(trace: DataFrame, level: float) -> DataFrame:
     return trace.where(F.col("error") <= level).groupBy("run_id").agg(F.min("touched").alias("touched"), F.min("secs").alias("secs"))
 
 
-def final_error(trace: DataFrame) -> DataFrame:
-    return trace.groupBy("run_id").agg(F.max_by("error", "round").alias("error"))
+def speedup_to_error(trace: DataFrame, level: float, base: str) -> DataFrame:
+    """``run_id, touched, secs, fewer, faster``: how many times fewer samples and seconds than run ``base`` to an error level."""
+    reached = time_to_error(trace, level)
+    of = reached.where(F.col("run_id") == base).select(F.col("touched").alias("base_touched"), F.col("secs").alias("base_secs"))
+    both = reached.join(F.broadcast(of), F.lit(True))  # one row
+    return both.select("run_id", "touched", "secs", (F.col("base_touched") / F.col("touched")).alias("fewer"), (F.col("base_secs") / F.col("secs")).alias("faster"))
+
+
+def final_error(trace: DataFrame, patience: int | None = None) -> DataFrame:
+    """``run_id, error``: of the round in which a run has converged by ``patience``, else of its last round."""
+    last = trace.groupBy("run_id").agg(F.max_by("error", "round").alias("error"))
+    if patience is None:
+        return last
+    at = trace.join(converged_at(trace, patience), ["run_id", "round"]).select("run_id", F.col("error").alias("settled"))
+    return last.join(at, "run_id", "left").select("run_id", F.coalesce("settled", "error").alias("error"))
 
 
 def summarise(runs: DataFrame, *by: str) -> DataFrame:

@@ -4,15 +4,18 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gossamer.config import DescentConfig
+from gossamer.config import DescentConfig, StopRule
 from gossamer.functions import arrays as A
+from gossamer.functions import kernel
 from gossamer.operators import codebook, descent, draws, linear, metrics
-from gossamer.plans import experiments, oracle, surround
+from gossamer.plans import experiments, oracle, reports, surround
 from gossamer.sources import points as S
+from gossamer.sources.shared import settled
 from gossamer.streaming import stream
 
 CFG = DescentConfig()
@@ -20,6 +23,8 @@ VARIANTS = {
     "gossip_full": ({}, "first"), "gossip_silent": ({"comm": "silent"}, "first"), "gossip_nowindow": ({"window": False}, "first"), "gossip_two_buffers": ({"buffers": 2, "fanout": 2}, "first"), "gossip_partial": ({"block_frac": 0.5}, "first"),
     "gossip_fanout2": ({"fanout": 2}, "first"), "gossip_delay2": ({"max_age": 2}, "first"), "gossip_torn": ({"race": "torn", "fanout": 3, "block_frac": 0.5}, "first"), "gossip_lossless": ({"race": "none", "fanout": 2}, "first"), "gossip_every": ({"comm_every": 3}, "first"), "gossip_average": ({}, "average"),
     "gossip_persample": ({"b": 1, "steps": 24}, "first"), "gossip_sum": ({"reduce": "sum", "eps": 0.05}, "first"), "gossip_replace": ({"draw": "replace"}, "first"),
+    "gossip_sync": ({"comm": "sync"}, "first"), "gossip_other_node": ({"threads": 2, "scope": "other_node"}, "first"), "gossip_geometric": ({"delay": "geometric", "max_age": 3}, "first"), "gossip_zero_norm": ({"empty_rule": "zero_norm", "block_frac": 0.4}, "first"),
+    "gossip_whole_states": ({"window_scope": "state", "fanout": 3, "race": "torn", "block_frac": 1.0}, "first"), "gossip_unit_gain": ({"blend_gain": "unit"}, "first"), "gossip_cluster_mean": ({"normalise": "cluster"}, "first"), "gossip_init_sample": ({"init": "sample"}, "first"), "gossip_stopped": ({"stop": StopRule(max_touched=100)}, "first"), "lockfree_torn": ({"race": "torn", "window": False}, "first"),
     "oneshot_first": ({"comm": "silent", "b": 1, "steps": 40, "eps": 0.1}, "first"), "oneshot_average": ({"comm": "silent", "b": 1, "steps": 40, "eps": 0.1}, "average"), "minibatch_sgd": ({"comm": "silent", "workers": 1, "b": 16}, "first"), "online_sgd": ({"comm": "silent", "workers": 1, "b": 1, "steps": 60, "draw": "replace", "eps": 0.1}, "first"),
 }
 Query = Callable[[SparkSession, str], DataFrame]
@@ -115,7 +120,9 @@ def _settled(race: str) -> Query:
 
 
 def message_rates(spark, sf_dir):
-    return descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states.select("worker", "received", "good")
+    """Messages sent, received and counted of each worker, and for each mini-batch."""
+    rate = lambda c: F.round(F.col(c) / CFG.steps, 6).alias(f"{c}_rate")
+    return descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states.select("worker", "sent", "received", "good", *[rate(c) for c in ("sent", "received", "good")])
 
 
 def race_counts(spark, sf_dir):
@@ -195,7 +202,7 @@ def codebook_histogram(spark, sf_dir):
 
 def codebook_documents(spark, sf_dir):
     """A codebook learnt on hashed documents, as histograms of languages (rows only)."""
-    points = S.doc128(spark, sf_dir).persist()
+    points = settled(S.doc128(spark, sf_dir), "documents")
     w = descent.as_array(descent.gossip_sgd(points, CFG.with_(k=20, b=16, steps=6)).state()).tolist()
     groups = S.table(spark, sf_dir, "documents").select(F.col("doc_id").cast("string").alias("sample_id"), F.col("lang").alias("object"))
     return codebook.histogram(points, w, groups)
@@ -226,13 +233,10 @@ def udf_surface(spark, sf_dir):
     """The same squared distance from Arrow, SQL function and expression: samples on which they differ (none)."""
     @F.pandas_udf("double")
     def far(x: pd.Series, c: pd.Series) -> pd.Series:
-        out = []
-        for a, b in zip(x, c, strict=True):
-            total = 0.0
-            for p, q in zip(a, b, strict=True):
-                total += (p - q) * (p - q)
-            out.append(total)
-        return pd.Series(out)
+        if not len(x):
+            return pd.Series([], dtype="float64")
+        d = np.stack(x.to_numpy()) - np.stack(c.to_numpy())
+        return pd.Series(kernel.in_order(d * d))
 
     A.register_functions(spark)
     c = F.array(*[F.lit(0.5)] * 4)
@@ -244,7 +248,7 @@ def sinks_round_trip(spark, sf_dir):
     """A state table through Parquet, ORC, JSON and CSV: rows lost or changed (none)."""
     from gossamer.sources.shared import shared_dir
 
-    rows = descent.long_form(descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states).coalesce(1).persist()
+    rows = settled(descent.long_form(descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states).coalesce(1), "states")
     folder, lost = f"{shared_dir(spark)}/sinks", None
     for kind in ("parquet", "orc", "json", "csv"):
         rows.write.mode("overwrite").partitionBy("worker").format(kind).save(f"{folder}-{kind}")
@@ -274,6 +278,35 @@ def stream_foreach(spark, sf_dir):
     return spark.read.parquet(f"{folder}/model/3").select("block", F.posexplode("v").alias("dim", "value"))
 
 
+#: the methods on losses with a target: changes to the configuration, and what is returned
+LINEAR = {"gossip": ({}, "first"), "oneshot": ({"comm": "silent", "b": 1, "steps": 40}, "average"), "online": ({"comm": "silent", "workers": 1, "b": 1, "steps": 60, "draw": "replace"}, "first"), "minibatch": ({"comm": "silent", "workers": 1, "b": 16}, "first")}
+
+
+def _linear_cfg(kind: str, method: str) -> DescentConfig:
+    return CFG.with_(loss=kind, k=1, eps=0.1, **LINEAR[method][0])
+
+
+def with_target(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
+    """Samples that end with a target: the price by quantity, discount, tax and one, or whether it is above the middle."""
+    x = F.col("x")
+    y = x[1] if kind == "squares" else (x[1] > 0.5).cast("double")
+    return S.line4(spark, sf_dir).select("sample_id", F.array(x[0], x[2], x[3], F.lit(1.0), y).alias("x"))
+
+
+def _target_sql(kind: str) -> str:
+    y = "x[2]" if kind == "squares" else "CASE WHEN x[2] > 0.5 THEN 1.0::double ELSE 0.0::double END"
+    return f"SELECT sample_id, [x[1], x[3], x[4], 1.0::double, {y}] AS x FROM ({L4}) p"
+
+
+def _linear_run(kind: str, method: str) -> Query:
+    def query(spark, sf_dir):
+        states = descent.gossip_sgd(with_target(spark, sf_dir, kind), _linear_cfg(kind, method)).states
+        final = descent.first(states) if LINEAR[method][1] == "first" else descent.average(states)
+        return final.withColumn("value", F.round("value", 9))
+
+    return query
+
+
 def _linear(kind: str) -> Query:
     def query(spark, sf_dir):
         rows = S.line4(spark, sf_dir).select(F.array(F.col("x")[0], F.col("x")[2], F.col("x")[3], F.lit(1.0)).alias("x"), F.col("x")[1].alias("y"))
@@ -297,6 +330,38 @@ def _mix(spark: SparkSession) -> DataFrame:
     return S.mix(spark, 10, 4000, 10, tasks=8)
 
 
+def library_kmeans(spark, sf_dir):
+    """The library's own clustering as an independent line: its mean error is not far above that of ten passes."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    points = S.line4(spark, sf_dir)
+    fitted = KMeans(k=3, seed=CFG.seed, maxIter=10, featuresCol="v").fit(points.select(array_to_vector("x").alias("v")))
+    own = descent.batch_descent(points, CFG.with_(eps=1.0, steps=10))
+    errors = descent.errors_of(points, [np.asarray([list(map(float, c)) for c in fitted.clusterCenters()]), descent.as_array(own.state())])
+    return spark.createDataFrame([("library", errors[0]), ("batch", errors[1])], "method string, error double")
+
+
+def label_changes_sql() -> str:
+    near = lambda w: f"SELECT p.sample_id, (list_position(ds, list_min(ds)) - 1)::int AS cluster FROM (SELECT p.sample_id, list_transform(z.w, lambda c: {oracle.d2('p.x', 'c', 4)}) AS ds FROM ({L4}) p, ({w}) z) p"
+    after = f"SELECT list(v ORDER BY block) AS w FROM (SELECT block, list(value ORDER BY dim) AS v FROM ({oracle.batch(L4, CFG.with_(eps=1.0, steps=1), 4)}) b GROUP BY block) c"
+    return f"SELECT cluster, count(*) AS changed FROM (SELECT * FROM ({near(oracle.initial(L4, CFG))}) a EXCEPT ALL SELECT * FROM ({near(after)}) b) d GROUP BY cluster"
+
+
+def race_counts_sql() -> str:
+    cfg = CFG.with_(fanout=3, block_frac=0.5, race="torn")
+    sent, stood = oracle.sends(cfg), oracle.inbox(cfg.with_(steps=cfg.steps)).replace(f"AND due_round < {cfg.steps}", "")
+    return f"SELECT d.round, d.due, d.due - k.kept AS lost, t.torn FROM (SELECT due_round AS round, count(*) AS due FROM ({sent}) s GROUP BY 1) d JOIN (SELECT round, count(DISTINCT (recipient, sender, sent_round, buffer)) AS kept FROM ({stood}) s GROUP BY 1) k USING (round) JOIN (SELECT round, sum((n > 1)::bigint)::bigint AS torn FROM (SELECT round, recipient, buffer, count(DISTINCT (sender, sent_round)) AS n FROM ({stood}) s GROUP BY ALL) u GROUP BY 1) t USING (round)"
+
+
+def linear_sql(kind: str) -> str:
+    """Full passes of a loss with a target: three recursive steps."""
+    score = oracle.fold("list_transform([1, 2, 3, 4], lambda j: x[j] * w[j])")
+    r = f"{score} - x[5]" if kind == "squares" else f"1.0::double / (1.0::double + exp(-({score}))) - x[5]"
+    g = ", ".join(f"w[{j}] - 0.5::double * avg(r * x[{j}])" for j in range(1, 5))
+    return f"WITH RECURSIVE pts AS MATERIALIZED ({_target_sql(kind)}), walk AS (SELECT 0 AS t, [0.0::double, 0.0, 0.0, 0.0] AS w UNION ALL SELECT t + 1, [{g}] FROM (SELECT k.t, k.w, p.x, {r} AS r FROM walk k, pts p WHERE k.t < 3) a GROUP BY t, w) SELECT (d - 1)::bigint AS dim, round(w[d], 6) AS value FROM walk, range(1, 5) s(d) WHERE t = 3"
+
+
 def trace_measures(spark, sf_dir):
     """Convergence of gossip, silent and one-shot runs (rows only: seconds are measured)."""
     rows = experiments.convergence(_mix(spark), experiments.BASE.with_(steps=40, b=20), truth=S.truth(spark, 10, 10))
@@ -309,7 +374,7 @@ def converged(spark, sf_dir):
     return both.withColumn("converged", F.coalesce("converged", F.lit(-1)))
 
 
-NATIVE: dict[str, Query] = {
+OWN: dict[str, Query] = {
     **{f"points_{n}": (lambda f: lambda spark, d: _scalars(f(spark, d)))(f) for n, f in S.SETS.items() if n != "doc128"},
     "points_doc128": lambda spark, d: S.doc_buckets(spark, d),
     "synth_truth": lambda spark, d: S.truth(spark, 4, 5).select("center", F.posexplode("mu").alias("dim", "value")),
@@ -327,7 +392,8 @@ NATIVE: dict[str, Query] = {
     "kmeans_assign": kmeans_assign, "kmeans_error": kmeans_error, "kmeans_grad_mean": kmeans_grad_mean, "kmeans_grad_one": kmeans_grad_one,
     "batch_1pass": _batch(1), "batch_10pass": _batch(10), "batch_tree": _batch(2, "tree"), "batch_native": _batch(2, "flat", descent.partial_sums), "batch_native_tree": _batch(2, "tree", descent.partial_sums),
     **{name: _run(name) for name in VARIANTS},
-    "gossip_sync": lambda spark, d: descent.first(descent.gossip_sgd(S.line4(spark, d), CFG.with_(comm="sync")).states),
+    "synchronous_superstep": lambda spark, d: descent.first(descent.gossip_sgd(S.line4(spark, d), CFG.with_(comm="sync"), engine="superstep").states),
+    "library_kmeans": library_kmeans, **{f"{method}_{kind}": _linear_run(kind, method) for kind in ("squares", "logistic") for method in LINEAR}, **reports.QUERIES,
     "gossip_superstep": gossip_superstep, "gossip_resume": gossip_resume, "gossip_limit_equals_oneshot": gossip_limit_equals_oneshot, "mailbox_async": mailbox_async, "stream_foreach": stream_foreach,
     "least_squares_batch": _linear("squares"), "logistic_batch": _linear("logistic"),
     "window_accept_cases": window_accept_cases, "blend_cases": blend_cases, "settle_overwrite": _settled("overwrite"), "settle_torn": _settled("torn"), "settle_none": _settled("none"),
@@ -342,7 +408,7 @@ NATIVE: dict[str, Query] = {
 
 
 def queries() -> dict[str, Query]:
-    return NATIVE | {name: surround.query(text) for name, text in surround.BOTH.items()}
+    return OWN | {name: surround.query(text) for name, text in surround.BOTH.items()}
 
 
 # --- SQL -------------------------------------------------------------------------------------------------
@@ -382,14 +448,17 @@ def oracle_sql() -> dict[str, str]:
         "kmeans_grad_mean": f"SELECT (c - 1)::int AS block, (d - 1)::int AS dim, round(sum(CASE WHEN near = c THEN w[c][d] - x[d] ELSE 0 END) / count(*) + 1.7e-11, 9) AS value FROM (SELECT *, list_position(ds, list_min(ds)) AS near FROM ({near4}) n) m, range(1, 4) a(c), range(1, 5) b(d) GROUP BY c, d",
         "kmeans_grad_one": f"SELECT sample_id, (near - 1)::int AS block, (d - 1)::int AS dim, w[near][d] - x[d] AS value FROM (SELECT *, list_position(ds, list_min(ds)) AS near FROM ({near4}) n) m, range(1, 5) b(d)",
         "batch_1pass": o.batch(L4, CFG.with_(eps=1.0, steps=1), 4), "batch_10pass": o.batch(L4, CFG.with_(eps=1.0, steps=10), 4), "batch_tree": o.batch(L4, CFG.with_(eps=1.0, steps=2), 4),
-        **{name: o.run(L4, CFG.with_(**changes), 4, o.FIRST if final == "first" else o.AVERAGE) for name, (changes, final) in VARIANTS.items()},
+        **{name: o.run(L4, CFG.with_(**changes).within(), 4, o.FIRST if final == "first" else o.AVERAGE) for name, (changes, final) in VARIANTS.items()},
+        "synchronous_superstep": o.run(L4, CFG.with_(comm="sync"), 4, o.FIRST),
         "gossip_limit_equals_oneshot": "SELECT 0::bigint AS differing",
         "window_accept_cases": "SELECT id::int AS id, coalesce(abs(1.5 - e) < abs(2.0 - e), false) AS accepted FROM (VALUES (0, 1.0), (1, 1.5), (2, 0.0), (3, 3.0), (4, 2.0), (5, 1.75), (6, NULL)) t(id, e)",
         "blend_cases": "SELECT * FROM (VALUES (0::int, 1.5::double, 1.5::double), (1, 1.25, 1.25), (2, 1.25, 1.5), (3, 1.0, 1.0)) t(id, windowed, open)",
         "settle_overwrite": "SELECT 2::int AS recipient, 5::int AS round, 0::int AS buffer, 1::int AS block, 1::int AS sender, 4::int AS sent_round",
         "settle_torn": "SELECT * FROM (VALUES (2::int, 5::int, 0::int, 0::int, 0::int, 3::int), (2, 5, 0, 1, 1, 4)) t(recipient, round, buffer, block, sender, sent_round)",
         "settle_none": "SELECT * FROM (VALUES (2::int, 5::int, 0::int, 0::int, 0::int, 3::int), (2, 5, 0, 1, 0, 3), (2, 5, 0, 1, 1, 4)) t(recipient, round, buffer, block, sender, sent_round)",
-        "message_rates": o.run(L4, CFG, 4, "SELECT worker, received, good FROM done"),
+        "message_rates": o.run(L4, CFG, 4, f"SELECT worker, sent, received, good, round(sent / {CFG.steps}.0::double, 6) AS sent_rate, round(received / {CFG.steps}.0::double, 6) AS received_rate, round(good / {CFG.steps}.0::double, 6) AS good_rate FROM done JOIN (SELECT sender AS worker, count(*) AS sent FROM ({o.sends(CFG)}) m GROUP BY 1) s USING (worker)"),
+        "race_counts": race_counts_sql(), "label_changes_except": label_changes_sql(), "least_squares_batch": linear_sql("squares"), "logistic_batch": linear_sql("logistic"),
+        **{f"{method}_{kind}": o.run(_target_sql(kind), _linear_cfg(kind, method), 4, f"SELECT block, dim, round(value, 9) AS value FROM ({o.FIRST if final == 'first' else o.AVERAGE}) v") for kind in ("squares", "logistic") for method, (_, final) in LINEAR.items()},
         "worker_spread": o.run(L4, CFG, 4, f"SELECT block, dim, round(stddev_pop(value), 9) AS spread FROM ({o.ALL_STATES}) s GROUP BY block, dim"),
         "center_error": f"SELECT center::int AS center, min(sqrt({o.d2('mu', 'w[c]', 4)})) AS distance FROM (VALUES (0, [0.2::double, 0.2, 0.2, 0.2]), (1, [0.8, 0.5, 0.5, 0.5]), (2, [0.5, 0.9, 0.1, 0.7])) t(center, mu), ({o.initial(L4, CFG.with_(k=5))}) z, range(1, 6) r(c) GROUP BY center",
         "touched_samples": "SELECT * FROM (VALUES ('batch', 8000::bigint), ('oneshot', 32), ('online', 8), ('minibatch', 64), ('gossip', 256)) t(method, touched)",
@@ -410,6 +479,6 @@ def oracle_sql() -> dict[str, str]:
     out["batch_native"] = out["batch_native_tree"] = out["batch_tree"]
     for same in ("gossip_superstep", "gossip_resume", "state_round_trip"):
         out[same] = out["gossip_full"]
-    return out | {name: surround.duck_text(text) for name, text in surround.BOTH.items()}
+    return out | reports.oracle_sql() | {name: surround.duck_text(text) for name, text in surround.BOTH.items()}
 
 

@@ -56,7 +56,10 @@ def sends(cfg: DescentConfig) -> str:
     n, s = cfg.workers, cfg.seed
     to, age, buf = int_(s, "'to'", "w.i", "t.i"), int_(s, "'age'", "w.i", "t.i", "c.i"), int_(s, "'buffer'", "w.i", "t.i", "c.i")
     gone = "false" if cfg.comm == "silent" or n < 2 else "true"
-    return f"SELECT w.i::int AS sender, t.i::int AS sent_round, ((w.i + 1 + ({to} + c.i) % {max(1, n - 1)}) % {n})::int AS recipient, (t.i + 1 + {age} % {cfg.max_age})::int AS due_round, ({buf} % {cfg.buffers})::int AS buffer FROM range({n}) w(i), range({cfg.steps}) t(i), range({cfg.fanout}) c(i) WHERE {gone} AND (t.i + 1) % {cfg.comm_every} = 0"
+    own = cfg.threads if cfg.scope == "other_node" else 1
+    base = f"(w.i // {own} * {own} + {own - 1})"
+    old = f"{age} % {cfg.max_age}" if cfg.delay == "uniform" else " + ".join(["0", *[f"({age} % {2**a} = 0)::int" for a in range(1, cfg.max_age)]])
+    return f"SELECT w.i::int AS sender, t.i::int AS sent_round, (({base} + 1 + ({to} + c.i) % {max(1, n - own)}) % {n})::int AS recipient, (t.i + 1 + {old})::int AS due_round, ({buf} % {cfg.buffers})::int AS buffer FROM range({n}) w(i), range({cfg.steps}) t(i), range({cfg.fanout}) c(i) WHERE {gone} AND (t.i + 1) % {cfg.comm_every} = 0"
 
 
 def blocks(cfg: DescentConfig) -> str:
@@ -75,40 +78,66 @@ def inbox(cfg: DescentConfig) -> str:
 
 
 def initial(points: str, cfg: DescentConfig) -> str:
+    if cfg.loss != "prototypes":
+        return f"SELECT [list_transform(x[1:len(x) - 1], lambda v: 0.0::double)] AS w FROM ({points}) p LIMIT 1"
+    if cfg.init == "sample":
+        at = f"SELECT c, {int_(cfg.seed, chr(39) + 'sample' + chr(39), 'c')} % (SELECT count(*) FROM ({points}) q) AS rank FROM range({cfg.k}) r(c)"
+        return f"SELECT list(x ORDER BY c) AS w FROM ({at}) a JOIN ({ranked(points, cfg.seed)}) b USING (rank)"
     return f"SELECT list(x ORDER BY h, sample_id) AS w FROM (SELECT x, sample_id, {hex_(cfg.seed, chr(39) + 'init' + chr(39), 'sample_id')} AS h FROM ({points}) p ORDER BY h, sample_id LIMIT {cfg.k}) i"
 
 
 def run(points: str, cfg: DescentConfig, dims: int, select: str) -> str:
-    """``select`` reads ``done (worker, w, received, good)``, the workers after the last round."""
+    """``select`` reads ``done (worker, w, received, good)``, the workers after the last round, or ``walk`` and ``pts``."""
     cs, js = list(range(1, cfg.k + 1)), list(range(1, dims + 1))
+    sync = cfg.comm == "sync"
     pair = lambda left: fold(f"flatten(list_transform(list_filter({cs}, lambda c: e.e[c] IS NOT NULL), lambda c: list_transform({js}, lambda j: ({left} - e.e[c][j]) * ({left} - e.e[c][j]))))")
-    window = f"list_filter(es, lambda e: {pair(f'(w[c][j] - {cfg.eps}::double * g[c][j])')} < {pair('w[c][j]')})" if cfg.window else "es"
+    there = ["true"]
+    if cfg.window_scope == "state":
+        there.append(f"len(list_filter({cs}, lambda c: e.e[c] IS NULL)) = 0")
+    if cfg.empty_rule == "zero_norm":
+        there.append(f"len(list_filter({cs}, lambda c: e.e[c] IS NOT NULL AND len(list_filter(e.e[c], lambda v: v <> 0)) > 0)) > 0")
+    if cfg.window:
+        there.append(f"{pair(f'(w[c][j] - {cfg.eps}::double * g[c][j])')} < {pair('w[c][j]')}")
+    window = f"list_filter(es, lambda e: {' AND '.join(there)})"
     summed = "list_reduce(list_prepend(w[c][j], list_transform(list_filter(ok, lambda e: e.e[c] IS NOT NULL), lambda e: e.e[c][j])), lambda p, q: p + q)"
     count = "(1 + len(list_filter(ok, lambda e: e.e[c] IS NOT NULL)))"
     modified = f"((w[c][j] - {summed} / {count}) + g[c][j])"
-    g = f"list_transform({cs}, lambda c: list_transform({js}, lambda j: {fold('list_transform(range(1, len(xs) + 1), lambda s: CASE WHEN near[s] = c THEN w[c][j] - xs[s][j] ELSE 0.0::double END)')}" + (" / len(xs)" if cfg.reduce == "mean" else "") + "))"
-    each = "list_transform(xs, lambda x: list_transform(w, lambda c: " + d2("x", "c", dims) + "))"
+    over = {"mean": {"batch": " / len(xs)", "cluster": " / greatest(len(list_filter(near, lambda v: v = c)), 1)"}[cfg.normalise], "sum": ""}[cfg.reduce]
+    if cfg.loss == "prototypes":
+        g = f"list_transform({cs}, lambda c: list_transform({js}, lambda j: {fold('list_transform(range(1, len(xs) + 1), lambda s: CASE WHEN near[s] = c THEN w[c][j] - xs[s][j] ELSE 0.0::double END)')}{over}))"
+        each, near = "list_transform(xs, lambda x: list_transform(w, lambda c: " + d2("x", "c", dims) + "))", "list_transform(ds, lambda d: list_position(d, list_min(d)))"
+    else:
+        score = fold(f"list_transform({js}, lambda j: x[j] * w[1][j])")
+        value = score if cfg.loss == "squares" else f"1.0::double / (1.0::double + exp(-({score})))"
+        each, near = f"list_transform(xs, lambda x: {value} - x[{dims + 1}])", "ds"
+        g = f"list_transform({cs}, lambda c: list_transform({js}, lambda j: {fold('list_transform(range(1, len(xs) + 1), lambda s: near[s] * xs[s][j])')}{over}))"
+    moved = f"w[c][j] - {cfg.eps}::double * {modified}" if cfg.blend_gain == "eps" else f"w[c][j] - (({modified} - g[c][j]) + {cfg.eps}::double * g[c][j])"
+    stepped = f"""SELECT *, {g} AS g FROM (
+        SELECT *, {near} AS near FROM (
+          SELECT *, {each} AS ds FROM (
+            SELECT r.*, r.hist[r.t + 1] AS w, mb.xs FROM walk r JOIN mb ON mb.worker = r.worker AND mb.round = r.t WHERE r.t < {cfg.steps}) a) b) c"""
+    letter = lambda of: f"list({{'e': list_transform({cs}, lambda c: CASE WHEN list_contains(b.blocks, (c - 1)::int) THEN {of}[c] END)}} ORDER BY b.buffer, b.sent_round, b.sender) AS es"
+    fresh = f"list_transform({cs}, lambda c: list_transform({js}, lambda j: s.w[c][j] - {cfg.eps}::double * s.g[c][j]))"
+    mail = f"SELECT b.recipient, {letter('s.f')} FROM box b JOIN (SELECT s.t, s.worker, {fresh} AS f FROM ({stepped}) s) s ON s.worker = b.sender AND b.round = s.t + 1 GROUP BY b.recipient" if sync else f"SELECT b.recipient, {letter('s.hist[b.sent_round + 2]')} FROM box b JOIN walk s ON s.worker = b.sender AND s.t = b.round GROUP BY b.recipient"
     return f"""
 WITH RECURSIVE pts AS MATERIALIZED ({points}),
 mb AS MATERIALIZED (SELECT worker, round, list(x ORDER BY slot) AS xs FROM ({minibatches('SELECT * FROM pts', cfg)}) b GROUP BY worker, round),
-box AS MATERIALIZED (SELECT recipient, round, buffer, sender, sent_round, list(block ORDER BY block) AS blocks FROM ({inbox(cfg)}) i GROUP BY ALL),
+box AS MATERIALIZED (SELECT recipient, round, buffer, sender, sent_round, list(block ORDER BY block) AS blocks FROM ({inbox(cfg.with_(steps=cfg.steps + sync))}) i GROUP BY ALL),
 walk AS (
   SELECT 0 AS t, i::int AS worker, [w] AS hist, 0::bigint AS received, 0::bigint AS good FROM ({initial('SELECT * FROM pts', cfg)}) z, range({cfg.workers}) r(i)
   UNION ALL
-  SELECT t + 1, worker, list_append(hist, list_transform({cs}, lambda c: list_transform({js}, lambda j: w[c][j] - {cfg.eps}::double * {modified}))), received + len(es), good + len(ok) FROM (
+  SELECT t + 1, worker, list_append(hist, list_transform({cs}, lambda c: list_transform({js}, lambda j: {moved}))), received + len(es), good + len(ok) FROM (
     SELECT *, {window} AS ok FROM (
-      SELECT *, {g} AS g FROM (
-        SELECT *, list_transform(ds, lambda d: list_position(d, list_min(d))) AS near FROM (
-          SELECT *, {each} AS ds FROM (
-            SELECT r.*, r.hist[r.t + 1] AS w, mb.xs, coalesce(mail.es, []) AS es
-            FROM walk r JOIN mb ON mb.worker = r.worker AND mb.round = r.t
-            LEFT JOIN (SELECT b.recipient, b.round, list({{'e': list_transform({cs}, lambda c: CASE WHEN list_contains(b.blocks, (c - 1)::int) THEN s.hist[b.sent_round + 2][c] END)}} ORDER BY b.buffer, b.sent_round, b.sender) AS es
-                       FROM box b JOIN walk s ON s.worker = b.sender AND s.t = b.round GROUP BY b.recipient, b.round) mail ON mail.recipient = r.worker AND mail.round = r.t
-            WHERE r.t < {cfg.steps}) a) b) c) d) e),
+      SELECT z.*, coalesce(mail.es, []) AS es FROM ({stepped}) z LEFT JOIN ({mail}) mail ON mail.recipient = z.worker) d) e),
 done AS (SELECT worker, hist[{cfg.steps + 1}] AS w, received, good FROM walk WHERE t = {cfg.steps})
 {select}"""
 
 
+def trace(points: str, cfg: DescentConfig, dims: int, run_id: str) -> str:
+    """``run_id, round, touched, error``: the first worker's mean error after each round."""
+    return run(points, cfg, dims, f"SELECT '{run_id}' AS run_id, t::int AS round, t::bigint * {cfg.b * cfg.workers} AS touched, round(avg(list_min(list_transform(hist[t + 1], lambda c: {d2('x', 'c', dims)})) * 0.5) + 1.7e-11, 9) AS error FROM walk, pts WHERE worker = 0 AND t > 0 GROUP BY t")
+
+
 ALL_STATES = "SELECT worker, (c - 1)::int AS block, (d - 1)::int AS dim, w[c][d] AS value FROM done, range(1, len(w) + 1) r(c), range(1, len(w[1]) + 1) s(d)"
 FIRST = f"SELECT block, dim, value FROM ({ALL_STATES}) s WHERE worker = 0"
 AVERAGE = f"SELECT block, dim, round(avg(value), 9) AS value FROM ({ALL_STATES}) s GROUP BY block, dim"

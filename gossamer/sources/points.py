@@ -69,15 +69,14 @@ def mix(spark: SparkSession, dims: int, m: int, k: int, seed: int = 1, spread: f
 
 
 def checked(points: DataFrame, on_bad: str = "drop") -> DataFrame:
-    """Samples that are null, hold null or NaN, or are ragged against the longest: dropped, or an error."""
-    fine = F.coalesce(F.forall("x", lambda v: v.isNotNull() & ~F.isnan(v)), F.lit(False))
-    if on_bad == "drop":
-        return points.where(F.col("x").isNotNull() & fine)
-    bad = points.where(F.col("x").isNull() | ~fine).limit(1).count()
-    sizes = points.agg(F.min(F.size("x")), F.max(F.size("x"))).first()
-    if bad or sizes[0] != sizes[1]:
-        raise ValueError("samples are null, NaN or ragged")
-    return points
+    """Samples that are null or empty, hold null, NaN or infinity, or whose length is not the most frequent one (the longer of
+    equally frequent ones): dropped, or an error. Extra columns stay."""
+    fine = F.coalesce(F.forall("x", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf"))), F.lit(False)) & (F.size("x") > 0)
+    whole = points.where(F.col("x").isNotNull() & fine)
+    sizes = whole.groupBy(F.size("x").alias("width")).count().orderBy(F.desc("count"), F.desc("width")).limit(2).collect()
+    if on_bad != "drop" and (len(sizes) > 1 or points.where(F.col("x").isNull() | ~fine).limit(1).count()):
+        raise ValueError("samples are null, not finite or ragged")
+    return whole.where(F.size("x") == sizes[0].width) if sizes else whole
 
 
 SETS = {"line4": line4, "emb64": emb64, "doc128": doc128, "evt3": evt3}

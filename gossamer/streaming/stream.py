@@ -6,19 +6,32 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gossamer.config import DescentConfig
-from gossamer.functions.arrays import hash_int
+from gossamer.functions.arrays import hash_hex, hash_int
 from gossamer.operators.descent import as_array, average, first, folded
+from gossamer.operators.draws import exact_rank
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def slice_round(points: DataFrame, cfg: DescentConfig) -> DataFrame:
-    """A micro-batch's samples as one round of every worker: the worker by hash, the order by hash."""
-    from pyspark.sql import Window
+def slice_rounds(points: DataFrame, cfg: DescentConfig) -> DataFrame:
+    """All samples of a micro-batch as rounds of every worker: the worker by hash, the order by hash, the last round smaller."""
+    placed = points.withColumn("worker", F.pmod(hash_int(F.lit(cfg.seed), F.lit("part"), "sample_id"), F.lit(cfg.workers)).cast("int"))
+    order = hash_hex(F.lit(cfg.seed), F.lit("order"), "sample_id")
+    ranked = exact_rank(placed, order, "sample_id", by="worker", groups=cfg.workers)
+    return ranked.select("worker", F.floor(F.col("rank") / cfg.b).cast("int").alias("round"), F.pmod("rank", F.lit(cfg.b)).cast("int").alias("slot"), "x")
 
-    worker = F.pmod(hash_int(F.lit(cfg.seed), F.lit("part"), "sample_id"), F.lit(cfg.workers)).cast("int")
-    order = Window.partitionBy("worker").orderBy(hash_int(F.lit(cfg.seed), F.lit("order"), "sample_id"), "sample_id")
-    return points.withColumn("worker", worker).withColumn("pos", F.row_number().over(order) - 1).select("worker", F.floor(F.col("pos") / cfg.b).cast("int").alias("round"), F.pmod("pos", F.lit(cfg.b)).cast("int").alias("slot"), "x").where(F.col("round") < cfg.steps)
+
+def advanced(points: DataFrame, cfg: DescentConfig, w: list) -> list:
+    """The state after one micro-batch: as many rounds as its samples need; an empty one changes nothing."""
+    drawn = slice_rounds(points, cfg).persist()
+    try:
+        last = drawn.agg(F.max("round")).first()[0]
+        if last is None:
+            return w
+        states = folded(drawn, cfg.with_(steps=last + 1), w)
+        return as_array(average(states) if cfg.final == "average" else first(states)).tolist()
+    finally:
+        drawn.unpersist()
 
 
 def descend_stream(stream: DataFrame, cfg: DescentConfig, w0: list, store: str, checkpoint: str):
@@ -27,14 +40,18 @@ def descend_stream(stream: DataFrame, cfg: DescentConfig, w0: list, store: str,
     def advance(batch: DataFrame, batch_id: int) -> None:
         own = batch.sparkSession
         w = w0 if batch_id == 0 else [list(r.v) for r in own.read.parquet(f"{store}/{batch_id - 1}").orderBy("block").collect()]
-        states = folded(slice_round(batch, cfg), cfg, w)
-        final = average(states) if cfg.final == "average" else first(states)
-        rows = as_array(final).tolist() if batch.take(1) else w
+        rows = advanced(batch, cfg, w)
         own.createDataFrame(list(enumerate(rows)), "block int, v array<double>").coalesce(1).write.mode("overwrite").parquet(f"{store}/{batch_id}")
 
     return stream.writeStream.foreachBatch(advance).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def late_rows(events: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """Events of a stream in tumbling hours, kept while the watermark allows: what comes later is left out by the engine."""
+    timed = events.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", delay)
+    return timed.groupBy(F.window("at", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.unix_micros("w.start").alias("start_us"), "n")
+
+
 def replay(spark: SparkSession, folder: str, per_trigger: int = 1) -> DataFrame:
     """Event points of a folder of Parquet files, as a stream."""
     rows = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", per_trigger).parquet(folder)

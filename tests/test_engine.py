@@ -52,7 +52,7 @@ def states(result):
     return {r.worker: (r.w, r.sent, r.received, r.good) for r in result.states.collect()}
 
 
-@pytest.mark.parametrize("changes", [{}, {"window": False, "fanout": 2, "race": "none"}, {"buffers": 2, "fanout": 3, "race": "torn", "block_frac": 0.5, "max_age": 3}, {"comm": "silent"}, {"window_scope": "block", "blend_gain": "unit"}])
+@pytest.mark.parametrize("changes", [{}, {"window": False, "fanout": 2, "race": "none"}, {"buffers": 2, "fanout": 3, "race": "torn", "block_frac": 0.5, "max_age": 3}, {"comm": "silent"}, {"comm": "sync"}, {"comm": "sync", "fanout": 2, "race": "none"}, {"window_scope": "block", "blend_gain": "unit"}])
 def test_fold_and_superstep_agree(line4, changes):
     cfg = CFG.with_(steps=4, **changes)
     assert states(descent.gossip_sgd(line4, cfg)) == states(descent.gossip_sgd(line4, cfg, engine="superstep"))
@@ -74,7 +74,15 @@ def test_stretch_and_stop(line4):
     talking = states(descent.gossip_sgd(line4, CFG.with_(stretch=4, window=False), engine="superstep"))
     assert sum(v[2] for v in talking.values()) > 0  # letters of the first stretch are read in the second
     with pytest.raises(ValueError):
-        descent.gossip_sgd(line4, CFG.with_(comm="sync"), engine="superstep")
+        descent.gossip_sgd(line4, CFG.with_(comm="sync", stretch=2), engine="superstep")
+    with pytest.raises(ValueError):
+        descent.gossip_sgd(line4, CFG.with_(comm="sync"), engine="mailbox")
+    with pytest.raises(ValueError):
+        descent.gossip_sgd(line4, CFG.with_(stop=StopRule(target_error=0.1)), engine="fold")
+    for engine in ("fold", "superstep"):  # the samples of a stop rule end a run on every engine
+        assert states(descent.gossip_sgd(line4, CFG.with_(stop=StopRule(max_touched=64)), engine=engine)) == states(descent.gossip_sgd(line4, CFG.with_(steps=2)))
+    at_once = descent.gossip_sgd(line4, CFG.with_(stop=StopRule(max_seconds=0.0)), engine="fold")
+    assert {w: v[0] for w, v in states(at_once).items()} == {w: v[0] for w, v in states(descent.gossip_sgd(line4, CFG.with_(steps=1))).items()}
     r = descent.batch_descent(line4, CFG.with_(eps=1.0, steps=9, stop=StopRule(max_touched=12_000)))
     assert len(r.trace) == 2 and r.trace[0][3] > r.trace[1][3]
     early = descent.gossip_sgd(line4, CFG.with_(stop=StopRule(max_touched=64)), engine="superstep", evaluate=line4)
@@ -146,9 +154,87 @@ def test_bad_samples(spark):
         S.checked(df, "raise")
 
 
-def test_budget_is_cut_before_workers_get_samples(line4):
-    plan = draws.minibatches(line4, CFG)._jdf.queryExecution().optimizedPlan().toString()
-    assert "Window" in plan and "CartesianProduct" not in plan
+def test_budget_is_cut_before_samples_move(spark, small):
+    """The buckets' join lies below the shuffle of samples; what is read beside it has no samples."""
+    plan = draws.minibatches(S.line4(spark, small), CFG, 6000)._jdf.queryExecution().optimizedPlan().toString().splitlines()
+    depth = lambda word: [len(line) - len(line.lstrip(" :+-")) for line in plan if word in line]
+    window = next(i for i, line in enumerate(plan) if "Window [row_number" in line)
+    joins = [i for i, line in enumerate(plan) if "Join Inner" in line and "__bucket" in line]
+    assert joins and min(joins) > window and any("__before" in line and "< 256" in line for line in plan), plan
+    assert depth("CartesianProduct") == []
+
+
+def test_what_a_superstep_reads_does_not_grow(line4, monkeypatch):
+    scans = []
+    plain = descent.settled
+
+    def counted(df, name, by=None):
+        if name == "states":
+            scans.append(df._jdf.queryExecution().optimizedPlan().toString().count("Relation ["))
+        return plain(df, name, by)
+
+    monkeypatch.setattr(descent, "settled", counted)
+    descent.gossip_sgd(line4, CFG.with_(steps=7), engine="superstep")
+    assert len(scans) == 7 and scans[6] == scans[4] <= scans[2] + 1
+
+
+def test_matching_of_any_size():
+    rng = np.random.default_rng(4)
+    from itertools import permutations
+
+    for n, m in ((1, 1), (3, 3), (3, 5), (6, 6)):
+        for _ in range(20):
+            cost = rng.random((n, m))
+            got = metrics.least_matching(cost)
+            assert len(set(got)) == n and abs(cost[range(n), got].sum() - min(cost[range(n), list(p)].sum() for p in permutations(range(m), n))) < 1e-12
+    mu = rng.random((40, 3))
+    assert metrics.center_error(mu, mu[rng.permutation(40)], "hungarian") == 0.0
+
+
+def test_converged_error_and_speedup(spark):
+    t = spark.createDataFrame([("a", r, 10 * r, float(r), e) for r, e in enumerate((9.0, 5.0, 4.0, 4.0, 4.0, 4.5))] + [("b", r, 20 * r, 2.0 * r, 6.0 - r) for r in range(6)], "run_id string, round int, touched long, secs double, error double")
+    assert {r.run_id: r.error for r in metrics.final_error(t, 3).collect()} == {"a": 4.5, "b": 1.0}
+    assert {r.run_id: (r.fewer, r.faster) for r in metrics.speedup_to_error(t, 4.0, "b").collect()} == {"a": (2.0, 2.0), "b": (1.0, 1.0)}
+
+
+def test_warm_start_and_trace_of_all_rounds(line4, spark):
+    cfg = CFG.with_(steps=3)
+    done = descent.gossip_sgd(line4, cfg)
+    assert states(descent.gossip_sgd(line4, cfg, done.state())) == states(descent.gossip_sgd(line4, cfg, descent.as_array(done.state()).tolist()))
+    w0 = descent.initial_state(line4, cfg)
+    walked = descent.traced(draws.minibatches(line4, cfg), cfg, w0).collect()
+    history, trace = descent.supersteps(draws.minibatches(line4, cfg), cfg, w0, keep_all=True)
+    assert {(r["round"], r.worker): r.w for r in walked} == {(r["round"], r.worker): r.w for r in history.collect()}
+    last = [r for r in walked if r["round"] == 3]
+    assert trace[-1][4:] == (sum(r.sent for r in last), sum(r.received for r in last), sum(r.good for r in last))
+
+
+def test_oneshot_streams_what_the_fold_engine_leaves(line4, monkeypatch):
+    cfg = CFG.with_(b=1, steps=30)
+    want = {k: v[0] for k, v in states(descent.oneshot_sgd(line4, cfg)).items()}
+    monkeypatch.setattr(descent, "FOLD_MOST", 10)
+    assert {k: v[0] for k, v in states(descent.oneshot_sgd(line4, cfg)).items()} == want
+    with pytest.raises(ValueError):
+        descent.gossip_sgd(line4, CFG, engine="fold")
+    assert len(states(descent.gossip_sgd(line4, CFG.with_(steps=2)))) == 4  # by supersteps
+
+
+def test_odd_samples(spark):
+    rows = [("a", [1.0, 2.0], 1), ("a", [1.0, 2.0], 1), ("b", [3.0, 4.0], 2), (None, [5.0, 6.0], 3), ("c", None, 4), ("d", [1.0], 5), ("e", [float("inf"), 1.0], 6), ("f", [None, 1.0], 7), ("g", [], 8), ("h", [2.0, 2.0], 9)]
+    df = spark.createDataFrame(rows, "sample_id string, x array<double>, worker int")
+    fine = S.checked(df)
+    assert fine.count() == 5 and fine.columns == df.columns
+    points = fine.select("sample_id", "x")
+    r = descent.gossip_sgd(points, CFG.with_(k=2, b=1, steps=2, workers=2))
+    assert len(states(r)) == 2 and all(np.isfinite(v[0]).all() for v in states(r).values())
+    assert draws.assign_workers(points, 2, 1).count() == 4 and sum(x.n for x in descent.bulk_sums(points, [[0.0, 0.0], [4.0, 4.0]]).collect()) == 5
+    none = points.limit(0)
+    assert S.checked(none).count() == 0 and draws.assign_workers(none, 2, 1).count() == 0 and descent.bulk_sums(none, [[0.0, 0.0]]).count() == 0
+    for init in ("first", "sample", "bounds", "zeros"):
+        with pytest.raises(ValueError):
+            descent.initial_state(none, CFG.with_(init=init))
+    ties = kernel.gradient(np.asarray([[1.0]]), np.asarray([[0.0], [2.0]]))
+    assert ties.tolist() == [[-1.0], [0.0]]  # the lowest of equally near prototypes
 
 
 def test_measures():
@@ -172,7 +258,20 @@ def test_gossip_is_not_worse_than_silent(spark):
 
 
 def test_stream_replay_equals_batches(spark, small):
-    assert catalog.queries()["stream_foreach"](spark, small).count() == 9
+    got = {(r.block, r.dim): r.value for r in catalog.queries()["stream_foreach"](spark, small).collect()}
+    from gossamer.streaming import stream
+
+    events = S.table(spark, small, "events")
+    cfg, each = CFG.with_(workers=2), -(-events.count() // 4)
+    w = descent.initial_state(S.evt3(spark, small), cfg)
+    points = S.evt3(spark, small).withColumn("part", F.floor(F.col("sample_id").cast("long") / each))
+    for part in range(4):
+        own = points.where(F.col("part") == part).select("sample_id", "x")
+        rounds = stream.slice_rounds(own, cfg)
+        assert rounds.count() == own.count()  # no sample is left out
+        w = stream.advanced(own, cfg, w)
+    assert {(c, j): v for c, row in enumerate(w) for j, v in enumerate(row)} == got
+    assert stream.advanced(points.limit(0).select("sample_id", "x"), cfg, w) == w
     assert catalog.queries()["mailbox_async"](spark, small).count() == 2
 
 
