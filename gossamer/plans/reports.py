@@ -40,7 +40,7 @@ def traces_sql() -> str:
 
 
 def trace_rollup(spark, sf_dir):
-    return traces(spark, sf_dir).rollup("run_id", "touched").agg(F.count("*").alias("n"), F.round(F.min("error"), 8).alias("least")).fillna(-1, ["touched"])
+    return traces(spark, sf_dir).rollup("run_id", "touched").agg(F.count("*").alias("n"), F.min("error").alias("least")).fillna(-1, ["touched"])
 
 
 def trace_progress(spark, sf_dir):
@@ -49,7 +49,7 @@ def trace_progress(spark, sf_dir):
     t = traces(spark, sf_dir)
     best = F.min("error").over(own.rowsBetween(Window.unboundedPreceding, 0))
     before = F.min("error").over(own.rowsBetween(Window.unboundedPreceding, -3))
-    return t.select("run_id", "round", best.alias("best"), F.round(F.lag("error").over(own) - F.col("error"), 8).alias("gain"), F.coalesce(best >= before, F.lit(False)).alias("stalled"))
+    return t.select("run_id", "round", best.alias("best"), F.round(F.lag("error").over(own) - F.col("error"), 9).alias("gain"), F.coalesce(best >= before, F.lit(False)).alias("stalled"))
 
 
 def trace_pivot(spark, sf_dir):
@@ -90,7 +90,7 @@ def _clustered_sql(more: str) -> str:
 
 def cluster_cube(spark, sf_dir):
     rows = _clustered(spark, sf_dir).cube("l_returnflag", "l_linestatus", "cluster")
-    return rows.agg(F.count("*").alias("n"), F.round(F.avg("d2") + 1.7e-11, 8).alias("mean_d2"), F.grouping_id().cast("long").alias("level")).fillna(-1, ["cluster"])
+    return rows.agg(F.count("*").alias("n"), F.round(F.avg("d2") + 1.7e-11, 9).alias("mean_d2"), F.grouping_id().cast("long").alias("level")).fillna(-1, ["cluster"])
 
 
 def cluster_regions(spark, sf_dir):
@@ -156,12 +156,12 @@ def oracle_sql() -> dict[str, str]:
     star = "JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
     return {
         "trace_errors": t,
-        "trace_rollup": f"SELECT run_id, coalesce(t.touched, -1)::bigint AS touched, count(*) AS n, round(min(error), 8) AS least FROM ({t}) t GROUP BY ROLLUP (run_id, t.touched)",
-        "trace_progress": f"SELECT run_id, round, min(error) OVER (o ROWS UNBOUNDED PRECEDING) AS best, round(lag(error) OVER o - error, 8) AS gain, coalesce(min(error) OVER (o ROWS UNBOUNDED PRECEDING) >= min(error) OVER (o ROWS BETWEEN UNBOUNDED PRECEDING AND 3 PRECEDING), false) AS stalled FROM ({t}) t WINDOW o AS (PARTITION BY run_id ORDER BY round)",
+        "trace_rollup": f"SELECT run_id, coalesce(t.touched, -1)::bigint AS touched, count(*) AS n, min(error) AS least FROM ({t}) t GROUP BY ROLLUP (run_id, t.touched)",
+        "trace_progress": f"SELECT run_id, round, min(error) OVER (o ROWS UNBOUNDED PRECEDING) AS best, round(lag(error) OVER o - error, 9) AS gain, coalesce(min(error) OVER (o ROWS UNBOUNDED PRECEDING) >= min(error) OVER (o ROWS BETWEEN UNBOUNDED PRECEDING AND 3 PRECEDING), false) AS stalled FROM ({t}) t WINDOW o AS (PARTITION BY run_id ORDER BY round)",
         "trace_pivot": pivot,
         "trace_unpivot": f"SELECT touched, run_id, error FROM ({t}) t",
         "time_to_error": f"WITH t AS MATERIALIZED ({t}), r AS (SELECT run_id, min(touched) AS touched FROM t WHERE error <= (SELECT max_by(error, round) FROM t WHERE run_id = 'silent') GROUP BY run_id) SELECT run_id, touched, round((SELECT touched FROM r WHERE run_id = 'silent') / touched::double, 6) AS fewer FROM r",
-        "cluster_cube": f"SELECT l_returnflag, l_linestatus, coalesce(c.cluster, -1)::int AS cluster, count(*) AS n, round(avg(d2) + 1.7e-11, 8) AS mean_d2, grouping(l_returnflag, l_linestatus, c.cluster)::bigint AS level FROM {_clustered_sql('c')} GROUP BY CUBE (l_returnflag, l_linestatus, c.cluster)",
+        "cluster_cube": f"SELECT l_returnflag, l_linestatus, coalesce(c.cluster, -1)::int AS cluster, count(*) AS n, round(avg(d2) + 1.7e-11, 9) AS mean_d2, grouping(l_returnflag, l_linestatus, c.cluster)::bigint AS level FROM {_clustered_sql('c')} GROUP BY CUBE (l_returnflag, l_linestatus, c.cluster)",
         "cluster_regions": f"SELECT r_name, cluster, count(*) AS n FROM {_clustered_sql('c')} {star} GROUP BY ALL",
         "majority_label": majority_sql(),
         "close_centres": f"SELECT a, b, distance FROM (SELECT p.c AS a, q.c AS b, sqrt({oracle.d2('p.mu', 'q.mu', 4)}) AS distance FROM ({mu}) p, ({mu}) q WHERE p.c < q.c) d WHERE distance < 5.0",
