@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from gossamer.config import DescentConfig
 from gossamer.functions import kernel
 from gossamer.functions.arrays import assign, distances, hash_hex
-from gossamer.operators import draws
+from gossamer.operators import draws, mail
 from gossamer.sources.shared import settled
 
 FOLD_MOST = 2_000_000
@@ -203,8 +203,8 @@ def _stops(cfg: DescentConfig, trace: list[tuple]) -> bool:
 class Rounds:
     """All workers' rounds with the states that mail can still reach: the fold engine's walk."""
 
-    def __init__(self, cfg: DescentConfig, w0: np.ndarray, mail: dict):
-        self.cfg, self.mail = cfg, mail
+    def __init__(self, cfg: DescentConfig, w0: np.ndarray, letters: dict):
+        self.cfg, self.letters = cfg, letters
         self.state = np.repeat(w0[None], cfg.workers, axis=0)
         self.history = {0: self.state}
         self.received, self.good = (np.zeros(cfg.workers, np.int64) for _ in range(2))
@@ -219,8 +219,8 @@ class Rounds:
             if cfg.comm == "sync":  # own steps first; then all read what peers have just reached
                 fresh = np.stack([now[i] - cfg.eps * steps[i] if i in steps else now[i] for i in range(cfg.workers)])
             for i, g in steps.items():
-                mail = self.mail.get((i, t + (cfg.comm == "sync")), ())
-                of = [(fresh[s] if cfg.comm == "sync" else self.history[sent + 1][s], np.isin(np.arange(cfg.k), blocks)) for s, sent, blocks in mail]
+                due = self.letters.get((i, t + (cfg.comm == "sync")), ())
+                of = [(fresh[s] if cfg.comm == "sync" else self.history[sent + 1][s], np.isin(np.arange(cfg.k), blocks)) for s, sent, blocks in due]
                 after[i], good = _moved(cfg, now[i], g, of)
                 self.received[i] += len(of)
                 self.good[i] += good
@@ -231,24 +231,11 @@ class Rounds:
         return self.state
 
 
-def _moved(cfg: DescentConfig, w: np.ndarray, g: np.ndarray, mail: list) -> tuple[np.ndarray, int]:
-    modified, good = kernel.step(w, g, mail, cfg.eps, cfg.window, cfg.window_scope, cfg.empty_rule)
+def _moved(cfg: DescentConfig, w: np.ndarray, g: np.ndarray, letters: list) -> tuple[np.ndarray, int]:
+    modified, good = kernel.step(w, g, letters, cfg.eps, cfg.window, cfg.window_scope, cfg.empty_rule)
     return kernel.apply(w, g, modified, cfg.eps, cfg.blend_gain), good
 
 
-def plan_of(spark: SparkSession, cfg: DescentConfig) -> tuple[dict, dict]:
-    """The settled mail by (recipient, round), and rounds sent in by sender: data-independent, at most ``FOLD_MOST`` messages."""
-    mail: dict = {}
-    if cfg.comm == "silent":
-        return mail, {}
-    for r in draws.inbox(spark, cfg.with_(steps=cfg.steps + (cfg.comm == "sync"))).collect():
-        mail.setdefault((r.recipient, r["round"]), {}).setdefault((r.buffer, r.sent_round, r.sender), []).append(r.block)
-    sent: dict = {}
-    for r in draws.sends(spark, cfg).groupBy("sender").agg(F.sort_array(F.collect_list("sent_round")).alias("rounds")).collect():
-        sent[r.sender] = list(r.rounds)
-    return {at: [(sender, s, sorted(blocks)) for (_, s, sender), blocks in sorted(of.items())] for at, of in mail.items()}, sent
-
-
 def _sorted_batches(rows: pa.Table) -> dict:
     worker, rnd, slot = (rows.column(c).to_numpy() for c in ("worker", "round", "slot"))
     x = rows.column("x").combine_chunks()
@@ -260,7 +247,7 @@ def _sorted_batches(rows: pa.Table) -> dict:
     return {(int(worker[a]), int(rnd[a])): x[a:b] for a, b in zip(starts, [*cuts.tolist(), len(x)], strict=True)}
 
 
-TRACED = "round int, secs double, " + STATE
+TRACED = "run string, round int, secs double, " + STATE
 
 
 def folded(drawn: DataFrame, cfg: DescentConfig, w0: list) -> DataFrame:
@@ -270,33 +257,45 @@ def folded(drawn: DataFrame, cfg: DescentConfig, w0: list) -> DataFrame:
 
 def traced(drawn: DataFrame, cfg: DescentConfig, w0: list, every: int = 1) -> DataFrame:
     """The states of a run's last round, or after every ``every`` rounds: ``round`` counts those done, ``secs`` the walk's time."""
-    if cfg.workers * cfg.b * cfg.steps > FOLD_MOST:
-        raise ValueError(f"the fold engine takes at most {FOLD_MOST} samples; use superstep or mailbox")
-    mail, sent = plan_of(drawn.sparkSession, cfg)
-    n = cfg.workers
-    kinds = (pa.int32(), pa.float64(), pa.int32(), pa.list_(pa.list_(pa.float64())), *[pa.int64()] * 3)
-    names = ["round", "secs", "worker", "w", "sent", "received", "good"]
-
-    def run(table: pa.Table) -> pa.Table:
-        start, began, rows = np.asarray(w0, dtype=np.float64), time.monotonic(), []
-        rounds = Rounds(cfg, start, mail)
+    return walked(drawn.withColumn("run", F.lit("run")), {"run": (cfg, w0)}, every).drop("run")
+
+
+def walked(drawn: DataFrame, runs: dict[str, tuple[DescentConfig, list]], every: int = 0) -> DataFrame:
+    """Many runs at once, a task each, over ``run, worker, round, slot, x``: the rows of ``traced`` with their run.
+
+    A repeat over seeds or settings is one job; a run's mail is planned in its task.
+    """
+    for cfg, _ in runs.values():
+        if cfg.workers * cfg.b * cfg.steps > FOLD_MOST:
+            raise ValueError(f"the fold engine takes at most {FOLD_MOST} samples; use superstep or mailbox")
+    kinds = (pa.string(), pa.int32(), pa.float64(), pa.int32(), pa.list_(pa.list_(pa.float64())), *[pa.int64()] * 3)
+    names = ["run", "round", "secs", "worker", "w", "sent", "received", "good"]
+
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        name = key[0].as_py()
+        cfg, start = runs[name]
+        start, n, rows = np.asarray(start, dtype=np.float64), cfg.workers, []
         plain = cfg.comm == "silent" and cfg.b == 1 and cfg.loss == "prototypes" and cfg.blend_gain == "eps" and table.num_rows == n * cfg.steps
+        x = _cube(table, n, cfg.steps) if plain else _sorted_batches(table)
+        rounds = Rounds(cfg, start, {} if cfg.comm == "silent" else mail.inbox(cfg.with_(steps=cfg.steps + (cfg.comm == "sync"))))
+        began, passed = time.monotonic(), 0.0
 
         def keep(t: int, states: np.ndarray) -> bool:
-            secs = time.monotonic() - began
-            over = t + 1 == cfg.steps or cfg.stop.max_seconds is not None and secs >= cfg.stop.max_seconds
+            nonlocal passed
+            now = time.monotonic()
+            over = t + 1 == cfg.steps or cfg.stop.max_seconds is not None and now - began >= cfg.stop.max_seconds
             if over or every and (t + 1) % every == 0:
-                rows.extend((t + 1, secs, i, states[i].tolist(), sent.get(i, []), rounds.received[i], rounds.good[i]) for i in range(n))
+                rows.extend((name, t + 1, now - began - passed, i, states[i].tolist(), mail.sent_before(cfg, t + 1), rounds.received[i], rounds.good[i]) for i in range(n))
+                passed += time.monotonic() - now  # what keeping costs is not the method's time
             return over
 
         if plain:
-            kernel.alone(_cube(table, n, cfg.steps), np.repeat(start[None], n, axis=0), cfg.eps, keep)
+            kernel.alone(x, np.repeat(start[None], n, axis=0), cfg.eps, keep)
         else:
-            rounds.run(_sorted_batches(table), keep)
-        rows = [(t, secs, i, w, int(np.searchsorted(s, t)), r, g) for t, secs, i, w, s, r, g in rows]
+            rounds.run(x, keep)
         return pa.table([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
 
-    return drawn.select("worker", "round", "slot", "x").groupBy().applyInArrow(run, TRACED)
+    return drawn.select("run", "worker", "round", "slot", "x").groupBy("run").applyInArrow(run, TRACED)
 
 
 def _cube(rows: pa.Table, n: int, steps: int) -> np.ndarray:
@@ -367,9 +366,9 @@ def supersteps(drawn: DataFrame, cfg: DescentConfig, w0: list, evaluate: DataFra
         (own,), rows = mine.to_pylist(), inputs.to_pylist()
         w, received, good = np.asarray(own["w"]), own["received"], own["good"]
         if own["g"] is not None:
-            mail = next(iter(letters_of(rows).values()), [])
-            w, n = _moved(cfg, w, np.asarray(own["g"]), mail)
-            received, good = received + len(mail), good + n
+            due = next(iter(letters_of(rows).values()), [])
+            w, n = _moved(cfg, w, np.asarray(own["g"]), due)
+            received, good = received + len(due), good + n
         return pa.table([pa.array([v], type=k) for v, k in zip((own["worker"], 0, w.tolist(), received, good), _HISTORY_KINDS, strict=True)], names=["worker", "round", "w", "received", "good"])
 
     nothing = [F.lit(None).cast(t).alias(c) for c, t in (("sender", "int"), ("sent_round", "int"), ("buffer", "int"), ("blocks", "array<int>"))]
@@ -395,7 +394,7 @@ def supersteps(drawn: DataFrame, cfg: DescentConfig, w0: list, evaluate: DataFra
         tables = [(last, h) for last, h in tables if cfg.comm != "silent" and last > end - reach] + [(end, made)]
         counts = made.where(F.col("round") == end).agg(F.sum("received"), F.sum("good"), F.min_by("w", "worker")).first()
         error = error_of(evaluate, counts[2], cfg.loss) if evaluate is not None else None
-        sent = 0 if cfg.comm == "silent" else cfg.workers * cfg.fanout * (end // cfg.comm_every)
+        sent = cfg.workers * mail.sent_before(cfg, end)
         trace.append((end, end * cfg.b * cfg.workers, time.time() - began, error, sent, counts[0], counts[1]))
         if _stops(cfg, trace):
             break
@@ -406,10 +405,10 @@ _HISTORY_KINDS = (pa.int32(), pa.int32(), pa.list_(pa.list_(pa.float64())), pa.i
 
 
 def latest(history: DataFrame, spark: SparkSession, cfg: DescentConfig, upto: int | None = None) -> DataFrame:
-    """STATE rows of the last round in the history (or of round ``upto``)."""
-    sent = draws.sends(spark, cfg).where(F.col("sent_round") < (cfg.steps if upto is None else upto)).groupBy(F.col("sender").alias("worker")).agg(F.count("*").alias("sent"))
+    """STATE rows of the last round in the history; ``upto``: the rounds done, all of the run's if not given."""
+    sent = F.lit(mail.sent_before(cfg, cfg.steps if upto is None else upto)).cast("long").alias("sent")
     last = history.groupBy("worker").agg(F.max_by(F.struct("w", "received", "good"), "round").alias("s"))
-    return last.join(sent, "worker", "left").select("worker", "s.w", F.coalesce("sent", F.lit(0)).cast("long").alias("sent"), "s.received", "s.good")
+    return last.select("worker", "s.w", sent, "s.received", "s.good")
 
 
 def error_of(points: DataFrame, w: list, loss: str = "prototypes") -> float:
@@ -484,6 +483,12 @@ def oneshot_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, e
     start = w0 or initial_state(points, cfg)
     parted = draws.assign_workers(points, cfg.workers, cfg.seed, m, budget=cfg.workers * cfg.steps).repartitionById(cfg.workers, "worker").sortWithinPartitions("worker", "pos")
 
+    return RunResult(streamed(parted.select("worker", "x"), cfg, start), cfg, w0=start)
+
+
+def streamed(parted: DataFrame, cfg: DescentConfig, start: list) -> DataFrame:
+    """Final states of workers that step alone over ``worker, x``, each worker's samples in order in one partition."""
+
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         states: dict[int, np.ndarray] = {}
         for batch in batches:
@@ -499,7 +504,7 @@ def oneshot_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, e
             n = len(states)
             yield pa.RecordBatch.from_arrays([pa.array(list(states), pa.int32()), pa.array([s.tolist() for s in states.values()], pa.list_(pa.list_(pa.float64()))), *[pa.array([0] * n, pa.int64())] * 3], ["worker", "w", "sent", "received", "good"])
 
-    return RunResult(parted.select("worker", "x").mapInArrow(run, STATE), cfg, w0=start)
+    return parted.mapInArrow(run, STATE)
 
 
 def minibatch_sgd(points: DataFrame, cfg: DescentConfig, w0: list | None = None, engine: str = "auto") -> RunResult:

@@ -11,7 +11,7 @@ from gossamer.config import DescentConfig
 from gossamer.functions.arrays import hash_hex, hash_int
 
 
-def exact_rank(df: DataFrame, key: Column, *ties: str, most: int | None = None, by: str | None = None, groups: int = 1) -> DataFrame:
+def exact_rank(df: DataFrame, key: Column, *ties: str, most: int | None = None, by: tuple[str, ...] = (), groups: int = 1) -> DataFrame:
     """Adds ``rank``, the 0-based place in the order of a hexadecimal ``key``, without a global sort.
 
     Rows are counted in the buckets of the first digits; a bucket's rows are numbered on their own. With ``most`` only
@@ -19,7 +19,7 @@ def exact_rank(df: DataFrame, key: Column, *ties: str, most: int | None = None,
     ``by``: places within each of ``groups`` groups. Equal keys are ordered by ``ties``; null ids by the hash of nothing.
     """
     digits = max(1, 4 - math.ceil(math.log(max(1, groups), 16)))
-    own = [by] if by else []
+    own = list(by)
     keyed = df.withColumn("__key", key).withColumn("__bucket", F.substring("__key", 1, digits))
     sizes = keyed.groupBy(*own, "__bucket").agg(F.count("*").alias("n"))  # 65,536 rows at most, or 16 a group
     before = sizes.select(*own, "__bucket", (F.sum("n").over(Window.partitionBy(*own).orderBy("__bucket")) - F.col("n")).alias("__before"))
@@ -50,7 +50,7 @@ def hashed_workers(points: DataFrame, n: int, seed: int) -> DataFrame:
 def local_order(parted: DataFrame, seed: int, epoch: int = 0, workers: int = 4096) -> DataFrame:
     """A fresh order on every worker for an epoch: ``pos`` from 0. A worker's samples are numbered in buckets, not in one task."""
     key = hash_hex(F.lit(seed), F.lit("order"), F.lit(epoch), "sample_id")
-    return exact_rank(parted, key, "sample_id", by="worker", groups=workers).withColumnRenamed("rank", "pos")
+    return exact_rank(parted, key, "sample_id", by=("worker",), groups=workers).withColumnRenamed("rank", "pos")
 
 
 def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) -> DataFrame:
@@ -65,9 +65,11 @@ def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) ->
         rounds = -(-cfg.steps * b * n // (m // n * n)) if m >= n else 1
         first = assign_workers(points, n, cfg.seed, m, budget=n * b * cfg.steps)
         drawn = first.select("worker", "pos", "sample_id", "x")
-        for epoch in range(1, rounds):
-            again = local_order(assign_workers(points, n, cfg.seed, m).drop("pos"), cfg.seed, epoch, n)
-            drawn = drawn.unionByName(again.select("worker", (F.col("pos") + F.lit(epoch * (m // n))).alias("pos"), "sample_id", "x"))
+        if rounds > 1:  # later epochs: a fresh local order each, all in one plan
+            every = assign_workers(points, n, cfg.seed, m).drop("pos").withColumn("epoch", F.explode(F.sequence(F.lit(1), F.lit(rounds - 1))))
+            key = hash_hex(F.lit(cfg.seed), F.lit("order"), "epoch", "sample_id")
+            again = exact_rank(every, key, "sample_id", by=("worker", "epoch"), groups=n * (rounds - 1))
+            drawn = drawn.unionByName(again.select("worker", (F.col("rank") + F.col("epoch") * F.lit(m // n)).cast("long").alias("pos"), "sample_id", "x"))
         cut = drawn.withColumn("round", F.floor(F.col("pos") / b).cast("int")).where(F.col("round") < cfg.steps)
         return cut.select("worker", "round", F.pmod("pos", F.lit(b)).cast("int").alias("slot"), "sample_id", "x")
     m = points.count() if m is None else m

@@ -46,8 +46,13 @@ class FolderStore:
         return got
 
 
-def mailbox_run(drawn: DataFrame, cfg: DescentConfig, w0: list) -> DataFrame:
-    """Final states of a run over ``worker, round, slot, x``; needs a task slot for every worker."""
+def lined_up(drawn: DataFrame, cfg: DescentConfig) -> DataFrame:
+    """Each worker's samples in a partition of their own, in order: what may be placed before a run is timed."""
+    return drawn.select("worker", "round", "slot", "x").repartitionById(cfg.workers, "worker").sortWithinPartitions("worker", "round", "slot")
+
+
+def mailbox_run(drawn: DataFrame, cfg: DescentConfig, w0: list, placed: bool = False) -> DataFrame:
+    """Final states of a run over ``worker, round, slot, x``; needs a task slot for every worker. ``placed``: already ``lined_up``."""
     from gossamer.operators.descent import STATE
 
     spark = drawn.sparkSession
@@ -57,7 +62,7 @@ def mailbox_run(drawn: DataFrame, cfg: DescentConfig, w0: list) -> DataFrame:
     if not where.startswith(("file:", "/")):
         raise ValueError("FolderStore needs a folder that executors can open; use the superstep engine elsewhere")
     folder = f"{where.removeprefix('file://').removeprefix('file:')}/mail-{uuid.uuid4().hex}"
-    lined = drawn.select("worker", "round", "slot", "x").repartitionById(cfg.workers, "worker").sortWithinPartitions("worker", "round", "slot")
+    lined = drawn if placed else lined_up(drawn, cfg)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rng, store = np.random.default_rng(), FolderStore(folder)

@@ -129,9 +129,10 @@ def k_scaling(runs: DataFrame) -> DataFrame:
 
 
 def comm_overhead(runs: DataFrame) -> DataFrame:
-    """Runs ``(method, b, secs)``: seconds of gossip over those of silent, by mini-batch size."""
-    g, s = runs.where("method = 'gossip'"), runs.where("method = 'silent'").select("b", F.col("secs").alias("silent_secs"))
-    return g.join(s, "b").select("b", "secs", "silent_secs", (F.col("secs") / F.col("silent_secs") - 1).alias("overhead"))
+    """Runs ``(method, b, secs)``: by how much gossip takes longer than silent and, where they ran, one-shot runs, by mini-batch size."""
+    of = lambda m: F.first(F.when(F.col("method") == m, F.col("secs")), ignorenulls=True).alias(f"{m}_secs")
+    wide = runs.groupBy("b").agg(*map(of, ("gossip", "silent", "oneshot"))).where("gossip_secs is not null and silent_secs is not null")
+    return wide.select("b", F.col("gossip_secs").alias("secs"), "silent_secs", "oneshot_secs", (F.col("gossip_secs") / F.col("silent_secs") - 1).alias("overhead"), (F.col("gossip_secs") / F.col("oneshot_secs") - 1).alias("overhead_oneshot"))
 
 
 def compare_final(runs: DataFrame) -> DataFrame:

@@ -402,8 +402,9 @@ OWN: dict[str, Query] = {
     "state_round_trip": state_round_trip, "events_json": events_json, "quantiles": quantiles, "sketches": sketches, "udf_surface": udf_surface, "sinks_round_trip": sinks_round_trip,
     "tumbling_events": _windows("tumbling"), "sliding_events": _windows("sliding"), "session_events": _windows("session"),
     "scaling_table": lambda spark, d: experiments.strong_scaling(spark, S.line4(spark, d), 800, (2, 4)), "k_scaling": lambda spark, d: experiments.k_sweep(spark, S.line4(spark, d), (5, 20), experiments.BASE.with_(steps=5)),
-    "repeat_summary": lambda spark, d: experiments.repeats(spark, _mix(spark), range(3), experiments.BASE.with_(steps=10, b=20), S.truth(spark, 10, 10)), "comm_overhead": lambda spark, d: experiments.overhead(spark, S.line4(spark, d), (50, 200), 2000),
+    "repeat_summary": lambda spark, d: experiments.repeats(spark, _mix(spark), range(10), experiments.BASE.with_(steps=10, b=20), S.truth(spark, 10, 10)), "comm_overhead": lambda spark, d: experiments.overhead(spark, S.line4(spark, d), (50, 200), 2000),
     "message_sweep": lambda spark, d: experiments.message_sweep(spark, S.line4(spark, d), (2, 4, 8)), "final_compare": lambda spark, d: experiments.final_step(spark, _mix(spark)), "ablation": lambda spark, d: experiments.ablation(spark, _mix(spark), experiments.BASE.with_(steps=10)), "overlap_control": lambda spark, d: experiments.overlap(spark, 2000),
+    **experiments.WORKLOADS,
 }
 
 

@@ -45,8 +45,27 @@ def uniform(*key) -> Column:
     return hash_int(*key) / float(2**32)
 
 
-def truth(spark: SparkSession, dims: int, k: int, seed: int = 1, spread: float = 10.0, sigma: float = 1.0) -> DataFrame:
+def planted(dims: int, k: int, seed: int, spread: float, min_dist: float) -> list[list[float]]:
+    """Centres of which no two are nearer than ``min_dist``: each is drawn again until it keeps clear of those before."""
+    from hashlib import md5
+
+    found: list[list[float]] = []
+    for c in range(k):
+        for again in range(10_000):
+            key = f":{again}" if again else ""
+            mu = [int(md5(f"{seed}:mu:{c}:{j}{key}".encode()).hexdigest()[:8], 16) / 2**32 * spread for j in range(dims)]
+            if all(sum((a - b) ** 2 for a, b in zip(mu, other, strict=True)) >= min_dist**2 for other in found):
+                break
+        else:
+            raise ValueError("so many centres do not fit so far apart")
+        found.append(mu)
+    return found
+
+
+def truth(spark: SparkSession, dims: int, k: int, seed: int = 1, spread: float = 10.0, sigma: float = 1.0, min_dist: float = 0.0) -> DataFrame:
     """Planted centres ``(center, mu, sigma)``."""
+    if min_dist:
+        return spark.createDataFrame([(c, mu, float(sigma)) for c, mu in enumerate(planted(dims, k, seed, spread, min_dist))], "center int, mu array<double>, sigma double")
     mu = F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda j: uniform(F.lit(seed), F.lit("mu"), F.col("id"), j) * spread)
     return spark.range(k).select(F.col("id").cast("int").alias("center"), mu.alias("mu"), F.lit(float(sigma)).alias("sigma"))
 
@@ -59,11 +78,18 @@ def close_centres(centres: DataFrame, least: float) -> DataFrame:
     return a.join(F.broadcast(b), F.col("a") < F.col("b")).withColumn("distance", F.sqrt(sqdist("mu_a", "mu_b"))).where(F.col("distance") < least)
 
 
-def mix(spark: SparkSession, dims: int, m: int, k: int, seed: int = 1, spread: float = 10.0, sigma: float = 1.0, tasks: int | None = None) -> DataFrame:
-    """``m`` samples around planted centres; the noise is a sum of twelve hashed uniforms, the same on any engine."""
+def mix(spark: SparkSession, dims: int, m: int, k: int, seed: int = 1, spread: float = 10.0, sigma: float = 1.0, tasks: int | None = None, min_dist: float = 0.0) -> DataFrame:
+    """``m`` samples around planted centres; the noise is a sum of twelve hashed uniforms, the same on any engine.
+
+    ``min_dist``: centres are at least so far apart; ``sigma``: the noise. Both control how far clusters overlap.
+    """
     rows = spark.range(0, m, 1, tasks) if tasks else spark.range(m)
     center = F.pmod(hash_int(F.lit(seed), F.lit("c"), F.col("id")), F.lit(k))
-    base = lambda j: uniform(F.lit(seed), F.lit("mu"), center, j) * spread
+    if min_dist:
+        centres = F.array(*[F.array(*map(F.lit, mu)) for mu in planted(dims, k, seed, spread, min_dist)])
+        base = lambda j: centres[center][j]
+    else:
+        base = lambda j: uniform(F.lit(seed), F.lit("mu"), center, j) * spread
     noise = lambda j: F.aggregate(F.sequence(F.lit(0), F.lit(11)), F.lit(-6.0), lambda s, i: s + uniform(F.lit(seed), F.lit("x"), F.col("id"), j, i))
     return rows.select(F.col("id").cast("string").alias("sample_id"), F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda j: base(j) + noise(j) * sigma).alias("x"))
 

@@ -17,7 +17,7 @@ def slice_rounds(points: DataFrame, cfg: DescentConfig) -> DataFrame:
     """All samples of a micro-batch as rounds of every worker: the worker by hash, the order by hash, the last round smaller."""
     placed = points.withColumn("worker", F.pmod(hash_int(F.lit(cfg.seed), F.lit("part"), "sample_id"), F.lit(cfg.workers)).cast("int"))
     order = hash_hex(F.lit(cfg.seed), F.lit("order"), "sample_id")
-    ranked = exact_rank(placed, order, "sample_id", by="worker", groups=cfg.workers)
+    ranked = exact_rank(placed, order, "sample_id", by=("worker",), groups=cfg.workers)
     return ranked.select("worker", F.floor(F.col("rank") / cfg.b).cast("int").alias("round"), F.pmod("rank", F.lit(cfg.b)).cast("int").alias("slot"), "x")
 
 

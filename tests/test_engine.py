@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from gossamer.config import DescentConfig, StopRule, scale_eps
 from gossamer.functions import arrays as A
 from gossamer.functions import kernel
-from gossamer.operators import descent, draws, metrics
+from gossamer.operators import descent, draws, mail, metrics
 from gossamer.plans import catalog, experiments
 from gossamer.sources import points as S
 
@@ -123,6 +123,26 @@ def test_message_counts(spark):
     assert box.groupBy("recipient", "round", "buffer").count().where("count > 1").count() == 0
 
 
+@pytest.mark.parametrize("changes", [{}, {"fanout": 3, "buffers": 2, "race": "torn", "block_frac": 0.5}, {"race": "none", "fanout": 2, "max_age": 3}, {"threads": 3, "scope": "other_node", "delay": "geometric", "max_age": 4}, {"comm_every": 3}, {"comm": "silent"}])
+def test_mail_planned_in_a_task_equals_the_table(spark, changes):
+    cfg = CFG.with_(workers=6, steps=9, k=5, **changes)
+    want: dict = {}
+    for r in draws.inbox(spark, cfg).collect():
+        want.setdefault((r.recipient, r["round"]), {}).setdefault((r.buffer, r.sent_round, r.sender), []).append(r.block)
+    assert mail.inbox(cfg) == {at: [(s, t, sorted(b)) for (_, t, s), b in sorted(of.items())] for at, of in want.items()}
+    sent = draws.sends(spark, cfg).where("sent_round < 7").groupBy("sender").count().collect()
+    assert {r["count"] for r in sent} == {mail.sent_before(cfg, 7)} - {0}
+
+
+def test_many_runs_in_one_job(line4, spark):
+    cfgs = {f"{c}-{s}": CFG.with_(seed=s, comm=c, steps=3) for s in (1, 2) for c in ("gossip", "silent")}
+    runs = {name: (cfg, descent.initial_state(line4, cfg)) for name, cfg in cfgs.items()}
+    parts = [draws.minibatches(line4, cfg).withColumn("run", F.lit(name)) for name, cfg in cfgs.items()]
+    got = descent.walked(parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3]), runs).collect()
+    for name, (cfg, w0) in runs.items():
+        assert {r.worker: (r.w, r.sent, r.received, r.good) for r in got if r.run == name} == states(descent.gossip_sgd(line4, cfg, w0))
+
+
 def test_partition_is_exact(line4):
     parted = draws.assign_workers(line4, 7, 3)
     sizes = {r.worker: r["count"] for r in parted.groupBy("worker").count().collect()}
