@@ -11,6 +11,10 @@ from gossamer.config import DescentConfig
 from gossamer.functions.arrays import hash_hex, hash_int
 
 
+#: Drawn places (about 60 bytes each) that are broadcast at most.
+BROADCAST_ROWS = 100_000
+
+
 def exact_rank(df: DataFrame, key: Column, *ties: str, most: int | None = None, by: tuple[str, ...] = (), groups: int = 1) -> DataFrame:
     """Adds ``rank``, the 0-based place in the order of a hexadecimal ``key``, without a global sort.
 
@@ -77,7 +81,10 @@ def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) ->
     slots = spark.range(n * cfg.steps * b).select(F.pmod("id", F.lit(n)).cast("int").alias("worker"), F.pmod(F.floor(F.col("id") / n), F.lit(cfg.steps)).cast("int").alias("round"), F.floor(F.col("id") / (n * cfg.steps)).cast("int").alias("slot"))
     wanted = slots.withColumn("pos", F.pmod(hash_int(F.lit(cfg.seed), F.lit("draw"), "worker", "round", "slot"), F.lit(m // n)))
     places = assign_workers(points.select("sample_id"), n, cfg.seed, m)
-    return wanted.join(places, ["worker", "pos"]).join(points, "sample_id").select("worker", "round", "slot", "sample_id", "x")
+    # as many rows as the budget: broadcast where that is few, so that neither ids nor samples are shuffled to meet them
+    few = F.broadcast if n * b * cfg.steps <= BROADCAST_ROWS else lambda rows: rows
+    drawn = places.join(few(wanted), ["worker", "pos"])
+    return points.select("sample_id", "x").join(few(drawn), "sample_id").select("worker", "round", "slot", "sample_id", "x")
 
 
 def sends(spark: SparkSession, cfg: DescentConfig) -> DataFrame:
