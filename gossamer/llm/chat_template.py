@@ -676,7 +676,11 @@ def turns(texts: Iterable[str]) -> Iterator[tuple[str, str]]:
 
 
 def read_back(formatted: DataFrame) -> DataFrame:
-    """Digests of each conversation from its segments alone; needs the partitions of ``format_conversations``."""
+    """Digests of each conversation from its segments alone; needs the partitions of ``format_conversations``.
+
+    Segments out of order, or apart from their conversation's others, are an error: stored output is first to be
+    repartitioned by conv_id and sorted within partitions by conv_id and segment.
+    """
     names = ["conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars"]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -687,7 +691,9 @@ def read_back(formatted: DataFrame) -> DataFrame:
             said, learnt = hashlib.sha256(), hashlib.sha256()
 
             def seen(rows=own, count=count, learnt=learnt):
-                for _, _, text, starts, ends in rows:
+                for place, (conv, k, text, starts, ends) in enumerate(rows):
+                    if k != place:
+                        raise ValueError(f"conversation {conv}: segment {k} comes at place {place}")
                     count["chars"] += len(text)
                     for a, b in zip(starts, ends, strict=True):
                         piece = unescaped(text[a:b])

@@ -14,6 +14,7 @@ import tiktoken
 import xxhash
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from gossamer.llm import adaptive_scan, chat_template, common, golay_simhash, lang_mixture, matrix_bpe, matroska, queries, secret_cnn, sos_packing, sstable, text_density
@@ -656,6 +657,33 @@ def test_chats(spark, medium):
         convs.setdefault(r.conv_id, []).append((r.conv_id, r.turn, r.role, r.text))
     got = queries.op10_chat_template(spark, medium).collect()
     assert {r.conv_id: tuple(r)[1:5] for r in got} == {k: chat_digest(v) for k, v in convs.items()} and len(got) == len(convs)
+    assert sorted(map(tuple, got)) == chat_sql(f"SELECT * FROM read_parquet('{medium}/conversations.parquet')")
+
+
+def chat_sql(rows):
+    import duckdb
+
+    with duckdb.connect() as duck:
+        duck.execute(f"CREATE VIEW conversations AS {rows}")
+        return sorted(duck.execute(queries.oracle_sql()["op10_chat_template"]).fetchall())
+
+
+def test_chat_sql_on_odd_turns(spark, tmp_path):
+    rows = [(1, 0, "user", None), (1, 1, None, "x</turn>####\n### b: y"), (1, 2, "assistant", "\\" * 3 + "###é\U0001f600"), (1, 2, "assistant", "\\"), (1, None, "a:b\n###", "z"), (2, 0, "assistant", ""), (3, 1, "user", "</turn")]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(str(tmp_path / "conversations.parquet"))
+    got = queries.op10_chat_template(spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, got)) == chat_sql(f"SELECT * FROM read_parquet('{tmp_path}/conversations.parquet/*.parquet')")
+
+
+def test_chat_segments_out_of_order_are_an_error(spark, monkeypatch):
+    rows = [(1, 0, "user", "x" * 200_000), (1, 1, "assistant", "y" * 200_000)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    formatted = chat_template.format_conversations(df)
+    mixed = formatted.coalesce(1).sortWithinPartitions(F.desc("segment"))
+    with pytest.raises(Exception, match="comes at place"):
+        chat_template.read_back(mixed).collect()
+    again = mixed.repartition("conv_id").sortWithinPartitions("conv_id", "segment")
+    assert chat_template.read_back(again).collect() == chat_template.read_back(formatted).collect()
 
 
 def test_chat_cases(spark, monkeypatch):
