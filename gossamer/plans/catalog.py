@@ -155,11 +155,11 @@ def gossip_superstep(spark, sf_dir):
 
 
 def gossip_limit_equals_oneshot(spark, sf_dir):
-    """Messages that never leave, single samples and a final average: rows differing from one-shot (none)."""
+    """Messages that never leave, single samples and a final average, beside one-shot: the same values twice."""
     points, cfg = S.line4(spark, sf_dir), CFG.with_(b=1, steps=20, final="average")
-    a = descent.long_form(descent.gossip_sgd(points, cfg.with_(comm_every=21)).states)
-    b = descent.long_form(descent.oneshot_sgd(points, cfg, engine="arrow").states)
-    return a.exceptAll(b).agg(F.count("*").alias("differing"))
+    runs = {"gossip": descent.gossip_sgd(points, cfg.with_(comm_every=21)), "oneshot": descent.oneshot_sgd(points, cfg, engine="arrow")}
+    both = [descent.average(r.states).select(F.lit(name).alias("method"), "block", "dim", F.round("value", 9).alias("value")) for name, r in runs.items()]
+    return both[0].unionByName(both[1])
 
 
 def label_changes(spark, sf_dir):
@@ -230,7 +230,7 @@ def sketches(spark, sf_dir):
 
 
 def udf_surface(spark, sf_dir):
-    """The same squared distance from Arrow, SQL function and expression: samples on which they differ (none)."""
+    """Squared distances by expression, Arrow function, SQL function and table function, and their largest in a group."""
     @F.pandas_udf("double")
     def far(x: pd.Series, c: pd.Series) -> pd.Series:
         if not len(x):
@@ -238,24 +238,39 @@ def udf_surface(spark, sf_dir):
         d = np.stack(x.to_numpy()) - np.stack(c.to_numpy())
         return pd.Series(kernel.in_order(d * d))
 
+    @F.pandas_udf("double")
+    def furthest(d: pd.Series) -> float:
+        return float(d.max())
+
+    @F.udtf(returnType="d double")
+    class Far:
+        def eval(self, x: list):
+            total = 0.0
+            for v in x:
+                total += (v - 0.5) * (v - 0.5)
+            yield (total,)
+
     A.register_functions(spark)
+    spark.udtf.register("far_rows", Far)
     c = F.array(*[F.lit(0.5)] * 4)
-    both = S.line4(spark, sf_dir).select(A.sqdist("x", c).alias("a"), far("x", c).alias("b"), F.expr("sqdist(x, array(0.5D, 0.5D, 0.5D, 0.5D))").alias("d"))
-    return both.where("a <> b OR a <> d").agg(F.count("*").alias("differing"))
+    rows = S.line4(spark, sf_dir).withColumn("corner", F.floor(F.col("x")[0] * 4).cast("int"))
+    ways = rows.select("corner", "x", A.sqdist("x", c).alias("expression"), far("x", c).alias("arrow"), F.expr("sqdist(x, array(0.5D, 0.5D, 0.5D, 0.5D))").alias("sql"))
+    named = spark.sql("SELECT r.corner, r.expression, r.arrow, r.sql, t.d AS rows FROM {ways} r, LATERAL far_rows(r.x) t", ways=ways)
+    return named.groupBy("corner").agg(*[furthest(w).alias(w) for w in ("expression", "arrow", "sql", "rows")])
 
 
 def sinks_round_trip(spark, sf_dir):
-    """A state table through Parquet, ORC, JSON and CSV: rows lost or changed (none)."""
+    """A state table through Parquet, ORC, JSON and CSV: what is read back of each."""
     from gossamer.sources.shared import shared_dir
 
     rows = settled(descent.long_form(descent.gossip_sgd(S.line4(spark, sf_dir), CFG).states).coalesce(1), "states")
-    folder, lost = f"{shared_dir(spark)}/sinks", None
+    folder, every = f"{shared_dir(spark)}/sinks", None
     for kind in ("parquet", "orc", "json", "csv"):
         rows.write.mode("overwrite").partitionBy("worker").format(kind).save(f"{folder}-{kind}")
         back = spark.read.schema("block int, dim int, value double, worker int").format(kind).load(f"{folder}-{kind}").select(rows.columns)
-        one = rows.exceptAll(back).select(F.lit(kind).alias("kind"))
-        lost = one if lost is None else lost.unionByName(one)
-    return lost.groupBy("kind").agg(F.count("*").alias("lost"))
+        one = back.withColumn("kind", F.lit(kind))
+        every = one if every is None else every.unionByName(one)
+    return every
 
 
 def mailbox_async(spark, sf_dir):
@@ -321,9 +336,16 @@ def _windows(kind: str) -> Query:
     return lambda spark, sf_dir: stream.windows(S.table(spark, sf_dir, "events"), kind)
 
 
+TOUCHING = {"oneshot": CFG.with_(b=1), "online": CFG.with_(workers=1, b=1, draw="replace"), "minibatch": CFG.with_(workers=1), "gossip": CFG}
+
+
 def touched_samples(spark, sf_dir):
-    rows = [(m, metrics.touched(m, 8, 1000, 4, 8)) for m in ("batch", "oneshot", "online", "minibatch", "gossip")]
-    return spark.createDataFrame(rows, "method string, touched long")
+    """Samples that each method touches: as the rule says, and as its draws are counted (batch: its passes)."""
+    points = S.line4(spark, sf_dir)
+    m = points.count()
+    counted = {name: draws.minibatches(points, cfg, m).count() for name, cfg in TOUCHING.items()} | {"batch": CFG.steps * m}
+    rows = [(name, metrics.touched(name, CFG.steps, m, CFG.workers, CFG.b), n) for name, n in counted.items()]
+    return spark.createDataFrame(rows, "method string, touched long, counted long")
 
 
 def _mix(spark: SparkSession) -> DataFrame:
@@ -369,9 +391,10 @@ def trace_measures(spark, sf_dir):
 
 
 def converged(spark, sf_dir):
-    t = spark.createDataFrame([("a", r, 10 * r, r / 2, e) for r, e in enumerate((9.0, 5.0, 4.0, 4.0, 4.0, 4.0))] + [("b", r, 10 * r, r / 2, 5.0 - r / 2) for r in range(6)], "run_id string, round int, touched long, secs double, error double")
-    both = t.groupBy("run_id").agg(F.max("round").alias("last")).join(metrics.converged_at(t, 3).withColumnRenamed("round", "converged"), "run_id", "left").join(metrics.time_to_error(t, 4.0).select("run_id", "touched"), "run_id", "left")
-    return both.withColumn("converged", F.coalesce("converged", F.lit(-1)))
+    """The round in which each method's trace has converged (patience of one round; -1: not yet) and the error there."""
+    t = reports.traces(spark, sf_dir)
+    at = t.select("run_id").distinct().join(metrics.converged_at(t, 1), "run_id", "left").fillna(-1, ["round"])
+    return at.join(metrics.final_error(t, 1), "run_id")
 
 
 OWN: dict[str, Query] = {
@@ -451,7 +474,7 @@ def oracle_sql() -> dict[str, str]:
         "batch_1pass": o.batch(L4, CFG.with_(eps=1.0, steps=1), 4), "batch_10pass": o.batch(L4, CFG.with_(eps=1.0, steps=10), 4), "batch_tree": o.batch(L4, CFG.with_(eps=1.0, steps=2), 4),
         **{name: o.run(L4, CFG.with_(**changes).within(), 4, o.FIRST if final == "first" else o.AVERAGE) for name, (changes, final) in VARIANTS.items()},
         "synchronous_superstep": o.run(L4, CFG.with_(comm="sync"), 4, o.FIRST),
-        "gossip_limit_equals_oneshot": "SELECT 0::bigint AS differing",
+        "gossip_limit_equals_oneshot": f"SELECT method, block, dim, value FROM ({o.run(L4, CFG.with_(b=1, steps=20, comm='silent'), 4, o.AVERAGE)}) v, (VALUES ('gossip'), ('oneshot')) m(method)",
         "window_accept_cases": "SELECT id::int AS id, coalesce(abs(1.5 - e) < abs(2.0 - e), false) AS accepted FROM (VALUES (0, 1.0), (1, 1.5), (2, 0.0), (3, 3.0), (4, 2.0), (5, 1.75), (6, NULL)) t(id, e)",
         "blend_cases": "SELECT * FROM (VALUES (0::int, 1.5::double, 1.5::double), (1, 1.25, 1.25), (2, 1.25, 1.5), (3, 1.0, 1.0)) t(id, windowed, open)",
         "settle_overwrite": "SELECT 2::int AS recipient, 5::int AS round, 0::int AS buffer, 1::int AS block, 1::int AS sender, 4::int AS sent_round",
@@ -462,8 +485,8 @@ def oracle_sql() -> dict[str, str]:
         **{f"{method}_{kind}": o.run(_target_sql(kind), _linear_cfg(kind, method), 4, f"SELECT block, dim, round(value, 9) AS value FROM ({o.FIRST if final == 'first' else o.AVERAGE}) v") for kind in ("squares", "logistic") for method, (_, final) in LINEAR.items()},
         "worker_spread": o.run(L4, CFG, 4, f"SELECT block, dim, round(stddev_pop(value), 9) AS spread FROM ({o.ALL_STATES}) s GROUP BY block, dim"),
         "center_error": f"SELECT center::int AS center, min(sqrt({o.d2('mu', 'w[c]', 4)})) AS distance FROM (VALUES (0, [0.2::double, 0.2, 0.2, 0.2]), (1, [0.8, 0.5, 0.5, 0.5]), (2, [0.5, 0.9, 0.1, 0.7])) t(center, mu), ({o.initial(L4, CFG.with_(k=5))}) z, range(1, 6) r(c) GROUP BY center",
-        "touched_samples": "SELECT * FROM (VALUES ('batch', 8000::bigint), ('oneshot', 32), ('online', 8), ('minibatch', 64), ('gossip', 256)) t(method, touched)",
-        "converged_at": "SELECT * FROM (VALUES ('a', 5::int, 5::int, 20::bigint), ('b', 5, -1, 20)) t(run_id, last, converged, touched)",
+        "touched_samples": " UNION ALL ".join([f"SELECT '{name}' AS method, {CFG.steps * cfg.workers * cfg.b}::bigint AS touched, count(*) AS counted FROM ({o.minibatches(L4, cfg)}) b" for name, cfg in TOUCHING.items()] + [f"SELECT 'batch', count(*) * {CFG.steps}, count(*) * {CFG.steps} FROM ({L4}) p"]),
+        "converged_at": f"WITH t AS MATERIALIZED ({reports.traces_sql()}), c AS (SELECT run_id, min(round) AS round FROM (SELECT run_id, round, min(error) OVER (o ROWS UNBOUNDED PRECEDING) AS best, min(error) OVER (o ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before FROM t WINDOW o AS (PARTITION BY run_id ORDER BY round)) w WHERE before IS NOT NULL AND best >= before GROUP BY run_id) SELECT e.run_id, coalesce(c.round, -1)::int AS round, coalesce((SELECT error FROM t WHERE t.run_id = c.run_id AND t.round = c.round), e.error) AS error FROM (SELECT run_id, max_by(error, round) AS error FROM t GROUP BY run_id) e LEFT JOIN c USING (run_id)",
         "topk_nearest": f"SELECT block, place, sample_id, d2 FROM (SELECT (c - 1)::int AS block, sample_id, ds[c] AS d2, (row_number() OVER (PARTITION BY c ORDER BY ds[c], sample_id))::int AS place FROM ({near64}) n, range(1, 4) r(c)) t WHERE place <= 10",
         "outliers": f"SELECT sample_id, list_min(ds) AS d2 FROM ({near64}) n ORDER BY d2 DESC, sample_id LIMIT 20",
         "antijoin_untouched": f"SELECT count(*) AS untouched FROM ({L4}) p ANTI JOIN ({o.minibatches(L4, CFG)}) b USING (sample_id)",
@@ -471,8 +494,8 @@ def oracle_sql() -> dict[str, str]:
         "codebook_histogram": f"SELECT label AS object, (list_position(ds, list_min(ds)) - 1)::int AS cluster, count(*) AS n FROM ({near64}) n JOIN embeddings ON vec_id::varchar = sample_id GROUP BY ALL",
         "events_json": "SELECT event_type, ((props->>'$.k')::int // 10)::int AS bin, count(*) AS n FROM events GROUP BY ALL",
         "quantiles": "SELECT l_returnflag, round(quantile_cont(l_extendedprice, 0.5), 4) AS median, round(quantile_cont(l_extendedprice, 0.9), 4) AS p90 FROM lineitem GROUP BY 1",
-        "udf_surface": "SELECT 0::bigint AS differing",
-        "sinks_round_trip": "SELECT 'none' AS kind, 0::bigint AS lost WHERE false",
+        "udf_surface": f"SELECT corner, far AS expression, far AS arrow, far AS sql, far AS rows FROM (SELECT floor(x[1] * 4)::int AS corner, max({o.d2('x', '[0.5::double, 0.5, 0.5, 0.5]', 4)}) AS far FROM ({L4}) p GROUP BY 1) f",
+        "sinks_round_trip": o.run(L4, CFG, 4, f"SELECT worker, block, dim, value, kind FROM ({o.ALL_STATES}) s, (VALUES ('parquet'), ('orc'), ('json'), ('csv')) k(kind)"),
         "tumbling_events": f"SELECT event_type, epoch_us(ts) // {hour} * {hour} AS start_us, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL",
         "sliding_events": f"SELECT event_type, epoch_us(ts) // {hour // 2} * {hour // 2} - k * {hour // 2} AS start_us, count(*) AS n, round(sum(value), 4) AS total FROM events, range(4) r(k) GROUP BY ALL",
         "session_events": f"SELECT user_id, min(us) AS start_us, max(us) + {hour // 2} AS end_us, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY us ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT user_id, epoch_us(ts) AS us, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < {hour // 2} THEN 0 ELSE 1 END AS fresh FROM events) a) b GROUP BY user_id, s",

@@ -31,7 +31,7 @@ BOTH = {
     "moving_average": "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, round(avg(l_quantity) OVER (PARTITION BY l_suppkey ORDER BY l_shipdate, l_orderkey, l_linenumber, l_partkey ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS moving FROM {lineitem}",
     "rank_parts": "SELECT p_partkey, cast(rank() OVER (PARTITION BY p_size ORDER BY p_retailprice DESC) AS bigint) AS r, cast(dense_rank() OVER (PARTITION BY p_size ORDER BY p_retailprice DESC) AS bigint) AS dr FROM {part}",
     "large_groups": "SELECT l_suppkey, count(*) AS n, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM {lineitem} WHERE l_quantity BETWEEN 5 AND 45 AND l_returnflag IN ('A', 'N') GROUP BY l_suppkey HAVING count(*) > 5",
-    "like_filter": "SELECT p_partkey, p_name, upper(substring(p_brand, 1, 7)) AS brand FROM {part} WHERE p_type LIKE '%STEEL%' OR p_name LIKE 'a%'",
+    "like_filter": "SELECT p_partkey, p_name, upper(substring(p_brand, 1, 7)) AS brand FROM {part} WHERE p_type LIKE 'ECON%' OR p_name LIKE 'b%t'",
     "pivot_status": "SELECT o_orderpriority, count(CASE WHEN o_orderstatus = 'F' THEN 1 END) AS f, count(CASE WHEN o_orderstatus = 'O' THEN 1 END) AS o, count(CASE WHEN o_orderstatus = 'P' THEN 1 END) AS p FROM {orders} GROUP BY o_orderpriority",
 }
 

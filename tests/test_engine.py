@@ -212,6 +212,8 @@ def test_matching_of_any_size():
 
 
 def test_converged_error_and_speedup(spark):
+    long = spark.createDataFrame([("a", r, e) for r, e in enumerate((9.0, 5.0, 4.0, 4.0, 4.0, 4.0))] + [("b", r, 5.0 - r / 2) for r in range(6)], "run_id string, round int, error double")
+    assert {r.run_id: r["round"] for r in metrics.converged_at(long, 3).collect()} == {"a": 5}
     t = spark.createDataFrame([("a", r, 10 * r, float(r), e) for r, e in enumerate((9.0, 5.0, 4.0, 4.0, 4.0, 4.5))] + [("b", r, 20 * r, 2.0 * r, 6.0 - r) for r in range(6)], "run_id string, round int, touched long, secs double, error double")
     assert {r.run_id: r.error for r in metrics.final_error(t, 3).collect()} == {"a": 4.5, "b": 1.0}
     assert {r.run_id: (r.fewer, r.faster) for r in metrics.speedup_to_error(t, 4.0, "b").collect()} == {"a": (2.0, 2.0), "b": (1.0, 1.0)}
