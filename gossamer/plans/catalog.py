@@ -278,21 +278,61 @@ def mailbox_async(spark, sf_dir):
     return descent.gossip_sgd(S.line4(spark, sf_dir), CFG.with_(workers=2, steps=20), engine="mailbox").states.select("worker", "sent", "received", "good")
 
 
-def stream_foreach(spark, sf_dir):
-    """Events replayed as four files; the state after each micro-batch (rows only)."""
+def _event_files(spark: SparkSession, sf_dir: str, part) -> str:
+    """A folder for one run, with the events as four files under ``in``, oldest first."""
+    import time
+    import uuid
+
     from gossamer.sources.shared import shared_dir
 
-    folder = f"{shared_dir(spark)}/stream-{abs(hash((sf_dir, id(spark)))):x}"
+    folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     events = S.table(spark, sf_dir, "events")
-    events.withColumn("part", F.floor(F.col("event_id") / F.ceil(F.lit(events.count() / 4)))).repartition(1).write.mode("overwrite").partitionBy("part").parquet(f"{folder}/in")
+    for k in range(4):  # a stream reads files by their age
+        events.where(part == k).coalesce(1).write.parquet(f"{folder}/in/part={k}")
+        time.sleep(0.02)
+    return folder
+
+
+def stream_foreach(spark, sf_dir):
+    """Events replayed as four files; the state after each micro-batch (rows only)."""
+    each = -(-S.table(spark, sf_dir, "events").count() // 4)
+    folder = _event_files(spark, sf_dir, F.floor(F.col("event_id") / each))
     cfg = CFG.with_(workers=2)
     w0 = descent.initial_state(S.evt3(spark, sf_dir), cfg)
-    import uuid
-
-    stream.descend_stream(stream.replay(spark, f"{folder}/in/*"), cfg, w0, f"{folder}/model", f"{folder}/{uuid.uuid4().hex}").awaitTermination()
+    stream.descend_stream(stream.replay(spark, f"{folder}/in/*"), cfg, w0, f"{folder}/model", f"{folder}/log").awaitTermination()
     return spark.read.parquet(f"{folder}/model/3").select("block", F.posexplode("v").alias("dim", "value"))
 
 
+def _streamed_windows(kind: str) -> Query:
+    """The windows of ``_windows`` by a stream over four files: the same rows. Files are in shuffled order, but in order of
+    time for sessions, from which the engine leaves out late events whatever the output mode."""
+
+    def query(spark, sf_dir):
+        each = -(-S.table(spark, sf_dir, "events").count() // 4)
+        folder = _event_files(spark, sf_dir, F.floor(F.col("event_id") / each) if kind == "session" else F.pmod("event_id", F.lit(4)))
+        stream.played(stream.windows(stream.raw(spark, f"{folder}/in/*"), kind), "complete", f"{folder}/out", f"{folder}/log")
+        return spark.read.parquet(f"{folder}/out")
+
+    return query
+
+
+#: files of the late replay: the third quarter of events comes first, the first one last
+LATE = (3, 1, 0, 2)
+
+
+def late_events(spark, sf_dir):
+    """Events by hour when quarters arrive in a wrong order: what came in time, and how many came too late."""
+    events = S.table(spark, sf_dir, "events")
+    each = -(-events.count() // 4)
+    place = F.element_at(F.array(*map(F.lit, LATE)), (F.floor(F.col("event_id") / each) + 1).cast("int"))
+    folder = _event_files(spark, sf_dir, place)
+    stream.played(stream.hourly(stream.raw(spark, f"{folder}/in/*")), "update", f"{folder}/out", f"{folder}/log")
+    kept = spark.read.parquet(f"{folder}/out").groupBy("start_us").agg(F.max("n").alias("n"))
+    hour = 3600 * 10**6
+    came = events.groupBy((F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / hour) * hour).alias("start_us")).agg(F.count("*").alias("came"))
+    return came.join(kept, "start_us", "left").select("start_us", F.coalesce("n", F.lit(0)).cast("long").alias("n"), (F.col("came") - F.coalesce("n", F.lit(0))).cast("long").alias("late"))
+
+
 #: the methods on losses with a target: changes to the configuration, and what is returned
 LINEAR = {"gossip": ({}, "first"), "oneshot": ({"comm": "silent", "b": 1, "steps": 40}, "average"), "online": ({"comm": "silent", "workers": 1, "b": 1, "steps": 60, "draw": "replace"}, "first"), "minibatch": ({"comm": "silent", "workers": 1, "b": 16}, "first")}
 
@@ -424,6 +464,7 @@ OWN: dict[str, Query] = {
     "label_changes_except": label_changes, "topk_nearest": topk_nearest, "outliers": outliers, "antijoin_untouched": antijoin_untouched, "asof_mail": asof_mail, "codebook_histogram": codebook_histogram, "codebook_documents": codebook_documents,
     "state_round_trip": state_round_trip, "events_json": events_json, "quantiles": quantiles, "sketches": sketches, "udf_surface": udf_surface, "sinks_round_trip": sinks_round_trip,
     "tumbling_events": _windows("tumbling"), "sliding_events": _windows("sliding"), "session_events": _windows("session"),
+    "tumbling_stream": _streamed_windows("tumbling"), "sliding_stream": _streamed_windows("sliding"), "session_stream": _streamed_windows("session"), "late_events": late_events,
     "scaling_table": lambda spark, d: experiments.strong_scaling(spark, S.line4(spark, d), 800, (2, 4)), "k_scaling": lambda spark, d: experiments.k_sweep(spark, S.line4(spark, d), (5, 20), experiments.BASE.with_(steps=5)),
     "repeat_summary": lambda spark, d: experiments.repeats(spark, _mix(spark), range(10), experiments.BASE.with_(steps=10, b=20), S.truth(spark, 10, 10)), "comm_overhead": lambda spark, d: experiments.overhead(spark, S.line4(spark, d), (50, 200), 2000),
     "message_sweep": lambda spark, d: experiments.message_sweep(spark, S.line4(spark, d), (2, 4, 8)), "final_compare": lambda spark, d: experiments.final_step(spark, _mix(spark)), "ablation": lambda spark, d: experiments.ablation(spark, _mix(spark), experiments.BASE.with_(steps=10)), "overlap_control": lambda spark, d: experiments.overlap(spark, 2000),
@@ -445,6 +486,14 @@ def _near(points: str, k: int, dims: int) -> str:
     return f"SELECT p.sample_id, p.x, z.w, list_transform(z.w, lambda c: {oracle.d2('p.x', 'c', dims)}) AS ds FROM ({points}) p, ({oracle.initial(points, CFG.with_(k=k))}) z"
 
 
+def late_sql() -> str:
+    """An event is late if its hour ends by the watermark: the newest event two files before, an hour less, in milliseconds."""
+    hour = 3600 * 10**6
+    place = f"[{', '.join(map(str, LATE))}][event_id // (((SELECT count(*) FROM events) + 3) // 4) + 1]"
+    seen = f"(SELECT max(b.us) // 1000 * 1000 - {hour} FROM e b WHERE b.place <= a.place - 2)"
+    return f"WITH e AS MATERIALIZED (SELECT epoch_us(ts) AS us, {place} AS place FROM events), p AS MATERIALIZED (SELECT place, {seen} AS mark FROM (SELECT DISTINCT place FROM e) a), k AS (SELECT us // {hour} * {hour} AS start_us, coalesce((us // {hour} + 1) * {hour} <= mark, false) AS late FROM e JOIN p USING (place)) SELECT start_us, count(*) FILTER (NOT late) AS n, count(*) FILTER (late) AS late FROM k GROUP BY start_us"
+
+
 def oracle_sql() -> dict[str, str]:
     o, near4, near64 = oracle, _near(L4, 3, 4), _near(E64, 3, 64)
     unit = lambda *key: f"({o.int_(*key)} / 4294967296.0::double)"
@@ -500,6 +549,7 @@ def oracle_sql() -> dict[str, str]:
         "sliding_events": f"SELECT event_type, epoch_us(ts) // {hour // 2} * {hour // 2} - k * {hour // 2} AS start_us, count(*) AS n, round(sum(value), 4) AS total FROM events, range(4) r(k) GROUP BY ALL",
         "session_events": f"SELECT user_id, min(us) AS start_us, max(us) + {hour // 2} AS end_us, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY us ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT user_id, epoch_us(ts) AS us, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < {hour // 2} THEN 0 ELSE 1 END AS fresh FROM events) a) b GROUP BY user_id, s",
     }
+    out |= {f"{kind}_stream": out[f"{kind}_events"] for kind in ("tumbling", "sliding", "session")} | {"late_events": late_sql()}
     out["batch_native"] = out["batch_native_tree"] = out["batch_tree"]
     for same in ("gossip_superstep", "gossip_resume", "state_round_trip"):
         out[same] = out["gossip_full"]

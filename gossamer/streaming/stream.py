@@ -46,16 +46,30 @@ def descend_stream(stream: DataFrame, cfg: DescentConfig, w0: list, store: str,
     return stream.writeStream.foreachBatch(advance).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def late_rows(events: DataFrame, delay: str = "1 hour") -> DataFrame:
+def hourly(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     """Events of a stream in tumbling hours, kept while the watermark allows: what comes later is left out by the engine."""
     timed = events.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", delay)
     return timed.groupBy(F.window("at", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.unix_micros("w.start").alias("start_us"), "n")
 
 
+def played(rows: DataFrame, mode: str, store: str, checkpoint: str) -> None:
+    """Runs a stream to the end of its input. ``complete``: the last result is in ``store``; ``update``: the changes of
+    batch ``i`` are in ``store/batch=i``. A batch that is run again writes the same folder again."""
+
+    def keep(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(store if mode == "complete" else f"{store}/batch={batch_id}")
+
+    rows.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+
+
+def raw(spark: SparkSession, folder: str, per_trigger: int = 1) -> DataFrame:
+    """Events of a folder of Parquet files, as a stream."""
+    return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", per_trigger).parquet(folder)
+
+
 def replay(spark: SparkSession, folder: str, per_trigger: int = 1) -> DataFrame:
     """Event points of a folder of Parquet files, as a stream."""
-    rows = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", per_trigger).parquet(folder)
-    return rows.select(F.col("event_id").cast("string").alias("sample_id"), F.array(F.col("value") / 600.0, F.hour("ts") / 24.0, F.get_json_object("props", "$.k").cast("double") / 100.0).alias("x"))
+    return raw(spark, folder, per_trigger).select(F.col("event_id").cast("string").alias("sample_id"), F.array(F.col("value") / 600.0, F.hour("ts") / 24.0, F.get_json_object("props", "$.k").cast("double") / 100.0).alias("x"))
 
 
 def windows(events: DataFrame, kind: str) -> DataFrame:
