@@ -225,7 +225,8 @@ class Rounds:
                 self.received[i] += len(of)
                 self.good[i] += good
             self.state = self.history[t + 1] = after
-            self.history.pop(t - cfg.max_age, None)
+            if cfg.consume:  # else a state may be read at any later round
+                self.history.pop(t - cfg.max_age, None)
             if on_round and on_round(t, after) or cfg.stop.max_seconds is not None and time.monotonic() - began >= cfg.stop.max_seconds:
                 break
         return self.state
@@ -319,6 +320,8 @@ def supersteps(drawn: DataFrame, cfg: DescentConfig, w0: list, evaluate: DataFra
     """
     spark = drawn.sparkSession
     sync = cfg.comm == "sync"
+    if not cfg.consume:
+        raise ValueError("states that stay in buffers have no bounded age: use the fold engine")
     if sync and cfg.stretch > 1:
         raise ValueError("synchronous exchange needs a stretch of 1")
     placed = settled(drawn.withColumn("leg", F.floor(F.col("round") / cfg.stretch).cast("int")).repartitionById(cfg.workers, "worker"), "drawn", "leg")
@@ -457,6 +460,8 @@ def gossip_sgd(points: DataFrame, cfg: DescentConfig, w0: list | DataFrame | Non
         history, trace = supersteps(drawn, cfg, start, evaluate)
         return RunResult(latest(history, points.sparkSession, cfg, trace[-1][0]), cfg, trace, start)
     if engine == "mailbox":
+        if not cfg.consume:
+            raise ValueError("the mailbox engine reads each state once")
         if cfg.comm == "sync":
             raise ValueError("the mailbox engine never waits: synchronous exchange runs on fold and superstep")
         from gossamer.operators.mailbox import mailbox_run

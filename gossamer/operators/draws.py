@@ -51,6 +51,11 @@ def hashed_workers(points: DataFrame, n: int, seed: int) -> DataFrame:
     return points.withColumn("worker", F.pmod(hash_int(F.lit(seed), F.lit("part"), "sample_id"), F.lit(n)).cast("int"))
 
 
+def scanned_workers(points: DataFrame, n: int) -> DataFrame:
+    """No partition at all: a worker has the samples of the tasks that read them. It depends on the layout."""
+    return points.withColumn("worker", F.pmod(F.spark_partition_id(), F.lit(n)).cast("int"))
+
+
 def local_order(parted: DataFrame, seed: int, epoch: int = 0, workers: int = 4096) -> DataFrame:
     """A fresh order on every worker for an epoch: ``pos`` from 0. A worker's samples are numbered in buckets, not in one task."""
     key = hash_hex(F.lit(seed), F.lit("order"), F.lit(epoch), "sample_id")
@@ -62,8 +67,14 @@ def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) ->
 
     Drawn by walking the local order, the budget of n * b * steps samples is cut before any sample moves. With replacement,
     (worker, round, slot) is matched to a position by its hash; ids are ranked without their samples, which join last.
+    By hash or scan a worker walks its own samples once, in local order: one that has too few draws less in its last rounds.
     """
     n, b = cfg.workers, cfg.b
+    if cfg.partition != "exact":
+        placed = hashed_workers(points, n, cfg.seed) if cfg.partition == "hash" else scanned_workers(points, n)
+        key = hash_hex(F.lit(cfg.seed), F.lit("order"), F.lit(0), "sample_id")
+        walked = exact_rank(placed, key, "sample_id", most=b * cfg.steps, by=("worker",), groups=n)
+        return walked.select("worker", F.floor(F.col("rank") / b).cast("int").alias("round"), F.pmod("rank", F.lit(b)).cast("int").alias("slot"), "sample_id", "x")
     if cfg.draw == "shuffle":
         m = points.count() if m is None else m
         rounds = -(-cfg.steps * b * n // (m // n * n)) if m >= n else 1
@@ -79,11 +90,12 @@ def minibatches(points: DataFrame, cfg: DescentConfig, m: int | None = None) ->
     m = points.count() if m is None else m
     spark = points.sparkSession
     slots = spark.range(n * cfg.steps * b).select(F.pmod("id", F.lit(n)).cast("int").alias("worker"), F.pmod(F.floor(F.col("id") / n), F.lit(cfg.steps)).cast("int").alias("round"), F.floor(F.col("id") / (n * cfg.steps)).cast("int").alias("slot"))
-    wanted = slots.withColumn("pos", F.pmod(hash_int(F.lit(cfg.seed), F.lit("draw"), "worker", "round", "slot"), F.lit(m // n)))
-    places = assign_workers(points.select("sample_id"), n, cfg.seed, m)
+    whole = cfg.draw_from == "global"
+    wanted = slots.withColumn("pos", F.pmod(hash_int(F.lit(cfg.seed), F.lit("draw"), "worker", "round", "slot"), F.lit(m if whole else m // n)))
+    places = assign_workers(points.select("sample_id"), 1 if whole else n, cfg.seed, m)
     # as many rows as the budget: broadcast where that is few, so that neither ids nor samples are shuffled to meet them
     few = F.broadcast if n * b * cfg.steps <= BROADCAST_ROWS else lambda rows: rows
-    drawn = places.join(few(wanted), ["worker", "pos"])
+    drawn = places.drop("worker").join(few(wanted), "pos") if whole else places.join(few(wanted), ["worker", "pos"])
     return points.select("sample_id", "x").join(few(drawn), "sample_id").select("worker", "round", "slot", "sample_id", "x")
 
 
@@ -131,8 +143,14 @@ def settle(parts: DataFrame, race: str) -> DataFrame:
 
 
 def inbox(spark: SparkSession, cfg: DescentConfig) -> DataFrame:
-    """The settled mail of a run."""
-    return settle(blocks(sends(spark, cfg), cfg), cfg.race).where(F.col("round") < cfg.steps)
+    """The settled mail of a run. Without ``consume`` what stands in a buffer is there in each round until the next arrives."""
+    stood = settle(blocks(sends(spark, cfg), cfg), cfg.race).where(F.col("round") < cfg.steps)
+    if cfg.consume:
+        return stood
+    keys = ["recipient", "buffer"] + ["block"] * (cfg.race == "torn")
+    arrivals = stood.select(*keys, "round").distinct()
+    until = arrivals.withColumn("until", F.lead("round", 1, cfg.steps).over(Window.partitionBy(*keys).orderBy("round")))
+    return stood.join(until, [*keys, "round"]).select("recipient", F.explode(F.sequence(F.col("round"), F.col("until") - 1)).alias("round"), "buffer", "block", "sender", "sent_round")
 
 
 def race_counts(messages: DataFrame, settled: DataFrame) -> DataFrame:

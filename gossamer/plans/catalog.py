@@ -24,7 +24,7 @@ VARIANTS = {
     "gossip_fanout2": ({"fanout": 2}, "first"), "gossip_delay2": ({"max_age": 2}, "first"), "gossip_torn": ({"race": "torn", "fanout": 3, "block_frac": 0.5}, "first"), "gossip_lossless": ({"race": "none", "fanout": 2}, "first"), "gossip_every": ({"comm_every": 3}, "first"), "gossip_average": ({}, "average"),
     "gossip_persample": ({"b": 1, "steps": 24}, "first"), "gossip_sum": ({"reduce": "sum", "eps": 0.05}, "first"), "gossip_replace": ({"draw": "replace"}, "first"),
     "gossip_sync": ({"comm": "sync"}, "first"), "gossip_other_node": ({"threads": 2, "scope": "other_node"}, "first"), "gossip_geometric": ({"delay": "geometric", "max_age": 3}, "first"), "gossip_zero_norm": ({"empty_rule": "zero_norm", "block_frac": 0.4}, "first"),
-    "gossip_whole_states": ({"window_scope": "state", "fanout": 3, "race": "torn", "block_frac": 1.0}, "first"), "gossip_unit_gain": ({"blend_gain": "unit"}, "first"), "gossip_cluster_mean": ({"normalise": "cluster"}, "first"), "gossip_init_sample": ({"init": "sample"}, "first"), "gossip_stopped": ({"stop": StopRule(max_touched=100)}, "first"), "lockfree_torn": ({"race": "torn", "window": False}, "first"),
+    "gossip_whole_states": ({"window_scope": "state", "fanout": 3, "race": "torn", "block_frac": 1.0}, "first"), "gossip_kept_buffers": ({"consume": False, "buffers": 2, "comm_every": 2}, "first"), "gossip_kept_torn": ({"consume": False, "race": "torn", "fanout": 2, "block_frac": 0.5}, "first"), "gossip_hashed": ({"partition": "hash"}, "first"), "gossip_global_draws": ({"draw": "replace", "draw_from": "global"}, "first"), "gossip_unit_gain": ({"blend_gain": "unit"}, "first"), "gossip_cluster_mean": ({"normalise": "cluster"}, "first"), "gossip_init_sample": ({"init": "sample"}, "first"), "gossip_stopped": ({"stop": StopRule(max_touched=100)}, "first"), "lockfree_torn": ({"race": "torn", "window": False}, "first"),
     "oneshot_first": ({"comm": "silent", "b": 1, "steps": 40, "eps": 0.1}, "first"), "oneshot_average": ({"comm": "silent", "b": 1, "steps": 40, "eps": 0.1}, "average"), "minibatch_sgd": ({"comm": "silent", "workers": 1, "b": 16}, "first"), "online_sgd": ({"comm": "silent", "workers": 1, "b": 1, "steps": 60, "draw": "replace", "eps": 0.1}, "first"),
 }
 Query = Callable[[SparkSession, str], DataFrame]

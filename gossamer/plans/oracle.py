@@ -45,8 +45,15 @@ def parted(points: str, cfg: DescentConfig) -> str:
 
 
 def minibatches(points: str, cfg: DescentConfig) -> str:
+    if cfg.partition == "hash":
+        own = f"SELECT *, ({int_(cfg.seed, chr(39) + 'part' + chr(39), 'sample_id')} % {cfg.workers})::int AS worker FROM ({points}) p"
+        walked = f"SELECT *, row_number() OVER (PARTITION BY worker ORDER BY {hex_(cfg.seed, chr(39) + 'order' + chr(39), 0, 'sample_id')}, sample_id) - 1 AS pos FROM ({own}) o"
+        return f"SELECT worker, (pos // {cfg.b})::int AS round, (pos % {cfg.b})::int AS slot, sample_id, x FROM ({walked}) p WHERE pos < {cfg.b * cfg.steps}"
     if cfg.draw == "shuffle":
         return f"SELECT worker, (pos // {cfg.b})::int AS round, (pos % {cfg.b})::int AS slot, sample_id, x FROM ({parted(points, cfg)}) p WHERE pos < {cfg.b * cfg.steps}"
+    if cfg.draw_from == "global":
+        slots = f"SELECT w.i::int AS worker, r.i::int AS round, s.i::int AS slot, {int_(cfg.seed, chr(39) + 'draw' + chr(39), 'w.i', 'r.i', 's.i')} % (SELECT count(*) FROM ({points}) q) AS rank FROM range({cfg.workers}) w(i), range({cfg.steps}) r(i), range({cfg.b}) s(i)"
+        return f"SELECT worker, round, slot, sample_id, x FROM ({slots}) s JOIN ({ranked(points, cfg.seed)}) p USING (rank)"
     h = f"(SELECT count(*) // {cfg.workers} FROM ({points}) q)"
     slots = f"SELECT w.i::int AS worker, r.i::int AS round, s.i::int AS slot, {int_(cfg.seed, chr(39) + 'draw' + chr(39), 'w.i', 'r.i', 's.i')} % {h} AS pos FROM range({cfg.workers}) w(i), range({cfg.steps}) r(i), range({cfg.b}) s(i)"
     return f"SELECT worker, round, slot, sample_id, x FROM ({slots}) s JOIN ({parted(points, cfg)}) p USING (worker, pos)"
@@ -74,7 +81,11 @@ def blocks(cfg: DescentConfig) -> str:
 def inbox(cfg: DescentConfig) -> str:
     keep = {"none": "true", "overwrite": "last = (sent_round, sender)", "torn": "last = (sent_round, sender)"}[cfg.race]
     per = "recipient, due_round, buffer" + ", block" * (cfg.race == "torn")
-    return f"SELECT DISTINCT recipient, due_round AS round, buffer, block, sender, sent_round FROM (SELECT *, max((sent_round, sender)) OVER (PARTITION BY {per}) AS last FROM ({blocks(cfg)}) b) c WHERE {keep} AND due_round < {cfg.steps}"
+    stood = f"SELECT DISTINCT recipient, due_round AS round, buffer, block, sender, sent_round FROM (SELECT *, max((sent_round, sender)) OVER (PARTITION BY {per}) AS last FROM ({blocks(cfg)}) b) c WHERE {keep} AND due_round < {cfg.steps}"
+    if cfg.consume:
+        return stood
+    keys = "recipient, buffer" + ", block" * (cfg.race == "torn")
+    return f"SELECT m.recipient, t.i::int AS round, m.buffer, m.block, m.sender, m.sent_round FROM ({stood}) m JOIN (SELECT {keys}, round, lead(round, 1, {cfg.steps}) OVER (PARTITION BY {keys} ORDER BY round) AS until FROM (SELECT DISTINCT {keys}, round FROM ({stood}) d) e) u USING ({keys}, round) JOIN range({cfg.steps}) t(i) ON t.i >= m.round AND t.i < u.until"
 
 
 def initial(points: str, cfg: DescentConfig) -> str:

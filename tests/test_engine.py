@@ -123,7 +123,7 @@ def test_message_counts(spark):
     assert box.groupBy("recipient", "round", "buffer").count().where("count > 1").count() == 0
 
 
-@pytest.mark.parametrize("changes", [{}, {"fanout": 3, "buffers": 2, "race": "torn", "block_frac": 0.5}, {"race": "none", "fanout": 2, "max_age": 3}, {"threads": 3, "scope": "other_node", "delay": "geometric", "max_age": 4}, {"comm_every": 3}, {"comm": "silent"}])
+@pytest.mark.parametrize("changes", [{}, {"fanout": 3, "buffers": 2, "race": "torn", "block_frac": 0.5}, {"race": "none", "fanout": 2, "max_age": 3}, {"threads": 3, "scope": "other_node", "delay": "geometric", "max_age": 4}, {"comm_every": 3}, {"comm": "silent"}, {"consume": False, "buffers": 2, "fanout": 2, "max_age": 2}, {"consume": False, "race": "torn", "fanout": 3, "block_frac": 0.4, "max_age": 3}])
 def test_mail_planned_in_a_task_equals_the_table(spark, changes):
     cfg = CFG.with_(workers=6, steps=9, k=5, **changes)
     want: dict = {}
@@ -152,6 +152,18 @@ def test_partition_is_exact(line4):
     assert cut.count() == 70 and cut.exceptAll(parted).count() == 0
 
 
+def test_samples_stay_with_the_task_that_reads_them(line4):
+    cfg = CFG.with_(partition="scan", workers=3, steps=4)
+    held = line4.repartition(6).persist()
+    drawn = draws.minibatches(held, cfg).collect()
+    assert len(drawn) == len({r.sample_id for r in drawn}) == 3 * 4 * cfg.b
+    assert {(r.worker, r["round"], r.slot) for r in drawn} == {(w, t, s) for w in range(3) for t in range(4) for s in range(cfg.b)}
+    where = {r.sample_id: r.worker for r in draws.scanned_workers(held, 3).collect()}
+    assert all(where[r.sample_id] == r.worker for r in drawn)
+    assert len(states(descent.gossip_sgd(held, cfg))) == 3
+    held.unpersist()
+
+
 def test_epochs_repeat_every_sample(spark):
     points = spark.createDataFrame([(str(i), [float(i)]) for i in range(10)], "sample_id string, x array<double>")
     drawn = draws.minibatches(points, CFG.with_(workers=2, b=2, steps=5)).collect()
@@ -159,7 +171,9 @@ def test_epochs_repeat_every_sample(spark):
 
 
 def test_settings_are_checked(line4):
-    for wrong in ({"eps": 0}, {"workers": 1}, {"fanout": 4}, {"block_frac": 0}, {"race": "x"}):
+    with pytest.raises(ValueError):
+        descent.gossip_sgd(line4, CFG.with_(consume=False), engine="superstep")
+    for wrong in ({"partition": "x"}, {"draw_from": "global"}, {"partition": "hash", "draw": "replace"}, {"consume": False, "race": "none"}, {"eps": 0}, {"workers": 1}, {"fanout": 4}, {"block_frac": 0}, {"race": "x"}):
         with pytest.raises(ValueError):
             CFG.with_(**wrong).validate()
     with pytest.raises(ValueError):
