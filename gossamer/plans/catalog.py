@@ -200,10 +200,13 @@ def codebook_histogram(spark, sf_dir):
     return codebook.histogram(points, _w(3, points), groups)
 
 
+CODEBOOK = CFG.with_(k=20, b=16, steps=6)
+
+
 def codebook_documents(spark, sf_dir):
-    """A codebook learnt on hashed documents, as histograms of languages (rows only)."""
+    """A codebook learnt on hashed documents, as histograms of languages."""
     points = settled(S.doc128(spark, sf_dir), "documents")
-    w = descent.as_array(descent.gossip_sgd(points, CFG.with_(k=20, b=16, steps=6)).state()).tolist()
+    w = descent.as_array(descent.gossip_sgd(points, CODEBOOK).state()).tolist()
     groups = S.table(spark, sf_dir, "documents").select(F.col("doc_id").cast("string").alias("sample_id"), F.col("lang").alias("object"))
     return codebook.histogram(points, w, groups)
 
@@ -541,6 +544,7 @@ def oracle_sql() -> dict[str, str]:
         "antijoin_untouched": f"SELECT count(*) AS untouched FROM ({L4}) p ANTI JOIN ({o.minibatches(L4, CFG)}) b USING (sample_id)",
         "asof_mail": f"SELECT r.i::int AS worker, t.i::int AS t, last.b::int AS sender, last.a::int AS sent_round FROM (SELECT r.i AS wi, t.i AS ti, max({{'a': sent_round, 'b': sender}}) AS last FROM range(4) r(i), range(8) t(i), ({o.sends(CFG.with_(comm_every=2))}) m WHERE m.recipient = r.i AND m.sent_round <= t.i GROUP BY ALL) q JOIN range(4) r(i) ON r.i = wi JOIN range(8) t(i) ON t.i = ti",
         "codebook_histogram": f"SELECT label AS object, (list_position(ds, list_min(ds)) - 1)::int AS cluster, count(*) AS n FROM ({near64}) n JOIN embeddings ON vec_id::varchar = sample_id GROUP BY ALL",
+        "codebook_documents": o.run(o.documents(), CODEBOOK, 128, f"SELECT lang AS object, cluster, count(*) AS n FROM (SELECT sample_id, (list_position(ds, list_min(ds)) - 1)::int AS cluster FROM (SELECT p.sample_id, list_transform(z.w, lambda c: {o.d2('p.x', 'c', 128)}) AS ds FROM pts p, (SELECT w FROM done WHERE worker = 0) z) a) b JOIN documents d ON d.doc_id::varchar = sample_id GROUP BY ALL"),
         "events_json": "SELECT event_type, ((props->>'$.k')::int // 10)::int AS bin, count(*) AS n FROM events GROUP BY ALL",
         "quantiles": "SELECT l_returnflag, round(quantile_cont(l_extendedprice, 0.5), 4) AS median, round(quantile_cont(l_extendedprice, 0.9), 4) AS p90 FROM lineitem GROUP BY 1",
         "udf_surface": f"SELECT corner, far AS expression, far AS arrow, far AS sql, far AS rows FROM (SELECT floor(x[1] * 4)::int AS corner, max({o.d2('x', '[0.5::double, 0.5, 0.5, 0.5]', 4)}) AS far FROM ({L4}) p GROUP BY 1) f",

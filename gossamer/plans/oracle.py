@@ -12,6 +12,13 @@ POINTS = {
 DIMS = {"line4": 4, "emb64": 64, "evt3": 3}
 
 
+def documents(buckets: int = 128) -> str:
+    """Hashed token counts of each document, of unit length."""
+    counts = f"SELECT doc_id, {int_('token')} % {buckets} AS bucket, count(*) AS n FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z0-9]+')) AS token FROM documents) t WHERE token <> '' GROUP BY ALL"
+    dense = f"list_transform(range(0, {buckets}), lambda i: coalesce(m[i], 0) / s)"
+    return f"SELECT doc_id::varchar AS sample_id, {dense} AS x FROM (SELECT doc_id, map(list(bucket), list(n)) AS m, sqrt(sum(n * n)) AS s FROM ({counts}) c GROUP BY doc_id) d"
+
+
 def hex_(*key) -> str:
     return f"md5(concat_ws(':', {', '.join(map(str, key))}))"
 
@@ -50,7 +57,10 @@ def minibatches(points: str, cfg: DescentConfig) -> str:
         walked = f"SELECT *, row_number() OVER (PARTITION BY worker ORDER BY {hex_(cfg.seed, chr(39) + 'order' + chr(39), 0, 'sample_id')}, sample_id) - 1 AS pos FROM ({own}) o"
         return f"SELECT worker, (pos // {cfg.b})::int AS round, (pos % {cfg.b})::int AS slot, sample_id, x FROM ({walked}) p WHERE pos < {cfg.b * cfg.steps}"
     if cfg.draw == "shuffle":
-        return f"SELECT worker, (pos // {cfg.b})::int AS round, (pos % {cfg.b})::int AS slot, sample_id, x FROM ({parted(points, cfg)}) p WHERE pos < {cfg.b * cfg.steps}"
+        per = f"(SELECT count(*) // {cfg.workers} FROM ({points}) q)"
+        later = f"SELECT unnest(range(1, ({cfg.b * cfg.steps} + {per} - 1) // {per})) AS epoch"  # a fresh local order each
+        again = f"SELECT sample_id, x, worker, row_number() OVER (PARTITION BY worker, epoch ORDER BY {hex_(cfg.seed, chr(39) + 'order' + chr(39), 'epoch', 'sample_id')}, sample_id) - 1 + epoch * {per} AS pos FROM ({parted(points, cfg)}) p, ({later}) l"
+        return f"SELECT worker, (pos // {cfg.b})::int AS round, (pos % {cfg.b})::int AS slot, sample_id, x FROM (SELECT sample_id, x, worker, pos FROM ({parted(points, cfg)}) p UNION ALL {again}) e WHERE pos < {cfg.b * cfg.steps}"
     if cfg.draw_from == "global":
         slots = f"SELECT w.i::int AS worker, r.i::int AS round, s.i::int AS slot, {int_(cfg.seed, chr(39) + 'draw' + chr(39), 'w.i', 'r.i', 's.i')} % (SELECT count(*) FROM ({points}) q) AS rank FROM range({cfg.workers}) w(i), range({cfg.steps}) r(i), range({cfg.b}) s(i)"
         return f"SELECT worker, round, slot, sample_id, x FROM ({slots}) s JOIN ({ranked(points, cfg.seed)}) p USING (rank)"

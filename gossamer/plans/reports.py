@@ -139,10 +139,7 @@ def codebook_sets(spark, sf_dir):
 
 
 def _documents_sql() -> str:
-    counts = f"SELECT doc_id, {oracle.int_('token')} % 128 AS bucket, count(*) AS n FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z0-9]+')) AS token FROM documents) t WHERE token <> '' GROUP BY ALL"
-    dense = "list_transform(range(0, 128), lambda i: coalesce(m[i], 0) / s)"
-    points = f"SELECT doc_id::varchar AS sample_id, {dense} AS x FROM (SELECT doc_id, map(list(bucket), list(n)) AS m, sqrt(sum(n * n)) AS s FROM ({counts}) c GROUP BY doc_id) d"
-    return f"(WITH pts AS MATERIALIZED ({points}) SELECT sample_id, (list_position(ds, list_min(ds)) - 1)::int AS cluster FROM (SELECT p.sample_id, list_transform(z.w, lambda c: {oracle.d2('p.x', 'c', 128)}) AS ds FROM pts p, ({oracle.initial('SELECT * FROM pts', CFG)}) z) n) near"
+    return f"(WITH pts AS MATERIALIZED ({oracle.documents()}) SELECT sample_id, (list_position(ds, list_min(ds)) - 1)::int AS cluster FROM (SELECT p.sample_id, list_transform(z.w, lambda c: {oracle.d2('p.x', 'c', 128)}) AS ds FROM pts p, ({oracle.initial('SELECT * FROM pts', CFG)}) z) n) near"
 
 
 QUERIES = {f.__name__: f for f in (trace_rollup, trace_progress, trace_pivot, trace_unpivot, time_to_error, cluster_cube, cluster_regions, majority_label, close_centres, document_clusters, codebook_sets)} | {"trace_errors": traces}
